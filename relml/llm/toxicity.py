@@ -14,6 +14,7 @@ score of no features.  Repeated rows get equal scores.  Without labelled rows of
 from __future__ import annotations
 
 import re
+from collections import Counter
 from dataclasses import dataclass, field
 
 import numpy as np
@@ -76,27 +77,29 @@ def fit(texts: list[str], labels: list[int], penalty: float = 10.0, l2: float =
     y = np.array(labels, float)
     if not len(y) or y.min() == y.max():
         return ToxicityModel({}, float(np.log((y.sum() + 1e-9) / (len(y) - y.sum() + 1e-9))) if len(y) else -30.0)
-    sets = [features(t) for t in texts]
-    count: dict[str, list[int]] = {}
-    for s, label in zip(sets, labels):
-        for f in s:
-            count.setdefault(f, [0, 0])[label] += 1
+    counts = Counter(), Counter()
+    for t, label in zip(texts, labels):
+        counts[label].update(features(t))
     pos, neg = y.sum(), len(y) - y.sum()
-    names = [f for f, (a, b) in count.items() if a + b >= least]
-    a, b = (np.array([count[f][k] for f in names], float) for k in (1, 0))
+    names = [f for f in counts[1] if counts[1][f] + counts[0].get(f, 0) >= least]
+    names += [f for f, n in counts[0].items() if n >= least and f not in counts[1]]
+    a, b = (np.array([counts[k].get(f, 0) for f in names], float) for k in (1, 0))
+    del counts
     p, q, both = a / pos, b / neg, (a + b) / len(y)
     z = np.abs(p - q) / np.sqrt(np.maximum(both * (1 - both) * (1 / pos + 1 / neg), 1e-12))
     identity = sorted({w for g in IDENTITY_GROUPS for w in g})
     chosen = [names[k] for k in sorted(np.flatnonzero(z > 4), key=lambda k: (-z[k], names[k]))[:most]]
     chosen = list(dict.fromkeys([*chosen, *identity]))
     index = {f: k for k, f in enumerate(chosen)}
+    sets = [features(t) & index.keys() for t in texts]  # the features are worked out again, not held
 
     def sparse(rows: list[set[str]]) -> tuple[np.ndarray, np.ndarray]:
         at = [(i, index[f]) for i, r in enumerate(rows) for f in r if f in index]
         return np.array([i for i, _ in at], np.int64), np.array([k for _, k in at], np.int64)
 
     r, c = sparse(sets)
-    pairs = [(s, features(counterfactual(t))) for s, t in zip(sets, texts) if s & set(identity)]
+    named = set(identity)
+    pairs = [(s, features(counterfactual(t)) & index.keys()) for s, t in zip(sets, texts) if s & named]
     pairs += [({g[k]}, {g[(k + 1) % len(g)]}) for g in IDENTITY_GROUPS for k in range(len(g))]
     pairs += [({g[0]}, set()) for g in IDENTITY_GROUPS]  # a neutral mention against none
     (ra, ca), (rb, cb) = sparse([x for x, _ in pairs]), sparse([x for _, x in pairs])
@@ -116,13 +119,13 @@ def fit(texts: list[str], labels: list[int], penalty: float = 10.0, l2: float =
     return ToxicityModel({f: float(v) for f, v in zip(chosen, w) if abs(v) > 1e-4}, float(bias))
 
 
-def train(docs: DataFrame, labels: DataFrame, usable: Column, sample: int = 8_000, id_col: str = "doc_id", text_col: str = "text", label_col: str = "toxic") -> ToxicityModel:
-    """Fit on at most `sample` labelled rows, those whose hashed id is least; texts of the sample go to the driver in
-    pieces of at most 64 KB each."""
+def train(docs: DataFrame, labels: DataFrame, usable: Column, sample: int = 4_000, id_col: str = "doc_id", text_col: str = "text", label_col: str = "toxic") -> ToxicityModel:
+    """Fit on at most `sample` labelled rows, those whose hashed id is least; of each the first 32 K characters go to the
+    driver, which bounds what it holds."""
     marked = labels.where(F.col(label_col).isin(0, 1)).select(F.col(id_col).cast("long").alias("i"), F.col(label_col).cast("int").alias("y"))
     marked = marked.where("i is not null").groupBy("i").agg(F.max("y").alias("y"))
     chosen = marked.where(usable(F.col("i")) if callable(usable) else usable).orderBy(F.xxhash64("i"), "i").limit(sample)
-    rows = docs.select(F.col(id_col).cast("long").alias("i"), F.substring(F.coalesce(F.col(text_col), F.lit("")), 1, 65536).alias("t")).join(F.broadcast(chosen), "i").collect()
+    rows = docs.select(F.col(id_col).cast("long").alias("i"), F.substring(F.coalesce(F.col(text_col), F.lit("")), 1, 32768).alias("t")).join(F.broadcast(chosen), "i").collect()
     rows.sort(key=lambda x: (x.i, x.t))
     return fit([x.t for x in rows], [x.y for x in rows])
 
