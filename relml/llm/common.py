@@ -35,6 +35,7 @@ def settle(df: DataFrame, label: str) -> DataFrame:
     spark = df.sparkSession
     path = new_path(spark, label)
     df.write.option("compression", "zstd").parquet(path)
+    spark.sparkContext._jvm.System.gc()  # lets Spark's cleaner delete shuffle files that nothing refers to any more
     return spark.read.schema(df.schema).parquet(path)
 
 
