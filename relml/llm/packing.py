@@ -125,7 +125,7 @@ class Pool:
         self.items: list = []
 
     def set(self, items: list, demand: np.ndarray) -> None:
-        self.items, self.demand, self.free = items, np.asarray(demand, float).reshape(len(items), -1), np.ones(len(items), bool)
+        self.items, self.demand, self.free = items, np.asarray(demand, float).reshape(len(items), len(self.limits)), np.ones(len(items), bool)
 
     def best(self, left: np.ndarray) -> int:
         fits = self.free & (self.demand <= left).all(1)
