@@ -6,10 +6,10 @@ product in double precision, worked out on the original vectors.  Vectors are in
 equal length, and a query probes each band, so inner products of vectors of any length are served.
 
 Equal vectors are one entry with their least ids, as many as an answer can hold, so a hot vector costs one entry.  Buckets
-are cut into salted blocks of bounded size.  A query that finds fewer than k looks into all buckets of one table, which is exact.
+are cut into salted blocks of bounded size and taken in lots.  A query that finds fewer than k looks into all buckets of one table, which is exact.
 
 Vectors that are null, zero, of another length than most, or hold null or non-finite numbers take no part.  Ties go to the
-lesser id.  Repeated ids are entries of their own; a query leaves out rows with its own id.
+lesser id.  Ids are taken to be unique: a query leaves out all rows with its own id.
 """
 
 from __future__ import annotations
@@ -24,6 +24,7 @@ from pyspark.sql import functions as F
 from . import common
 
 BLOCK = 8192
+LOT = 16  # buckets that one task call takes together, so that a query leaves it with one short list
 
 
 def hadamard(x: np.ndarray) -> np.ndarray:
@@ -76,7 +77,7 @@ def usable_vectors(df: DataFrame, id_col: str, vec_col: str) -> tuple[DataFrame,
     return rows.where(F.size("v") == dim), dim
 
 
-def nearest(df: DataFrame, is_query: Column, k: int = 20, tables: int = 6, probes: int = 16, id_col: str = "vec_id", vec_col: str = "embedding", seed: int = 11) -> DataFrame:
+def nearest(df: DataFrame, is_query: Column, k: int = 20, tables: int = 6, probes: int = 24, id_col: str = "vec_id", vec_col: str = "embedding", seed: int = 11) -> DataFrame:
     """(query_id, rank, vec_id, score).  is_query: a condition on the column `id`."""
     rows, dim = usable_vectors(df, id_col, vec_col)
     order = Window.partitionBy("v").orderBy("id")
@@ -134,19 +135,27 @@ def _search(entries: DataFrame, queries: DataFrame, bands: list[int], salts: int
     def meet(left: pa.Table, right: pa.Table) -> pa.Table:
         out = [], [], []
         if left.num_rows and right.num_rows:
-            g, x = np.array(left.column("g")), matrix(left.column("v").combine_chunks())
-            q, y = np.array(right.column("q")), matrix(right.column("v").combine_chunks())
-            n = min(k + 1, len(g))
-            for lo in range(0, len(q), 512):
-                s = y[lo : lo + 512] @ x.T
-                at = np.argpartition(-s, n - 1, axis=1)[:, :n]
-                exact = (y[lo : lo + 512][:, None] * x[at]).sum(2)
-                for o, part in zip(out, (np.repeat(q[lo : lo + 512], n), g[at].ravel(), exact.ravel())):
-                    o.append(part)
+            left, right = left.sort_by("b"), right.sort_by("b")
+            g, x, b = np.array(left.column("g")), matrix(left.column("v").combine_chunks()), np.array(left.column("b"))
+            q, y, c = np.array(right.column("q")), matrix(right.column("v").combine_chunks()), np.array(right.column("b"))
+            for bucket in np.unique(b):
+                lo, hi = np.searchsorted(b, [bucket, bucket + 1])
+                first, last = np.searchsorted(c, [bucket, bucket + 1])
+                n = min(k + 1, hi - lo)
+                for at in range(first, last, 512):
+                    rows = slice(at, min(at + 512, last))
+                    best = lo + np.argpartition(-(y[rows] @ x[lo:hi].T), n - 1, axis=1)[:, :n]
+                    exact = (y[rows][:, None] * x[best]).sum(2)
+                    for o, part in zip(out, (np.repeat(q[rows], n), g[best].ravel(), exact.ravel())):
+                        o.append(part)
         kinds = np.int64, np.int64, float
-        return pa.table({c: np.concatenate([np.zeros(0, kind), *o]) for c, o, kind in zip(("q", "g", "score"), out, kinds)})
+        qs, gs, scores = (np.concatenate([np.zeros(0, kind), *o]) for o, kind in zip(out, kinds))
+        order = np.lexsort((gs, -scores, qs))
+        qs, gs, scores = qs[order], gs[order], scores[order]
+        keep = np.arange(len(qs)) - np.searchsorted(qs, qs) <= k
+        return pa.table({"q": qs[keep], "g": gs[keep], "score": scores[keep]})
 
-    keys = ["t", "band", "b", "salt"]
+    keys = ["t", "band", F.floor(F.col("b") / LOT), "salt"]
     left = entries.mapInArrow(index, "t int, band int, b long, salt long, g long, v array<double>")
     right = queries.mapInArrow(probe, "t int, band int, b long, salt long, q long, v array<double>")
     return left.groupBy(*keys).cogroup(right.groupBy(*keys)).applyInArrow(meet, "q long, g long, score double")
