@@ -125,7 +125,7 @@ class Grower:
         edges = self.bins.get(f.name)
         if not edges:
             return c
-        return F.coalesce(F.element_at(F.filter(F.array(*map(F.lit, edges)), lambda e: e >= c), 1), c) if len(edges) < 64 else F.element_at(F.array(*map(F.lit, edges)), F.least(F.lit(len(edges)), F.width_bucket(c, F.lit(edges[0]), F.lit(edges[-1]), F.lit(len(edges))).cast("int") + 1))
+        return F.coalesce(F.get(F.filter(F.array(*map(F.lit, edges)), lambda e: e >= c), F.lit(0)), c)
 
     def rows(self, name: str, paths: dict[int, list[tuple[Node, bool]]], extra: list[Column]) -> DataFrame:
         """A relation's keys, features and mask for the open nodes."""
