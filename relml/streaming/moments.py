@@ -77,10 +77,10 @@ def sessions(spark: SparkSession, sf: str) -> DataFrame:
     return session_moments(events(spark, sf), "6 hours").select("user_id", _epoch("start").alias("start"), "n")
 
 
-@query("stream_late_data")
+@query("stream_late_data", f"WITH e AS (SELECT value, coalesce(ts < max(ts) OVER (PARTITION BY user_id % 16 ORDER BY event_id ROWS BETWEEN UNBOUNDED PRECEDING AND 1 PRECEDING) - INTERVAL 1 HOUR, false) AS late FROM events) SELECT late, CAST(count(*) AS BIGINT) AS n, {sig_sql('sum(value)')} AS s1 FROM e GROUP BY 1")
 def late_data(spark: SparkSession, sf: str) -> DataFrame:
     """Rows that a watermark of one hour behind the latest time so far, in order of event_id, would leave out."""
     df = events(spark, sf)
     w = Window.partitionBy(F.pmod("user_id", F.lit(16))).orderBy("event_id").rowsBetween(Window.unboundedPreceding, -1)
     late = F.col("ts") < F.max("ts").over(w) - F.expr("interval 1 hour")
-    return df.withColumn("late", F.coalesce(late, F.lit(False))).groupBy("late").agg(F.count("*").alias("n"), F.sum("value").alias("s1"))
+    return df.withColumn("late", F.coalesce(late, F.lit(False))).groupBy("late").agg(F.count("*").alias("n"), sig(F.sum("value")).alias("s1"))
