@@ -42,7 +42,7 @@ def settle(df: DataFrame, label: str) -> DataFrame:
 def discard(df: DataFrame) -> None:
     """Delete the files of a table that settle() wrote and that nothing reads any more."""
     spark = df.sparkSession
-    for parent in {f.rsplit("/", 1)[0] for f in df.inputFiles()}:
+    for parent in {f.rsplit("/", 1)[0] for f in df.inputFiles() if "/relml-" in f}:
         path = spark._jvm.org.apache.hadoop.fs.Path(parent)
         path.getFileSystem(spark._jsc.hadoopConfiguration()).delete(path, True)
 
