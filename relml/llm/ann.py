@@ -1,7 +1,6 @@
 """Approximate nearest neighbours by cross-polytope hashing.
 
-Three rounds of random signs and fast Hadamard transforms turn a vector; its bucket is the nearest signed axis, or a run of
-`hashes` of them.  A query probes the best buckets of each table, meets their vectors in blocks, and keeps its best by inner
+Three rounds of random signs and fast Hadamard transforms turn a vector; its bucket is the nearest signed axis.  A query probes the best buckets of each table, meets their vectors in blocks, and keeps its best by inner
 product in double precision, worked out on the original vectors.  Vectors are indexed by direction within bands of nearly
 equal length, and a query probes each band, so inner products of vectors of any length are served.
 
@@ -86,10 +85,12 @@ def nearest(df: DataFrame, is_query: Column, k: int = 20, tables: int = 6, probe
     entries = members.where("r = 1").select(F.col("id").alias("g"), "v", band.alias("band"))
     bands = sorted(r.band for r in entries.select("band").distinct().collect())  # a few per power of two
     total, distinct = rows.count(), entries.count()
-    # buckets in proportion to the vectors, and the rest by blocks
+    # one hash at every size, so that the share of a table that is probed does not fall as vectors come; growth is cut into blocks
     axes = 2 * (1 << max(0, dim - 1).bit_length())
-    hashes = max(1, int(math.log(max(distinct, 1) / 64, axes)))
-    salts = max(1, math.ceil(distinct / (axes**hashes * BLOCK)))
+    hashes = 1
+    salts = max(1, math.ceil(distinct / (axes * BLOCK)))
+    if probes >= axes:
+        tables = 1  # all buckets of one table are everything
     queries = common.settle(rows.where(is_query).select(F.col("id").alias("q"), "v"), "queries")
     found = common.settle(_search(entries, queries, bands, salts, rotations(dim, tables, hashes, seed), probes, k), "found")
     want = min(k, total - 1)

@@ -6,6 +6,8 @@ import zlib
 
 import numpy as np
 import public_tokenizers as P
+import pyarrow as pa
+import pyarrow.parquet as pq
 import pytest
 from pyspark.sql import functions as F
 
@@ -62,6 +64,26 @@ def test_nearest_odd_vectors(spark):
     assert len(few) == 6
 
 
+def test_nearest_recall_does_not_fall_with_size(spark, tmp_path):
+    """More than 64 * axes^2 distinct vectors, of which few are near the queries."""
+    n, dim = 66_000, 16
+    x = np.random.default_rng(0).normal(size=(n, dim))
+    x[:, 0] *= 0.3
+    x[:5] = x[:5] * 0.05 + np.eye(dim)[0]
+    x /= np.linalg.norm(x, axis=1)[:, None]
+    pq.write_table(pa.table({"vec_id": np.arange(n), "embedding": x.tolist()}), f"{tmp_path}/v.parquet")
+    got = {}
+    for r in ann.nearest(spark.read.parquet(f"{tmp_path}/v.parquet"), F.col("id") < 5).collect():
+        got.setdefault(r.query_id, set()).add(r.vec_id)
+    assert set(got) == set(range(5))
+    hits = 0
+    for q, found in got.items():
+        s = x @ x[q]
+        s[q] = -np.inf
+        hits += len(found & set(np.argsort(-s)[:20]))
+    assert hits / (20 * len(got)) >= 0.97
+
+
 def test_counts_equal_library(odd, empty):
     file = P.path("piece_bpe_32k.model")
     import sentencepiece
