@@ -194,21 +194,23 @@ class Pooler:
 
 
 def train(docs: DataFrame, usable: Column, per_language: int = 300, words: int = 16_000, id_col: str = "doc_id", text_col: str = "text", lang_col: str = "lang") -> ByteGru:
-    """Fit on at most per_language documents of each language, those whose hashed id is least, and at most `words` of
-    their distinct words; the least values of both are chosen over all usable rows, with a limit before the shuffle."""
+    """Fit on at most per_language documents of each language, those whose hashed id is least, and on the most
+    frequent words of each language, an equal share of `words` for each; both are chosen over all usable rows."""
     rows = docs.where(F.col(lang_col).isNotNull() & F.col(text_col).isNotNull() & usable).select(F.col(id_col).cast("long").alias("i"), F.col(text_col).alias("t"), F.col(lang_col).alias("l"))
     order = Window.partitionBy("l").orderBy(F.xxhash64("i"), "i")
     few = rows.select("i", "l").withColumn("k", F.row_number().over(order)).where(F.col("k") <= per_language).select("i", "l")
     seen = rows.join(F.broadcast(few), ["i", "l"])
-    seen = seen.select("l", F.explode(F.regexp_extract_all(F.lower(F.substring("t", 1, 32768)), F.lit(r"(\p{L}+)"), F.lit(1))).alias("w")).groupBy("l", "w").count()
-    counts: dict[str, Counter] = {}
-    for r in seen.orderBy(F.desc("count"), "w", "l").limit(4 * words).collect():
-        counts.setdefault(r.w, Counter())[r.l] += r["count"]
-    languages = sorted({l for c in counts.values() for l in c})
+    seen = common.settle(seen.select("l", F.explode(F.regexp_extract_all(F.lower(F.substring("t", 1, 32768)), F.lit(r"(\p{L}+)"), F.lit(1))).alias("w")).groupBy("l", "w").count(), "words")
+    languages = sorted(r.l for r in seen.select("l").distinct().collect())
     if not languages:
         return ByteGru([])
+    often = Window.partitionBy("l").orderBy(F.desc("count"), "w")
+    chosen = seen.withColumn("k", F.row_number().over(often)).where(F.col("k") <= max(1, words // len(languages))).select("w").distinct()
+    counts: dict[str, Counter] = {}
+    for r in seen.join(F.broadcast(chosen), "w").collect():
+        counts.setdefault(r.w, Counter())[r.l] += r["count"]
     table: dict[str, np.ndarray] = {}
-    for w in sorted(counts, key=lambda w: (-sum(counts[w].values()), w))[:words]:
+    for w in sorted(counts, key=lambda w: (-sum(counts[w].values()), w)):
         for p in pieces_of(w):
             table[p] = table.get(p, 0) + np.array([counts[w][l] for l in languages], float)
     # each language weighs the same

@@ -300,6 +300,18 @@ def test_language_held_out(spark, docs, odd, empty):
     assert a.documents(["the cat le chat", "der Hund"]) == b.documents(["the cat le chat"]) + b.documents(["der Hund"])
 
 
+def test_rare_language_is_learned(spark):
+    """One short document beside languages whose words alone would fill the bound."""
+    rng = np.random.default_rng(6)
+    word = lambda letters: "".join(rng.choice(list(letters), 6))
+    rows = [(k, " ".join(w for w in [word("abcdefg" if k % 2 else "nopqrst")] * 4), "xy"[k % 2]) for k in range(80)]
+    rows += [(80, "zuvzuv", "z")]
+    model = langid.train(spark.createDataFrame(rows, "doc_id long, text string, lang string"), F.lit(True), words=18)
+    assert model.languages == ["x", "y", "z"] and all(np.isfinite(p).all() for p in model.p.values())
+    got = langid.Pooler(model).documents(["zuvzuv", rows[0][1], rows[1][1]])
+    assert all(0 < s <= 1 for _, s in got) and got[0][0] == "z"
+
+
 def brute_dedup(texts, least):
     """Lines covered by a run of enough words that occurs before."""
     lines = {k: linededup.lines_of(t) for k, t in texts.items()}
