@@ -30,14 +30,21 @@ THRESHOLD = 3
 BLOCK = 2048
 
 
-def fingerprint(text: str, shingle: int = 3) -> int:
+def shingles(text: str, shingle: int) -> np.ndarray:
+    """Hashes of the runs of words, in order; of all words if there are fewer."""
     from xxhash import xxh64_intdigest
 
     words = _WORDS.findall(text.encode().translate(_LOWER))
     if not words:
-        return 0
+        return np.zeros(0, ">u8")
     rows = zip(*(words[k:] for k in range(shingle))) if len(words) > shingle else [words]
-    h = np.array([xxh64_intdigest(x, 42) for x in map(b" ".join, rows)], ">u8")
+    return np.array([xxh64_intdigest(x, 42) for x in map(b" ".join, rows)], ">u8")
+
+
+def fingerprint(text: str, shingle: int = 3) -> int:
+    h = shingles(text, shingle)
+    if not len(h):
+        return 0
     ones = np.zeros(64, np.int64)
     for lo in range(0, len(h), 65536):
         ones += np.unpackbits(h[lo : lo + 65536].view(np.uint8).reshape(-1, 8), axis=1).sum(0, dtype=np.int64)

@@ -376,6 +376,40 @@ def test_simhash_equals_brute_force(spark, docs, odd, empty):
     assert kept.columns == df.columns and kept.where("doc_id is not null").select("doc_id").distinct().count() == len({c for i, _, c in want if i >= 0})
 
 
+def test_pipeline_near_duplicates_equal_brute_force(spark, sf):
+    """All links of similarity 0.8 or more on five-word shingles, over texts changed in one to eight places."""
+    import corpus_pipeline
+
+    rng = np.random.default_rng(8)
+    texts = {}
+    for k in range(60):
+        words = [f"w{v}" for v in rng.integers(0, 5000, 150)]
+        texts[len(texts)] = " ".join(words)
+        for n in range(1, 9):
+            new = list(words)
+            for at in rng.choice(150, n, replace=False):
+                new[at] = f"v{rng.integers(0, 5000)}"
+            texts[len(texts)] = " ".join(new)
+    texts |= {len(texts): "", len(texts) + 1: " ", len(texts) + 2: "a b", len(texts) + 3: "A  b", len(texts) + 4: texts[0]}
+    sets = {i: {tuple(w[j : j + 5]) for j in range(len(w) - 4)} or {tuple(w)} for i, t in texts.items() for w in [t.lower().split()]}
+    up = {i: i for i in texts}
+
+    def top(k):
+        while up[k] != k:
+            k = up[k]
+        return k
+
+    wide = 0
+    for a, b in itertools.combinations(texts, 2):
+        if 5 * len(sets[a] & sets[b]) >= 4 * len(sets[a] | sets[b]):
+            up[max(top(a), top(b))] = min(top(a), top(b))
+            wide += (simhash.fingerprint(texts[a]) ^ simhash.fingerprint(texts[b])).bit_count() > 3
+    df = spark.createDataFrame([*texts.items(), (None, texts[1])], "doc_id long, text string").repartition(3)
+    got = corpus_pipeline.drop_near_duplicates(spark, df, sf)
+    assert wide > 50 and got.columns == df.columns
+    assert sorted(-1 if r.doc_id is None else r.doc_id for r in got.collect()) == [-1, *sorted({top(i) for i in texts})]
+
+
 def test_fingerprint_by_definition():
     from xxhash import xxh64_intdigest
 
