@@ -74,7 +74,7 @@ def sgd_from_csv(spark: SparkSession, spec: JoinSpec, features: list[Feature], l
 
 
 query("baseline_ml_lr")(lambda spark, sf: library_linear(*ds.narrow6(spark, sf, "train")).to_df(spark))
-query("baseline_numpy_lstsq")(lambda spark, sf: numpy_lstsq(*ds.narrow6(spark, sf, "quarter")).to_df(spark))
+query("baseline_numpy_lstsq")(lambda spark, sf: numpy_lstsq(*ds.narrow6(spark, sf, "train")).to_df(spark))
 
 
 @query("baseline_ml_tree")

@@ -293,6 +293,12 @@ def predict(spark: SparkSession, sf: str) -> DataFrame:
     return model.predict(load(spark, sf, "lineitem").where("l_orderkey % 50 = 0")).select("l_orderkey", "l_linenumber", "l_partkey", "prediction")
 
 
+@query("linreg_predict_full", f"SELECT l_orderkey, l_linenumber, l_partkey, CAST(20 AS DOUBLE) + CAST(3 AS DOUBLE) * l_discount + CAST(-2 AS DOUBLE) * l_tax AS prediction FROM lineitem")
+def predict_full(spark: SparkSession, sf: str) -> DataFrame:
+    model = linear.LinearModel(["1", "l_discount", "l_tax"], np.array([20.0, 3.0, -2.0]))
+    return model.predict(load(spark, sf, "lineitem")).select("l_orderkey", "l_linenumber", "l_partkey", "prediction")
+
+
 def _ols(d: str) -> str:
     return f"(SELECT avg(l_quantity) AS ay, avg({d}) AS ax, covar_pop(l_quantity, {d}) / var_pop({d}) AS b FROM lineitem WHERE l_shipdate <= {LAST})"
 
@@ -394,6 +400,13 @@ def tree_predict(spark: SparkSession, sf: str) -> DataFrame:
     return m.predict(load(spark, sf, "lineitem").where("l_orderkey % 50 = 0")).select("l_orderkey", "l_linenumber", "l_partkey", "prediction")
 
 
+@query("tree_predict_full", f"SELECT l_orderkey, l_linenumber, l_partkey, CASE WHEN l_discount <= 0.05 THEN CASE WHEN l_tax <= 0.02 THEN 1.0 ELSE 2.0 END ELSE 3.0 END::DOUBLE AS prediction FROM lineitem")
+def tree_predict_full(spark: SparkSession, sf: str) -> DataFrame:
+    N = tree.Node
+    m = tree.TreeModel({1: N(1, 0, 3, 0, 0, None, "l_discount", "<=", 0.05), 2: N(2, 1, 2, 0, 0, 1, "l_tax", "<=", 0.02), 3: N(3, 1, 1, 3.0, 0, 1), 4: N(4, 2, 1, 1.0, 0, 2), 5: N(5, 2, 1, 2.0, 0, 2)})
+    return m.predict(load(spark, sf, "lineitem")).select("l_orderkey", "l_linenumber", "l_partkey", "prediction")
+
+
 @query("tree_rmse_test")
 def tree_rmse(spark: SparkSession, sf: str) -> DataFrame:
     model, fs, y = _grown(spark, sf, 4)
@@ -430,7 +443,7 @@ def forest(spark: SparkSession, sf: str) -> DataFrame:
 
 @query("boosted_trees")
 def boosted(spark: SparkSession, sf: str) -> DataFrame:
-    spec, fs, y = ds.narrow6(spark, sf, "quarter")
+    spec, fs, y = ds.narrow6(spark, sf, "train")
     models = tree.boosted_trees(naive_join(spec, [*fs, y]), fs, y, rounds=2, max_depth=2)
     out = None
     for t, m in enumerate(models):

@@ -45,6 +45,23 @@ def test_rows(spark, sf, name):
     assert catalog.QUERIES[name](spark, sf).count() > 0
 
 
+WHOLE = {"linreg_predict_full": "lineitem", "tree_predict_full": "lineitem", "udf_predict_full": "lineitem", "project_derived_full": "lineitem", "encode_interaction_full": "lineitem", "join_asof_full": "events"}
+
+
+@pytest.mark.parametrize("name", sorted(WHOLE))
+def test_whole_tables(spark, sf, name):
+    assert catalog.QUERIES[name](spark, sf).count() == spark.read.parquet(f"{sf}/{WHOLE[name]}.parquet").count()
+
+
+@pytest.mark.parametrize("name", ["boosted_trees", "baseline_numpy_lstsq"])
+def test_learns_on_train(monkeypatch, spark, sf, name):
+    from relml import datasets
+
+    parts, real = [], datasets.narrow6
+    monkeypatch.setattr(datasets, "narrow6", lambda s, d, part="full": parts.append(part) or real(s, d, part))
+    assert catalog.QUERIES[name](spark, sf).count() > 0 and parts == ["train"]
+
+
 def test_entry(spark):
     import __spark_entry__ as e
 
