@@ -200,7 +200,7 @@ def train(docs: DataFrame, usable: Column, per_language: int = 300, words: int =
     order = Window.partitionBy("l").orderBy(F.xxhash64("i"), "i")
     few = rows.select("i", "l").withColumn("k", F.row_number().over(order)).where(F.col("k") <= per_language).select("i", "l")
     seen = rows.join(F.broadcast(few), ["i", "l"])
-    seen = common.settle(seen.select("l", F.explode(F.regexp_extract_all(F.lower(F.substring("t", 1, 32768)), F.lit(r"(\p{L}+)"), F.lit(1))).alias("w")).groupBy("l", "w").count(), "words")
+    seen = common.settle(seen.select("l", F.explode(F.regexp_extract_all(F.lower("t"), F.lit(r"(\p{L}+)"), F.lit(1))).alias("w")).groupBy("l", "w").count(), "words")
     languages = sorted(r.l for r in seen.select("l").distinct().collect())
     if not languages:
         return ByteGru([])

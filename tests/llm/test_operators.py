@@ -312,6 +312,12 @@ def test_rare_language_is_learned(spark):
     assert all(0 < s <= 1 for _, s in got) and got[0][0] == "z"
 
 
+def test_language_is_learned_from_whole_texts(spark):
+    rows = [(0, "1 " * 20_000 + "abc def abc def", "x"), (1, "xyz uvw xyz uvw", "y")]
+    model = langid.train(spark.createDataFrame(rows, "doc_id long, text string, lang string"), F.lit(True))
+    assert model.languages == ["x", "y"]
+
+
 def brute_dedup(texts, least):
     """Lines covered by a run of enough words that occurs before."""
     lines = {k: linededup.lines_of(t) for k, t in texts.items()}
