@@ -62,8 +62,9 @@ def wl_linreg(spark: SparkSession, sf: str) -> DataFrame:
 @query("wl_tree")
 def wl_tree(spark: SparkSession, sf: str) -> DataFrame:
     clock = Clock()
-    for v in ("full", "quarter"):
-        end_to_end_tree(spark, sf, "narrow6", v, clock)
+    for d in DATASETS:
+        for v in ("full", "quarter"):
+            end_to_end_tree(spark, sf, d, v, clock)
     return clock.to_df(spark)
 
 
@@ -129,9 +130,8 @@ def wl_rounds(spark: SparkSession, sf: str) -> DataFrame:
     for rounds in (1, 10, 50, 100, 500):
         with clock.timed("hoisted", "narrow6", str(rounds), "total"):
             linear.bgd(moment_matrix(spec, fs, y), max_iter=rounds)
-        if rounds <= 50:
-            with clock.timed("naive", "narrow6", str(rounds), "total"):
-                linear.bgd_naive(spec, fs, y, m, max_iter=rounds)
+        with clock.timed("naive", "narrow6", str(rounds), "total"):
+            linear.bgd_naive(spec, fs, y, m, max_iter=rounds)
     return clock.to_df(spark)
 
 
@@ -179,7 +179,7 @@ def wl_planning(spark: SparkSession, sf: str) -> DataFrame:
     for d in DATASETS:
         spec, fs, y = DATASETS[d](spark, sf)
         batch = monomials([f.name for f in (*fs, y)])
-        rows.append((d, "linear", len(batch), planning_seconds(aggregate(spec, [*fs, y], batch[:90], "multi"))))
+        rows.append((d, "linear", len(batch), sum(planning_seconds(aggregate(spec, [*fs, y], batch[k : k + 90], "multi")) for k in range(0, len(batch), 90))))
         rows.append((d, "tree", len(fs), planning_seconds(tree.Grower(spec, fs, y, tree.Measure("sse"), None).statistics({1: []}))))
     return spark.createDataFrame(rows, "dataset string, model string, size int, seconds double")
 

@@ -135,3 +135,23 @@ def test_models_are_saved(spark, tmp_path):
     t = tree.TreeModel({1: tree.Node(1, 0, 3, 0.5, 0)})
     t.save(spark, str(tmp_path / "t"))
     assert tree.TreeModel.load(spark, str(tmp_path / "t")).rows() == t.rows()
+
+
+def test_workloads_cover_their_grids(monkeypatch, spark, sf):
+    from relml import workloads as w
+
+    trees, planned, naive = [], [], []
+    monkeypatch.setattr(w, "end_to_end_tree", lambda s, d, name, v, clock: trees.append((name, v)))
+    monkeypatch.setattr(w, "aggregate", lambda spec, every, batch, *a, **k: planned.append(len(batch)))
+    monkeypatch.setattr(w, "planning_seconds", lambda df: 0.0)
+    monkeypatch.setattr(w.linear, "bgd_naive", lambda *a, max_iter, **k: naive.append(max_iter))
+    catalog = w.query.__globals__["QUERIES"]
+    try:
+        catalog["wl_tree"](spark, sf)
+    except Exception:
+        assert trees  # a clock without rows makes no table
+    sizes = [r["size"] for r in catalog["wl_planning"](spark, sf).collect() if r.model == "linear"]
+    catalog["wl_rounds_sweep"](spark, sf)
+    assert sorted(trees) == sorted((d, v) for d in w.DATASETS for v in ("full", "quarter"))
+    assert sum(planned) == sum(sizes) and max(planned) <= 90
+    assert naive == [1, 10, 50, 100, 500]
