@@ -73,7 +73,7 @@ class ToxicityModel:
         return float(1 / (1 + np.exp(-np.clip(self.logit(text or ""), -30, 30))))
 
 
-def fit(texts: list[str], labels: list[int], penalty: float = 10.0, l2: float = 1e-3, least: int = 5, most: int = 3000, steps: int = 400, rate: float = 0.5) -> ToxicityModel:
+def fit(texts: list[str], labels: list[int], penalty: float = 10.0, l2: float = 3e-4, least: int = 5, most: int = 3000, steps: int = 400, rate: float = 0.5) -> ToxicityModel:
     y = np.array(labels, float)
     if not len(y) or y.min() == y.max():
         return ToxicityModel({}, float(np.log((y.sum() + 1e-9) / (len(y) - y.sum() + 1e-9))) if len(y) else -30.0)
@@ -120,12 +120,11 @@ def fit(texts: list[str], labels: list[int], penalty: float = 10.0, l2: float =
 
 
 def train(docs: DataFrame, labels: DataFrame, usable: Column, sample: int = 4_000, id_col: str = "doc_id", text_col: str = "text", label_col: str = "toxic") -> ToxicityModel:
-    """Fit on at most `sample` labelled rows, those whose hashed id is least; of each the first 32 K characters go to the
-    driver, which bounds what it holds."""
+    """Fit on the whole texts of at most `sample` labelled rows, those whose hashed id is least.  The driver holds them."""
     marked = labels.where(F.col(label_col).isin(0, 1)).select(F.col(id_col).cast("long").alias("i"), F.col(label_col).cast("int").alias("y"))
     marked = marked.where("i is not null").groupBy("i").agg(F.max("y").alias("y"))
     chosen = marked.where(usable(F.col("i")) if callable(usable) else usable).orderBy(F.xxhash64("i"), "i").limit(sample)
-    rows = docs.select(F.col(id_col).cast("long").alias("i"), F.substring(F.coalesce(F.col(text_col), F.lit("")), 1, 32768).alias("t")).join(F.broadcast(chosen), "i").collect()
+    rows = docs.select(F.col(id_col).cast("long").alias("i"), F.coalesce(F.col(text_col), F.lit("")).alias("t")).join(F.broadcast(chosen), "i").collect()
     rows.sort(key=lambda x: (x.i, x.t))
     return fit([x.t for x in rows], [x.y for x in rows])
 
