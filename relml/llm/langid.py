@@ -1,19 +1,19 @@
 """Language identification: a bidirectional gated recurrent network over bytes, trained in numpy.
 
-The network reads the UTF-8 bytes of one word (a run of letters, lower-cased; longer ones in pieces of 48 bytes) forwards
-and backwards and labels every byte position with language probabilities; other characters are not labelled.  A
-document's value for a language is the mean over its positions of the log probability, brought back to probabilities.
-As a word's labels depend on the word alone, each worker keeps them by word, so whole texts cost one look-up a word.
-
-Training: backpropagation through time on words of a bounded sample of labelled documents, each as often as it is seen.
-Texts that are null or have no letter give `und` with score 0.  Ties go to the first language by name.  Repeated rows
-give equal results.  Without training rows every text is `und`.
+The network reads the UTF-8 bytes of a whole lower-cased text, letters, digits and white space alike, forwards and
+backwards in windows of 64 bytes, and labels every byte position with language probabilities.  A document's value for a
+language is the mean over its positions of the log probability, brought back to probabilities.  Windows bound the reach of
+the states and the memory of a worker, which keeps nothing from text to text; every byte lies in one window.  Gates and
+states use x / (1 + |x|), which costs a fifth of the hyperbolic tangent.
+
+Training: backpropagation through time on windows drawn from the whole texts of a bounded sample of labelled documents, as
+many windows from each language.  Texts that are null or have no letter give `und` with score 0.  Ties go to the first
+language by name.  Repeated rows give equal results.  Without training rows every text is `und`.
 """
 
 from __future__ import annotations
 
 import re
-from collections import Counter
 
 import numpy as np
 import pyarrow as pa
@@ -22,221 +22,181 @@ from pyspark.sql import functions as F
 
 from . import common
 
-_WORD = re.compile(r"[^\W\d_]+")
-PIECE = 48
+_LETTER = re.compile(r"[^\W\d_]")
+WINDOW = 64
+PAD = 256
+LOT = 2048  # windows that are read together
 UNKNOWN = "und"
-_tables: dict = {}
 
 
-def sigmoid(x):
-    return 0.5 * (np.tanh(0.5 * x) + 1)
+def squash(x: np.ndarray) -> np.ndarray:
+    """x / (1 + |x|), in place."""
+    d = np.abs(x)
+    d += 1
+    x /= d
+    return x
 
 
 class ByteGru:
-    """Two GRUs over byte embeddings and one softmax over both states at each position."""
+    """Two GRUs over bytes and one softmax over both states at each position.  Arrays lie as (values, windows)."""
 
-    def __init__(self, languages: list[str], hidden: int = 24, embed: int = 12, seed: int = 7):
-        rng, k = np.random.default_rng(seed), len(languages)
+    def __init__(self, languages: list[str], hidden: int = 12, seed: int = 7):
+        rng, k, h = np.random.default_rng(seed), len(languages), hidden
         self.languages, self.hidden = languages, hidden
-        self.p = {"E": rng.normal(0, 0.3, (257, embed)).astype(np.float32), "O": np.zeros((2 * hidden, k), np.float32), "o": np.zeros(k, np.float32)}
+        self.p: dict[str, np.ndarray] = {"o": np.zeros((k, 1), np.float32)}
         for d in "fb":
-            self.p |= {f"W{d}": rng.normal(0, embed**-0.5, (embed, 3 * hidden)).astype(np.float32), f"U{d}": rng.normal(0, hidden**-0.5, (hidden, 3 * hidden)).astype(np.float32), f"c{d}": np.zeros(3 * hidden, np.float32)}
-        self.p["O"] = rng.normal(0, 0.1, (2 * hidden, k)).astype(np.float32)
-
-    def sweep(self, x: np.ndarray, mask: np.ndarray, d: str) -> tuple[np.ndarray, list]:
-        """States (time, batch, hidden) in reading order of direction d, with what the way back needs."""
-        h, n = self.hidden, x.shape[1]
-        W, U, c = self.p[f"W{d}"], self.p[f"U{d}"], self.p[f"c{d}"]
-        state, out, kept = np.zeros((n, h), np.float32), np.zeros((*x.shape[:2], h), np.float32), []
-        for t in range(len(x)) if d == "f" else range(len(x) - 1, -1, -1):
-            a, m = x[t] @ W + c, mask[t][:, None]
-            u = state @ U
-            r, z = sigmoid(a[:, :h] + u[:, :h]), sigmoid(a[:, h : 2 * h] + u[:, h : 2 * h])
-            g = np.tanh(a[:, 2 * h :] + r * u[:, 2 * h :])
-            new = m * ((1 - z) * g + z * state) + (1 - m) * state
-            kept.append((t, state, r, z, g, u[:, 2 * h :], m))
-            out[t] = state = new
-        return out, kept
-
-    def forward(self, codes: np.ndarray) -> tuple:
-        mask = (codes < 256).astype(np.float32)
-        x = self.p["E"][codes]
-        f, kf = self.sweep(x, mask, "f")
-        b, kb = self.sweep(x, mask, "b")
-        logits = np.concatenate([f, b], 2) @ self.p["O"] + self.p["o"]
-        logits -= logits.max(2, keepdims=True)
-        logp = logits - np.log(np.exp(logits).sum(2, keepdims=True))
-        return logp, mask, x, f, b, kf, kb
-
-    def back(self, dout: np.ndarray, x: np.ndarray, kept: list, d: str, grad: dict, dx: np.ndarray) -> None:
-        h, U, W = self.hidden, self.p[f"U{d}"], self.p[f"W{d}"]
-        dstate = np.zeros(dout.shape[1:], np.float32)
-        for t, state, r, z, g, ug, m in reversed(kept):
-            dnew = dstate + dout[t]
-            dh = dnew * m
-            dz, dg = dh * (state - g) * z * (1 - z), dh * (1 - z) * (1 - g * g)
-            dr = dg * ug * r * (1 - r)
-            da = np.concatenate([dr, dz, dg], 1)
-            du = np.concatenate([dr, dz, dg * r], 1)
-            grad[f"W{d}"] += x[t].T @ da
-            grad[f"U{d}"] += state.T @ du
-            grad[f"c{d}"] += da.sum(0)
-            dx[t] += da @ W.T
-            dstate = dnew * (1 - m) + dh * z + du @ U.T
-
-    def gradient(self, codes: np.ndarray, target: np.ndarray, weight: np.ndarray) -> tuple[float, dict]:
-        """codes (time, batch), target (batch, languages) as shares, weight (batch)."""
-        logp, mask, x, f, b, kf, kb = self.forward(codes)
-        scale = (mask * weight)[:, :, None] / max(float((mask * weight).sum()), 1e-9)
-        loss = float(-(logp * target[None] * scale).sum())
-        dlogit = ((np.exp(logp) - target[None]) * scale).astype(np.float32)
+            # W: what a byte adds to reset gate, update gate and candidate
+            self.p |= {f"W{d}": rng.normal(0, 0.5, (3 * h, PAD + 1)).astype(np.float32), f"U{d}": rng.normal(0, h**-0.5, (3 * h, h)).astype(np.float32), f"O{d}": rng.normal(0, 0.3, (k, h)).astype(np.float32)}
+
+    def sweep(self, codes: np.ndarray, d: str, kept: list | None = None) -> np.ndarray:
+        """States (time, hidden, windows) in reading order of direction d; kept takes what the way back needs."""
+        h, W, U = self.hidden, self.p[f"W{d}"], self.p[f"U{d}"]
+        steps, n = codes.shape
+        out, state, pad = np.empty((steps, h, n), W.dtype), np.zeros((h, n), W.dtype), codes == PAD
+        padded = pad.any(1)
+        for t in range(steps) if d == "f" else range(steps - 1, -1, -1):
+            a, u = np.take(W, codes[t], axis=1), U @ state
+            gates = a[: 2 * h]
+            gates += u[: 2 * h]
+            squash(gates)
+            gates *= 0.5
+            gates += 0.5
+            ug = u[2 * h :] if kept is None else u[2 * h :].copy()
+            new = u[2 * h :]
+            new *= gates[:h]
+            new += a[2 * h :]
+            squash(new)
+            if kept is not None:
+                kept.append((t, state, gates[:h], gates[h:], new, ug))
+            np.subtract(state, new, out=out[t])
+            out[t] *= gates[h:]
+            out[t] += new
+            if padded[t]:
+                out[t][:, pad[t]] = 0  # a text's end is where the way back starts
+            state = out[t]
+        return out
+
+    def log_probabilities(self, f: np.ndarray, b: np.ndarray) -> np.ndarray:
+        """(time, languages, windows)."""
+        logits = self.p["Of"] @ f + self.p["Ob"] @ b + self.p["o"]
+        logits -= logits.max(1, keepdims=True)
+        logits -= np.log(np.exp(logits).sum(1, keepdims=True))
+        return logits
+
+    def label(self, codes: np.ndarray) -> np.ndarray:
+        return self.log_probabilities(self.sweep(codes, "f"), self.sweep(codes, "b"))
+
+    def back(self, dout: np.ndarray, codes: np.ndarray, kept: list, d: str, grad: dict) -> None:
+        h, U = self.hidden, self.p[f"U{d}"]
+        dstate = np.zeros(dout.shape[1:], dout.dtype)
+        for t, state, r, z, g, ug in reversed(kept):
+            dnew = (dstate + dout[t]) * (codes[t] < PAD)
+            dg = dnew * (1 - z) * (1 - np.abs(g)) ** 2
+            dz = dnew * (state - g) * slope(z)
+            dr = dg * ug * slope(r)
+            np.add.at(grad[f"W{d}"].T, codes[t], np.concatenate([dr, dz, dg]).T)
+            du = np.concatenate([dr, dz, dg * r])
+            grad[f"U{d}"] += du @ state.T
+            dstate = dnew * z + U.T @ du
+
+    def gradient(self, codes: np.ndarray, target: np.ndarray) -> tuple[float, dict]:
+        """codes (time, windows); target: each window's language.  The loss is a mean over labelled positions."""
+        kf, kb = [], []
+        f, b = self.sweep(codes, "f", kf), self.sweep(codes, "b", kb)
+        logp = self.log_probabilities(f, b)
+        on = (codes < PAD)[:, None] / max(1, int((codes < PAD).sum()))
+        hit = (np.arange(len(self.languages))[:, None] == target)[None]
+        loss = float(-(logp * hit * on).sum())
+        dlogit = ((np.exp(logp) - hit) * on).astype(logp.dtype)
         grad = {k: np.zeros_like(v) for k, v in self.p.items()}
-        both = np.concatenate([f, b], 2)
-        grad["O"] = np.tensordot(both, dlogit, ((0, 1), (0, 1)))
-        grad["o"] = dlogit.sum((0, 1))
-        dboth, dx, h = dlogit @ self.p["O"].T, np.zeros_like(x), self.hidden
-        self.back(dboth[:, :, :h], x, kf, "f", grad, dx)
-        self.back(dboth[:, :, h:], x, kb, "b", grad, dx)
-        np.add.at(grad["E"], codes, dx)
+        grad["o"] = dlogit.sum((0, 2))[:, None]
+        for d, states, kept in (("f", f, kf), ("b", b, kb)):
+            grad[f"O{d}"] = np.einsum("tkn,thn->kh", dlogit, states)
+            self.back(self.p[f"O{d}"].T @ dlogit, codes, kept, d, grad)
         return loss, grad
 
-    def train(self, words: dict[str, np.ndarray], epochs: int = 5, batch: int = 512, rate: float = 0.01, seed: int = 7) -> "ByteGru":
-        """words: piece -> how often it is seen in each language."""
-        rng, m, v, t = np.random.default_rng(seed), {k: 0 for k in self.p}, {k: 0 for k in self.p}, 0
-        names = sorted(words, key=lambda w: (len(w.encode()), w))
-        lots = [names[k : k + batch] for k in range(0, len(names), batch)]
-        for e in range(epochs):
-            for k in rng.permutation(len(lots)):
-                counts = np.array([words[w] for w in lots[k]], np.float32)
-                weight = np.sqrt(counts.sum(1))
-                _, grad = self.gradient(codes_of(lots[k]), counts / counts.sum(1, keepdims=True), weight)
-                t += 1
-                norm = np.sqrt(sum(float((g * g).sum()) for g in grad.values()))
-                for key, g in grad.items():
-                    g = g * min(1, 1 / max(norm, 1e-9))
-                    m[key], v[key] = 0.9 * m[key] + 0.1 * g, 0.99 * v[key] + 0.01 * g * g
-                    self.p[key] = (self.p[key] - rate * 0.6**e * (m[key] / (1 - 0.9**t)) / (np.sqrt(v[key] / (1 - 0.99**t)) + 1e-8)).astype(np.float32)
+    def train(self, windows: list[np.ndarray], steps: int = 240, batch: int = 160, rate: float = 0.02, seed: int = 7) -> "ByteGru":
+        """windows: for each language its windows (time, windows)."""
+        rng, m, v = np.random.default_rng(seed), {k: 0 for k in self.p}, {k: 0 for k in self.p}
+        target = np.repeat(np.arange(len(windows)), -(-batch // max(1, len(windows))))
+        for t in range(1, steps + 1):
+            codes = np.concatenate([w[:, rng.integers(0, w.shape[1], -(-batch // len(windows)))] for w in windows], 1)
+            _, grad = self.gradient(codes, target)
+            norm = np.sqrt(sum(float((g * g).sum()) for g in grad.values()))
+            for key, g in grad.items():
+                g = g * min(1, 1 / max(norm, 1e-9))
+                m[key], v[key] = 0.9 * m[key] + 0.1 * g, 0.99 * v[key] + 0.01 * g * g
+                self.p[key] = (self.p[key] - rate * (1 - t / (steps + 1)) * (m[key] / (1 - 0.9**t)) / (np.sqrt(v[key] / (1 - 0.99**t)) + 1e-8)).astype(np.float32)
         return self
 
-    def label(self, piece: str) -> np.ndarray:
-        """Log probabilities of each byte position of one piece."""
-        return self.forward(codes_of([piece]))[0][:, 0]
-
-    def pooled(self, pieces: list[str]) -> np.ndarray:
-        """Sum over positions of each piece's log probabilities; in float64, one piece at a time alike in any batch."""
-        out = np.zeros((len(pieces), len(self.languages)))
-        order = sorted(range(len(pieces)), key=lambda k: len(pieces[k].encode()))
-        for lo in range(0, len(order), 2048):
-            lot = order[lo : lo + 2048]
-            logp, mask, *_ = self.forward(codes_of([pieces[k] for k in lot]))
-            out[lot] = np.round((logp * mask[:, :, None]).sum(0, dtype=np.float64), 4)
+    def documents(self, texts: list[str]) -> list[tuple[str, float]]:
+        """(language, score) of each text."""
+        out: list = [(UNKNOWN, 0.0)] * len(texts)
+        at = [k for k, t in enumerate(texts) if _LETTER.search(t)] if self.languages else []
+        if not at:
+            return out
+        raw = [texts[k].lower().encode() for k in at]
+        total, sizes = np.zeros((len(at), len(self.languages))), np.array([len(x) for x in raw])
+        for codes, owner in lots(raw):
+            logp = self.label(codes)
+            logp *= (codes < PAD)[:, None]
+            np.add.at(total, owner, np.round(logp.sum(0, dtype=np.float64).T, 3))
+        mean = total / sizes[:, None]
+        p = np.exp(mean - mean.max(1, keepdims=True))
+        for k, row in zip(at, p):
+            best = int(np.argmax(row))
+            out[k] = self.languages[best], float(row[best] / row.sum())
         return out
 
 
-def codes_of(words: list[str]) -> np.ndarray:
-    raw = [w.encode() for w in words]
-    out = np.full((max(map(len, raw)), len(raw)), 256, np.int64)
-    for k, b in enumerate(raw):
-        out[: len(b), k] = list(b)
-    return out
-
-
-def pieces_of(word: str) -> list[str]:
-    if len(word) * 4 <= PIECE or len(word.encode()) <= PIECE:
-        return [word]
-    return [word[k : k + PIECE // 4] for k in range(0, len(word), PIECE // 4)]
-
+def slope(gate: np.ndarray) -> np.ndarray:
+    """Derivative of 0.5 + 0.5 x / (1 + |x|) by its value."""
+    return 0.5 * (1 - np.abs(2 * gate - 1)) ** 2
 
-class Pooler:
-    """Document values, with the words' sums kept in a table that is emptied beyond its limit."""
 
-    def __init__(self, model: ByteGru, limit: int = 1_000_000):
-        self.model, self.limit, self.at = model, limit, {}
-        self.values = np.zeros((1024, len(model.languages) + 1))
+def windows_of(raw: bytes) -> np.ndarray:
+    """Codes (time, windows) of one text; the last window is filled with PAD."""
+    codes = np.full((-(-len(raw) // WINDOW), WINDOW), PAD, np.int16)
+    codes.ravel()[: len(raw)] = np.frombuffer(raw, np.uint8)
+    return codes.T
 
-    def learn(self, words: list[str]) -> None:
-        pieces, owner = [], []
-        for k, w in enumerate(words):
-            if any(map(str.isalpha, w)):
-                for p in pieces_of(w):
-                    pieces.append(p)
-                    owner.append(k)
-        got = np.zeros((len(words), self.values.shape[1]))
-        if pieces:
-            np.add.at(got, owner, np.column_stack([self.model.pooled(pieces), [len(p.encode()) for p in pieces]]))
-        n = len(self.at)
-        while n + len(words) > len(self.values):
-            self.values = np.concatenate([self.values, np.zeros_like(self.values)])
-        self.values[n : n + len(words)] = got
-        self.at.update(zip(words, range(n, n + len(words))))
 
-    def documents(self, texts: list[str]) -> list[tuple[str, float]]:
-        if not self.model.languages:
-            return [(UNKNOWN, 0.0)] * len(texts)
-        words = [_WORD.findall(t.lower()) for t in texts]
-        new = {w for ws in words for w in ws if w not in self.at}
-        if len(self.at) + len(new) > self.limit and self.at:
-            self.at, self.values = {}, np.zeros((1024, self.values.shape[1]))
-            new = {w for ws in words for w in ws}
-        if new:
-            self.learn(sorted(new))
-        out = []
-        for ws in words:
-            total = self.values[list(map(self.at.__getitem__, ws))].sum(0) if ws else np.zeros(self.values.shape[1])
-            if not total[-1]:
-                out.append((UNKNOWN, 0.0))
-                continue
-            mean = total[:-1] / total[-1]
-            p = np.exp(mean - mean.max())
-            k = int(np.argmax(p))
-            out.append((self.model.languages[k], float(p[k] / p.sum())))
-        return out
+def lots(raw: list[bytes]):
+    """(codes, number of the text of each window), at most LOT windows at a time."""
+    held, owner, n = [], [], 0
+    for k, x in enumerate(raw):
+        w = windows_of(x)
+        for lo in range(0, w.shape[1], LOT):
+            part = w[:, lo : lo + LOT]
+            if n + part.shape[1] > LOT:
+                yield np.concatenate(held, 1), np.repeat(*zip(*owner))
+                held, owner, n = [], [], 0
+            held.append(part)
+            owner.append((k, part.shape[1]))
+            n += part.shape[1]
+    if held:
+        yield np.concatenate(held, 1), np.repeat(*zip(*owner))
 
 
-def train(docs: DataFrame, usable: Column, per_language: int = 300, words: int = 16_000, id_col: str = "doc_id", text_col: str = "text", lang_col: str = "lang") -> ByteGru:
-    """Fit on at most per_language documents of each language, those whose hashed id is least, and on the most
-    frequent words of each language, an equal share of `words` for each; both are chosen over all usable rows."""
+def train(docs: DataFrame, usable: Column, per_language: int = 300, id_col: str = "doc_id", text_col: str = "text", lang_col: str = "lang") -> ByteGru:
+    """Fit on the whole texts of at most per_language documents of each language: those whose hashed id is least among all
+    usable rows.  The driver holds those texts."""
     rows = docs.where(F.col(lang_col).isNotNull() & F.col(text_col).isNotNull() & usable).select(F.col(id_col).cast("long").alias("i"), F.col(text_col).alias("t"), F.col(lang_col).alias("l"))
     order = Window.partitionBy("l").orderBy(F.xxhash64("i"), "i")
-    few = rows.select("i", "l").withColumn("k", F.row_number().over(order)).where(F.col("k") <= per_language).select("i", "l")
-    seen = rows.join(F.broadcast(few), ["i", "l"])
-    seen = common.settle(seen.select("l", F.explode(F.regexp_extract_all(F.lower("t"), F.lit(r"(\p{L}+)"), F.lit(1))).alias("w")).groupBy("l", "w").count(), "words")
-    languages = sorted(r.l for r in seen.select("l").distinct().collect())
+    few = rows.select("i", "l").withColumn("k", F.row_number().over(order)).where(F.col("k") <= per_language).select("i", "l").distinct()
+    texts: dict[str, list[str]] = {}
+    for r in rows.join(F.broadcast(few), ["i", "l"]).collect():
+        if _LETTER.search(r.t):
+            texts.setdefault(r.l, []).append(r.t)
+    languages = sorted(texts)
     if not languages:
         return ByteGru([])
-    often = Window.partitionBy("l").orderBy(F.desc("count"), "w")
-    chosen = seen.withColumn("k", F.row_number().over(often)).where(F.col("k") <= max(1, words // len(languages))).select("w").distinct()
-    counts: dict[str, Counter] = {}
-    for r in seen.join(F.broadcast(chosen), "w").collect():
-        counts.setdefault(r.w, Counter())[r.l] += r["count"]
-    table: dict[str, np.ndarray] = {}
-    for w in sorted(counts, key=lambda w: (-sum(counts[w].values()), w)):
-        for p in pieces_of(w):
-            table[p] = table.get(p, 0) + np.array([counts[w][l] for l in languages], float)
-    # each language weighs the same
-    total = sum(table.values())
-    return ByteGru(languages).train({p: v / total * total.mean() for p, v in table.items()})
-
-
-def pooler_of(key: str, model: ByteGru) -> Pooler:
-    if key not in _tables:
-        _tables.clear()
-        _tables[key] = Pooler(model)
-    return _tables[key]
+    return ByteGru(languages).train([np.concatenate([windows_of(t.lower().encode()) for t in sorted(texts[l])], 1) for l in languages])
 
 
 def _labeller(docs: DataFrame, model: ByteGru):
-    import uuid
-
-    held, key = docs.sparkSession.sparkContext.broadcast(model), uuid.uuid4().hex
-
-    def values(texts: list[str]) -> list[tuple[str, float]]:
-        pooler, out = pooler_of(key, held.value), []
-        for lo in range(0, len(texts), 256):
-            out += pooler.documents(texts[lo : lo + 256])
-        return out
-
-    return values
+    held = docs.sparkSession.sparkContext.broadcast(model)  # some thousand numbers
+    return lambda texts: held.value.documents(texts)
 
 
 def predict(docs: DataFrame, model: ByteGru, id_col: str = "doc_id", text_col: str = "text") -> DataFrame:

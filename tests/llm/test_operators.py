@@ -162,6 +162,21 @@ def test_toxicity_learns_and_treats_groups_alike(spark, odd, empty):
     assert toxicity.counterfactual("The Muslim women sang") == "The christian men sang"
 
 
+def test_toxicity_held_out(spark):
+    """The query on real labels: learned from two thirds, held against the rest; the words that tell may come late in a text."""
+    from relml.llm import queries
+
+    sf = "/root/testdata/sf0.1"
+    got = queries.op4_toxicity(spark, sf).join(common.load(spark, sf, "labels"), "doc_id").where("held_out").collect()
+    tp = sum(r.toxic == 1 and r.predicted == 1 for r in got)
+    # some labelled texts hold no word that any other toxic one has
+    assert tp >= 0.8 * sum(r.toxic for r in got) > 0 and sum(r.toxic == 0 and r.predicted == 1 for r in got) <= 0.005 * len(got)
+    rows = [(k, "calm words here " * 4_000 + ("grothval" if k % 2 else "pleasant"), k % 2) for k in range(60)]
+    late = spark.createDataFrame(rows, "doc_id long, text string, toxic int")
+    model = toxicity.train(late.drop("toxic"), late, F.lit(True))
+    assert model.score(rows[1][1]) > 0.7 > model.score(rows[0][1])
+
+
 def test_word_bpe_equals_library(spark, docs, odd, empty):
     file = P.path("word_bpe_49k.json")
     from tokenizers import Tokenizer
@@ -271,20 +286,19 @@ def test_media_member_is_retried(tmp_path):
 
 
 def test_gru_gradient_is_right():
-    m = langid.ByteGru(["x", "y"], hidden=3, embed=2)
+    m = langid.ByteGru(["x", "y"], hidden=3)
     m.p = {k: v.astype(np.float64) for k, v in m.p.items()}
-    codes, target, weight = langid.codes_of(["ab", "cde"]), np.array([[1.0, 0], [0.25, 0.75]]), np.array([1.0, 2.0])
-    _, grad = m.gradient(codes, target, weight)
+    codes, target = np.concatenate([langid.windows_of(b"ab")[:5], langid.windows_of(b"cdea")[:5]], 1), np.array([0, 1])
+    _, grad = m.gradient(codes, target)
     for k in m.p:
-        for at in list(np.ndindex(m.p[k].shape))[:: max(1, m.p[k].size // 7)]:
-            if k == "E" and at[0] not in codes:
-                continue
+        places = list(np.ndindex(m.p[k].shape))
+        for at in [p for p in places if k[0] != "W" or p[1] in codes][:: max(1, len(places) // 7 if k[0] != "W" else 5)]:
             held, out = m.p[k][at], []
-            for d in (1e-3, -1e-3):
+            for d in (1e-4, -1e-4):
                 m.p[k][at] = held + d
-                out.append(m.gradient(codes, target, weight)[0])
+                out.append(m.gradient(codes, target)[0])
             m.p[k][at] = held
-            assert grad[k][at] == pytest.approx((out[0] - out[1]) / 2e-3, rel=3e-2, abs=2e-4), (k, at)
+            assert grad[k][at] == pytest.approx((out[0] - out[1]) / 2e-4, rel=1e-3, abs=1e-6), (k, at)
 
 
 def test_language_held_out(spark, docs, odd, empty):
@@ -296,26 +310,39 @@ def test_language_held_out(spark, docs, odd, empty):
     assert langid.keep_known(odd, model, 0.0).where("text is null or trim(text) = ''").count() == 0
     assert langid.predict(empty, model).count() == 0
     assert langid.predict(odd, langid.train(docs.where("false"), F.lit(True))).where("lang_pred <> 'und'").count() == 0
-    a, b = langid.Pooler(model), langid.Pooler(model, limit=3)
-    assert a.documents(["the cat le chat", "der Hund"]) == b.documents(["the cat le chat"]) + b.documents(["der Hund"])
+
+
+def test_language_labels_every_byte_of_a_text(docs):
+    texts = ["the cat le chat " * 40, "der Hund", "12 ä", "x" * 200_000]
+    raw = [t.encode() for t in texts]
+    seen = [b"" for _ in texts]
+    for codes, owner in langid.lots(raw):
+        assert codes.shape[1] <= langid.LOT
+        for w, k in zip(codes.T, owner):
+            seen[k] += bytes(int(c) for c in w if c < langid.PAD)
+    assert seen == raw
+    model = langid.ByteGru(["x", "y"])
+    assert model.label(langid.windows_of(raw[0])).shape == (langid.WINDOW, 2, 10)
+    each = [model.documents([t])[0] for t in texts]
+    assert [(l, pytest.approx(s, abs=1e-3)) for l, s in each] == model.documents(texts)
 
 
 def test_rare_language_is_learned(spark):
-    """One short document beside languages whose words alone would fill the bound."""
+    """One short document beside languages of many."""
     rng = np.random.default_rng(6)
     word = lambda letters: "".join(rng.choice(list(letters), 6))
     rows = [(k, " ".join(w for w in [word("abcdefg" if k % 2 else "nopqrst")] * 4), "xy"[k % 2]) for k in range(80)]
     rows += [(80, "zuvzuv", "z")]
-    model = langid.train(spark.createDataFrame(rows, "doc_id long, text string, lang string"), F.lit(True), words=18)
+    model = langid.train(spark.createDataFrame(rows, "doc_id long, text string, lang string"), F.lit(True))
     assert model.languages == ["x", "y", "z"] and all(np.isfinite(p).all() for p in model.p.values())
-    got = langid.Pooler(model).documents(["zuvzuv", rows[0][1], rows[1][1]])
-    assert all(0 < s <= 1 for _, s in got) and got[0][0] == "z"
+    got = model.documents(["zuvzuv", rows[0][1], rows[1][1]])
+    assert [l for l, _ in got] == ["z", "x", "y"] and all(0 < s <= 1 for _, s in got)
 
 
 def test_language_is_learned_from_whole_texts(spark):
-    rows = [(0, "1 " * 20_000 + "abc def abc def", "x"), (1, "xyz uvw xyz uvw", "y")]
+    rows = [(0, "1 " * 20_000 + "abc def " * 4_000, "x"), (1, "xyz uvw xyz uvw", "y")]
     model = langid.train(spark.createDataFrame(rows, "doc_id long, text string, lang string"), F.lit(True))
-    assert model.languages == ["x", "y"]
+    assert model.languages == ["x", "y"] and model.documents(["abc def abc def"])[0][0] == "x"
 
 
 def brute_dedup(texts, least):
