@@ -14,7 +14,6 @@ import hashlib
 import io
 import json
 import re
-import threading
 import unicodedata
 
 import numpy as np
@@ -24,8 +23,6 @@ from pyspark.sql import functions as F
 
 from . import common
 
-_local: dict = {}
-_lock = threading.Lock()
 _ODD = re.compile("[^\t\n\r -~¡-ɏ‐-‧]|[ª­²³µ¹º¼-¾İĲĳŉſ]")
 
 
@@ -174,27 +171,13 @@ class WordBpe:
         return [self.vocab[p] for p in parts if p in self.vocab]
 
 
-class Known(dict):
-    """Results by key, worked out on first use; forgotten as a whole beyond its limit."""
-
-    def __init__(self, learn, limit: int):
-        super().__init__()
-        self.learn, self.limit = learn, limit
-
-    def __missing__(self, key):
-        if len(self) >= self.limit:
-            self.clear()
-        got = self[key] = self.learn(key)
-        return got
-
-
 class Codec:
     """Encoder and decoder of one worker: the mapped automaton first, exact merging next, results kept by word."""
 
-    def __init__(self, file: str, folder: str | None, cache: int = 800_000):
+    def __init__(self, file: str, folder: str | None, cache: int = common.CACHE_BYTES):
         self.bpe = WordBpe(file)
         self.lexicon = Transducer.open(folder) if folder else None
-        self.known = Known(self.learn, cache)
+        self.known = common.Known(self.learn, cache, lambda got: 250 + len(got[1]) + 2 * len(got[2]))
 
     def ids(self, word: str) -> list[int]:
         got = self.lexicon.find(word) if self.lexicon else None
@@ -234,11 +217,7 @@ def frequent_words(docs: DataFrame, text_col: str = "text", size: int = 20_000)
 
 
 def codec_of(file: str, folder: str | None) -> Codec:
-    with _lock:
-        if (file, folder) not in _local:
-            _local.clear()
-            _local[(file, folder)] = Codec(file, folder)
-        return _local[(file, folder)]
+    return common.kept_by_worker(("word-bpe", file, folder), lambda: Codec(file, folder))
 
 
 def build_lexicon(spark: SparkSession, words: list[str], file: str) -> str:

@@ -2,8 +2,10 @@
 
 from __future__ import annotations
 
+import contextlib
 import ctypes
 import tempfile
+import threading
 import uuid
 from collections.abc import Callable, Iterator
 
@@ -28,24 +30,51 @@ def load(spark: SparkSession, sf_dir: str, table: str) -> DataFrame:
 
 
 def shared_dir(spark: SparkSession) -> str:
-    """Folder that the driver and all executors see: spark.checkpoint.dir of the session, one of our own if unset."""
+    """Folder that the driver and all executors see: spark.checkpoint.dir of the session.  Where it is unset, one of our
+    own, but only if the executors run within the driver; on a cluster a local folder would lose files, so that is an error."""
     held = spark.conf.get("spark.checkpoint.dir", None)
     if held:
         return held.rstrip("/")
     jsc = spark.sparkContext._jsc.sc()
     if jsc.getCheckpointDir().isEmpty():
+        if not jsc.isLocal():
+            raise RuntimeError("set spark.checkpoint.dir to a folder that the driver and all executors share")
         spark.sparkContext.setCheckpointDir(tempfile.mkdtemp(prefix="relml-"))
     return jsc.getCheckpointDir().get().rstrip("/")
 
 
+_scopes: list[list[str]] = []
+
+
 def new_path(spark: SparkSession, label: str) -> str:
-    return f"{shared_dir(spark)}/relml-{label}-{uuid.uuid4().hex[:12]}"
+    path = f"{shared_dir(spark)}/relml-{label}-{uuid.uuid4().hex[:12]}"
+    for scope in _scopes:
+        scope.append(path)
+    return path
+
+
+@contextlib.contextmanager
+def scratch(spark: SparkSession):
+    """What is written to the shared folder within goes at the end: for results that are stored elsewhere before."""
+    paths: list[str] = []
+    _scopes.append(paths)
+    try:
+        yield
+    finally:
+        _scopes.remove(paths)
+        for path in paths:
+            delete(spark, path)
 
 
-def settle(df: DataFrame, label: str) -> DataFrame:
+def delete(spark: SparkSession, path: str) -> None:
+    path = spark._jvm.org.apache.hadoop.fs.Path(path)
+    path.getFileSystem(spark._jsc.hadoopConfiguration()).delete(path, True)
+
+
+def settle(df: DataFrame, label: str, path: str | None = None) -> DataFrame:
     """Write df to the shared folder and read it back: cuts lineage and survives lost executors."""
     spark = df.sparkSession
-    path = new_path(spark, label)
+    path = path or new_path(spark, label)
     df.write.option("compression", "zstd").parquet(path)
     spark.sparkContext._jvm.System.gc()  # lets Spark's cleaner delete shuffle files that nothing refers to any more
     return spark.read.schema(df.schema).parquet(path)
@@ -55,8 +84,7 @@ def discard(df: DataFrame) -> None:
     """Delete the files of a table that settle() wrote and that nothing reads any more."""
     spark = df.sparkSession
     for parent in {f.rsplit("/", 1)[0] for f in df.inputFiles() if "/relml-" in f}:
-        path = spark._jvm.org.apache.hadoop.fs.Path(parent)
-        path.getFileSystem(spark._jsc.hadoopConfiguration()).delete(path, True)
+        delete(spark, parent)
 
 
 def held_out(doc_id: str | Column, mod: int, rest: int) -> Column:
@@ -81,6 +109,46 @@ def map_batches(df: DataFrame, make: Callable[[], Callable[[pa.RecordBatch], pa.
     return df.mapInArrow(run, schema)
 
 
+_kept: dict = {}
+_lock = threading.RLock()
+CACHE_BYTES = 48 << 20
+
+
+def kept_by_worker(key, make: Callable):
+    """The one thing that a worker process keeps between tasks; another key takes its place, so that what one operator
+    holds does not stay while the next runs."""
+    with _lock:
+        if key not in _kept:
+            _kept.clear()
+            give_back()
+            _kept[key] = make()
+            give_back()
+        return _kept[key]
+
+
+class Known(dict):
+    """Results by key, worked out on first use; forgotten as a whole beyond a number of bytes."""
+
+    def __init__(self, learn: Callable | None = None, limit: int = CACHE_BYTES, size: Callable = len):
+        super().__init__()
+        self.learn, self.limit, self.size, self.bytes = learn, limit, size, 0
+
+    def __missing__(self, key):
+        got = self.learn(key)
+        self.keep(key, got)
+        return got
+
+    def keep(self, key: str, value) -> None:
+        if self.bytes > self.limit:
+            self.clear()
+        self.bytes += 200 + 2 * len(key) + self.size(value)  # headers of two objects and a slot
+        self[key] = value
+
+    def clear(self) -> None:
+        super().clear()
+        self.bytes = 0
+
+
 def give_back() -> None:
     """Return memory that Arrow and the C library hold unused, where the C library can."""
     pa.default_memory_pool().release_unused()

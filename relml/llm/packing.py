@@ -15,7 +15,6 @@ from __future__ import annotations
 
 import json
 import re
-import threading
 import zlib
 
 import numpy as np
@@ -26,16 +25,14 @@ from pyspark.sql import functions as F
 
 from . import common
 
-_local: dict = {}
-_lock = threading.Lock()
 _ODD = re.compile("[^\t\n\r -~¡-ɏ‐-‧]|[ª²³¹º¼-¾]")
 _UNEVEN = ("  ", " \n", "\n ", " \t", "\t ", " \r", "\r ")
 
 
 class ByteBpe:
-    """Ids of the byte-level tokenizer file as uint32 bytes; chunks between single spaces are kept by worker."""
+    """Ids of the byte-level tokenizer file as uint32 bytes; chunks between single spaces are kept, up to a number of bytes."""
 
-    def __init__(self, file: str, cache: int = 1_200_000):
+    def __init__(self, file: str, cache: int = common.CACHE_BYTES):
         import tiktoken
         from public_tokenizers import PATTERN
 
@@ -52,9 +49,8 @@ class ByteBpe:
         self.sizes = np.zeros(max(ranks.values()) + 2, np.int64)
         for token, i in ranks.items():
             self.sizes[i] = len(token)
-        self.known: dict[str, bytes] = {}
-        self.heads: dict[str, bytes] = {}
-        self.limit = cache
+        self.known = common.Known(limit=cache)
+        self.heads = common.Known(self.direct, cache // 4)
         self._exact = None
 
     def direct(self, text: str) -> bytes:
@@ -87,7 +83,7 @@ class ByteBpe:
                 out.append((head, rest, list(map(known.get, rest))))
         new = {c for x in out if type(x) is tuple and None in x[2] for c, got in zip(x[1], x[2]) if got is None}
         if new:
-            if len(known) > self.limit:
+            if known.bytes > known.limit:
                 known.clear()
             fresh = list(new)
             ids = np.array(self.core.encode_ordinary(" " + " ".join(fresh)), "<u4")
@@ -97,23 +93,13 @@ class ByteBpe:
             for c, hi in zip(fresh, (cuts * 4).tolist()):
                 found[c] = raw[lo:hi]
                 lo = hi
-            known.update(found)
-        return [x if type(x) is bytes else self.head(x[0]) + b"".join([found[c] if got is None else got for c, got in zip(x[1], x[2])] if None in x[2] else x[2]) for x in out]
-
-    def head(self, chunk: str) -> bytes:
-        got = self.heads.get(chunk)
-        if got is None:
-            if len(self.heads) > self.limit // 4:
-                self.heads.clear()
-            got = self.heads[chunk] = self.direct(chunk)
-        return got
+            for c, raw in found.items():
+                known.keep(c, raw)
+        return [x if type(x) is bytes else self.heads[x[0]] + b"".join([found[c] if got is None else got for c, got in zip(x[1], x[2])] if None in x[2] else x[2]) for x in out]
 
 
 def encoder_of(file: str) -> ByteBpe:
-    with _lock:
-        if file not in _local:
-            _local[file] = ByteBpe(file)
-        return _local[file]
+    return common.kept_by_worker(("byte-bpe", file), lambda: ByteBpe(file))
 
 
 class Pool:

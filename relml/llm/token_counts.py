@@ -14,7 +14,6 @@ Null and empty texts give 0 pieces and score 0.  Repeated rows give repeated res
 from __future__ import annotations
 
 import re
-import threading
 
 import pyarrow as pa
 from pyspark.sql import DataFrame
@@ -24,14 +23,12 @@ from . import common
 
 UNKNOWN_PENALTY = 10.0
 SPACE = "▁"
-_local: dict = {}
-_lock = threading.Lock()
 
 
 class CountingViterbi:
     """Score and number of pieces of the best segmentation."""
 
-    def __init__(self, pieces: dict[str, float], byte_fallback: bool = True, unk: str = "<unk>", cache: int = 1_200_000):
+    def __init__(self, pieces: dict[str, float], byte_fallback: bool = True, unk: str = "<unk>", cache: int = common.CACHE_BYTES):
         import ahocorasick
 
         self.auto = ahocorasick.Automaton()
@@ -45,8 +42,7 @@ class CountingViterbi:
         breaks = [p for p in pieces if "\n" in p]
         exact = all(float(s).is_integer() for s in pieces.values())
         self.chunks = re.compile(f"\n|{SPACE}+[^{SPACE}\n]*|[^{SPACE}\n]+") if exact and not inner and not breaks else None
-        self.cache: dict[str, tuple[float, int]] = {}
-        self.limit = cache
+        self.cache = common.Known(limit=cache, size=lambda got: 100)
 
     def solve(self, text: str) -> tuple[float, int]:
         n = len(text)
@@ -97,9 +93,7 @@ class CountingViterbi:
             if got is None:
                 got = self.solve(chunk)
                 if len(chunk) < 64:
-                    if len(cache) >= self.limit:
-                        cache.clear()
-                    cache[chunk] = got
+                    cache.keep(chunk, got)
             score += got[0]
             pieces += got[1]
         return score, pieces
@@ -114,10 +108,7 @@ def vocabulary(model_file: str) -> dict[str, float]:
 
 def viterbi_of(model_file: str) -> CountingViterbi:
     """One per worker process: its chunk cache lives on from task to task."""
-    with _lock:
-        if model_file not in _local:
-            _local[model_file] = CountingViterbi(vocabulary(model_file))
-        return _local[model_file]
+    return common.kept_by_worker(("viterbi", model_file), lambda: CountingViterbi(vocabulary(model_file)))
 
 
 def token_counts(docs: DataFrame, model_file: str, id_col: str = "doc_id", text_col: str = "text") -> DataFrame:
