@@ -366,7 +366,7 @@ def _tree_spec(spark: SparkSession, sf: str) -> tuple[JoinSpec, list[Feature], F
 def root_split(spark: SparkSession, sf: str) -> DataFrame:
     spec, fs, y = _tree_spec(spark, sf)
     g = tree.Grower(spec, fs, y, tree.Measure("sse"), None)
-    stats = g.statistics({1: []})
+    stats = g.statistics()
     best = g.best_splits(stats.withColumn("node", F.col("fid")), 1)  # a node for each feature: the best of each
     names = F.element_at(F.array(*[F.lit(f.name) for f in fs]), F.col("fid") + 1)
     return best.select(names.alias("feature"), F.col("val").alias("threshold"), F.col("l0").alias("left_n"), sig(F.col("cost")).alias("cost"))
@@ -375,13 +375,13 @@ def root_split(spark: SparkSession, sf: str) -> DataFrame:
 @query("tree_root_split_categorical", f"WITH s AS (SELECT p_type AS cat, CAST(count(*) AS DOUBLE) AS n, sum(l_quantity) AS s1, sum(l_quantity * l_quantity) AS s2 FROM lineitem JOIN part ON l_partkey = p_partkey GROUP BY 1), r AS (SELECT cat, s1 / n AS m, sum(n) OVER w AS ls, sum(s1) OVER w AS l1, sum(s2) OVER w AS l2, sum(n) OVER () AS tn, sum(s1) OVER () AS t1, sum(s2) OVER () AS t2 FROM s WINDOW w AS (ORDER BY s1 / n, cat ROWS UNBOUNDED PRECEDING)) SELECT ls AS left_n, {sig_sql('(l2 - l1 * l1 / ls) + ((t2 - l2) - (t1 - l1) * (t1 - l1) / (tn - ls))')} AS cost FROM r WHERE tn > ls ORDER BY (l2 - l1 * l1 / ls) + ((t2 - l2) - (t1 - l1) * (t1 - l1) / (tn - ls)) LIMIT 1")
 def root_split_categorical(spark: SparkSession, sf: str) -> DataFrame:
     g = tree.Grower(ds.star(spark, sf, "part"), [Feature("p_type", "part", "p_type", "cat")], Feature("y", "lineitem", "l_quantity"), tree.Measure("sse"), None)
-    return g.best_splits(g.statistics({1: []}), 1).select(F.col("l0").alias("left_n"), sig(F.col("cost")).alias("cost"))
+    return g.best_splits(g.statistics(), 1).select(F.col("l0").alias("left_n"), sig(F.col("cost")).alias("cost"))
 
 
 @query("tree_level_stats", "SELECT CAST(p_size AS DOUBLE) AS val, CAST(count(*) AS DOUBLE) AS n, sum(l_quantity) AS s1, sum(l_quantity * l_quantity) AS s2 FROM lineitem JOIN part ON l_partkey = p_partkey GROUP BY 1")
 def level_stats(spark: SparkSession, sf: str) -> DataFrame:
     g = tree.Grower(ds.star(spark, sf, "part"), [Feature("p_size", "part", "p_size")], Feature("y", "lineitem", "l_quantity"), tree.Measure("sse"), None)
-    return g.statistics({1: []}).select("val", F.col("s0").alias("n"), "s1", "s2")
+    return g.statistics().select("val", F.col("s0").alias("n"), "s1", "s2")
 
 
 def _grown(spark: SparkSession, sf: str, depth: int, part: str = "train") -> tuple[tree.TreeModel, list[Feature], Feature]:
@@ -389,6 +389,38 @@ def _grown(spark: SparkSession, sf: str, depth: int, part: str = "train") -> tup
     return tree.grow_regression_tree(spec, fs, y, depth), fs, y
 
 
+def depth2_sql(source: str, features: list[str], y: str) -> str:
+    """The three tests of a tree of depth 2: running sums for the root, then for both sides of its test."""
+    cost = "(l2 - l1 * l1 / ls) + ((t2 - l2) - (t1 - l1) * (t1 - l1) / (tn - ls))"
+    names = ", ".join(f"'{f}'" for f in features)
+
+    def best(rows: str) -> str:
+        stats = f"SELECT node, fid, v, CAST(count(*) AS DOUBLE) AS n, sum(y) AS s1, sum(y * y) AS s2 FROM {rows} GROUP BY 1, 2, 3"
+        run = f"SELECT node, fid, v, sum(n) OVER w AS ls, sum(s1) OVER w AS l1, sum(s2) OVER w AS l2, sum(n) OVER g AS tn, sum(s1) OVER g AS t1, sum(s2) OVER g AS t2 FROM ({stats}) WINDOW w AS (PARTITION BY node, fid ORDER BY v ROWS UNBOUNDED PRECEDING), g AS (PARTITION BY node, fid)"
+        return f"SELECT node, fid, v, tn, ls FROM (SELECT *, row_number() OVER (PARTITION BY node ORDER BY {cost}, fid, v) AS k FROM ({run}) WHERE tn > ls) WHERE k = 1"
+
+    long = " UNION ALL ".join(f"SELECT id, {k} AS fid, CAST({f} AS DOUBLE) AS v, y FROM j" for k, f in enumerate(features))
+    side = "SELECT u.id, CASE WHEN u.v <= b.v THEN 2 ELSE 3 END AS node FROM u JOIN b1 b ON u.fid = b.fid"
+    return f"WITH j AS MATERIALIZED (SELECT row_number() OVER () AS id, {', '.join(features)}, {y} AS y FROM {source}), u AS (SELECT 1 AS node, * FROM ({long})), b1 AS MATERIALIZED ({best('u')}), a AS ({side}), w AS (SELECT a.node, u.fid, u.v, u.y FROM u JOIN a USING (id)), b2 AS ({best('w')}) SELECT CAST(node AS INTEGER) AS node_id, list_extract([{names}], fid + 1) AS feature, v AS threshold, tn AS n, ls AS left_n FROM (SELECT * FROM b1 UNION ALL SELECT * FROM b2)"
+
+
+def _splits(spark: SparkSession, m: tree.TreeModel) -> DataFrame:
+    rows = [(k, n.feature, n.threshold, n.n, m.nodes[2 * k].n) for k, n in sorted(m.nodes.items()) if n.feature]
+    return spark.createDataFrame(rows, "node_id int, feature string, threshold double, n double, left_n double")
+
+
+query("tree_depth2_splits", depth2_sql(f"{FROM_NARROW} WHERE l_shipdate <= {LAST}", NARROW, "l_quantity"))(lambda spark, sf: _splits(spark, _grown(spark, sf, 2)[0]))
+
+
+@query("tree_filtered_dimensions", depth2_sql("lineitem JOIN (SELECT * FROM part WHERE p_size > 20 UNION ALL SELECT * FROM part WHERE p_size > 20 AND p_partkey % 5 = 0) ON l_partkey = p_partkey JOIN supplier ON l_suppkey = s_suppkey WHERE s_acctbal > 0", [n for n, _ in CONT], "l_quantity"))
+def tree_filtered(spark: SparkSession, sf: str) -> DataFrame:
+    """Rows without partners are out and repeated dimension rows count as often as they join."""
+    part = load(spark, sf, "part")
+    spec, fs, y = _tree_spec(spark, sf)
+    spec = JoinSpec({**spec.relations, "part": Relation("part", part.unionAll(part.where("p_partkey % 5 = 0")))}, spec.on).filtered(part="p_size > 20", supplier="s_acctbal > 0")
+    return _splits(spark, tree.grow_regression_tree(spec, fs, y, 2))
+
+
 query("tree_depth2")(lambda spark, sf: _grown(spark, sf, 2)[0].to_df(spark))
 query("tree_depth4_narrow6")(lambda spark, sf: _grown(spark, sf, 4)[0].to_df(spark))
 
@@ -427,7 +459,7 @@ def tree_planted(spark: SparkSession, sf: str) -> DataFrame:
 def classification(spark: SparkSession, sf: str) -> DataFrame:
     spec = JoinSpec({"labels": Relation("labels", load(spark, sf, "labels")), "documents": Relation("documents", load(spark, sf, "documents").select("doc_id", "n_chars"), ("doc_id",), True)}, (("labels", "documents", (("doc_id", "doc_id"),)),))
     g = tree.Grower(spec, [Feature("n_chars", "documents", "n_chars")], Feature("q", "labels", "quality"), tree.Measure("gini", 2), None)
-    best = g.best_splits(g.statistics({1: []}), 1)
+    best = g.best_splits(g.statistics(), 1)
     return best.select(F.col("val").alias("threshold"), F.col("l0").alias("left_n"))
 
 
@@ -444,7 +476,7 @@ def forest(spark: SparkSession, sf: str) -> DataFrame:
 @query("boosted_trees")
 def boosted(spark: SparkSession, sf: str) -> DataFrame:
     spec, fs, y = ds.narrow6(spark, sf, "train")
-    models = tree.boosted_trees(naive_join(spec, [*fs, y]), fs, y, rounds=2, max_depth=2)
+    models = tree.boosted_trees(spec, fs, y, rounds=2, max_depth=2)
     out = None
     for t, m in enumerate(models):
         df = m.to_df(spark).withColumn("tree", F.lit(t))

@@ -1,9 +1,10 @@
 """Regression and classification trees by level: one batch of aggregates per depth for all open nodes.
 
-A node's path is a conjunction of tests, each on one relation's feature, so it splits into a mask per relation: bit j says
-that a row passes all of that relation's tests on the path of node j.  The masks meet along the join, the root's rows are
-summed by node and by the key of each branch before that branch is joined, and each value's sums end as rows
-(node, feature, value, sums).  Splits are found by running sums over the values; the other side is the total less that.
+A node's path is a conjunction of tests, each on one relation's feature, so it splits into a mask per relation.  The masks
+meet along the join, the root's rows are summed by node and by the key of each branch before that branch's values are met,
+and each value's sums end as rows (node, feature, value, sums).  All sums are over the inner join: rows without partners are
+out, repeated keys, filters and multiplicities count.  Splits are found by running sums over the values; the other side is
+the total less that.
 """
 
 from __future__ import annotations
@@ -106,172 +107,267 @@ class Measure:
         return s[1] / s[0] if self.kind == "sse" else s[-1] / s[0]
 
 
+LOT = 60  # open nodes of one batch of sums: a node is a bit of a long
+BLOCKS = 64  # parts into which the values of one feature are cut for their running sums
+
+
 class Grower:
-    def __init__(self, spec: JoinSpec, features: list[Feature], label: Feature, measure: Measure, max_bins: int | None):
+    """Grows a tree on the join.  past: trees of earlier rounds with their rates, whose predictions leave the label.
+
+    A joined row's node follows from its tests in all relations, so each relation gives its rows a mask: bit j says that the
+    tests on the path of open node j that are its own hold.  A branch publishes, for each edge key and mask, the number of
+    joined rows below; rows that find no partner leave, and repeated keys count as often as they join.  Past trees have
+    masks of their own, a bit for each leaf."""
+
+    def __init__(self, spec: JoinSpec, features: list[Feature], label: Feature, measure: Measure, max_bins: int | None = None, past: list[tuple[float, TreeModel]] = ()):
         spec.check([*features, label])
-        self.spec, self.features, self.label, self.measure = spec, features, label, measure
+        self.spec, self.features, self.label, self.measure, self.past = spec, features, label, measure, list(past)
         self.tree: JoinTree = build_join_tree(spec, label.owner)
         self.width = 3 if measure.kind == "sse" else 1 + measure.classes
+        self.owner = {f.name: f.owner for f in features}
         self.bins: dict[str, list[float]] = {}
-        if max_bins:
-            for rel in spec.relations:
-                own = [f for f in features if f.owner == rel and f.kind == "cont"]
-                if own:
-                    got = spec.rows(rel).agg(*[F.percentile_approx(f.column(False, spec.null_policy), [k / max_bins for k in range(1, max_bins + 1)]).alias(f.name) for f in own]).first()
-                    self.bins |= {f.name: sorted(set(got[f.name] or [])) for f in own}
+        self.blocks: dict[int, list[float]] = {}
+        cont = [(k, f) for k, f in enumerate(features) if f.kind == "cont"]
+        parts = max_bins or BLOCKS
+        for rel in spec.relations:
+            own = [(k, f) for k, f in cont if f.owner == rel]
+            if own:
+                got = spec.rows(rel).agg(*[F.percentile_approx(f.column(False, spec.null_policy), [p / parts for p in range(1, parts + 1)]).alias(f.name) for _, f in own]).first()
+                for k, f in own:
+                    edges = sorted(set(got[f.name] or []))
+                    if max_bins:
+                        self.bins[f.name] = edges
+                    else:
+                        self.blocks[k] = edges
+        self.base = {name: self.prepared(name) for name in spec.relations}
+        if max_bins:  # binned once
+            for df in self.base.values():
+                df.persist()
+
+    def close(self) -> None:
+        for df in self.base.values():
+            df.unpersist()
 
     def value(self, f: Feature) -> Column:
         c = f.column(False, self.spec.null_policy)
-        edges = self.bins.get(f.name)
-        if not edges:
-            return c
-        return F.coalesce(F.get(F.filter(F.array(*map(F.lit, edges)), lambda e: e >= c), F.lit(0)), c)
-
-    def rows(self, name: str, paths: dict[int, list[tuple[Node, bool]]], extra: list[Column]) -> DataFrame:
-        """A relation's keys, features and mask for the open nodes."""
-        own = [f for f in self.features if f.owner == name]
+
+        def search(edges: list[float]) -> Column:
+            """Least edge that is not below c, by halving."""
+            if len(edges) == 1:
+                return F.when(c <= edges[0], F.lit(edges[0])).otherwise(c)
+            mid = len(edges) // 2
+            return F.when(c <= edges[mid - 1], search(edges[:mid])).otherwise(search(edges[mid:]))
+
+        return search(self.bins[f.name]) if self.bins.get(f.name) else c
+
+    def prepared(self, name: str) -> DataFrame:
+        """A relation's keys, features, weight and, at the root, the label."""
+        own, rel = [f for f in self.features if f.owner == name], self.spec.relations[name]
         keys = dict.fromkeys([*(c for _, c in self.tree.edge.get(name, ())), *(p for c in self.tree.children[name] for p, _ in self.tree.edge[c])])
-        by = {f.name: f for f in own}
-        bits = []
-        for j, path in enumerate(paths.values()):
-            tests = [(TreeModel().test(n, lambda x: self.value(by[x])), yes) for n, yes in path if n.feature in by]
-            if tests:
-                passed = reduce(lambda a, b: a & b, [t if yes else ~t for t, yes in tests])
-                bits.append(F.when(passed, F.lit(1 << j)).otherwise(F.lit(0)))
-            else:
-                bits.append(F.lit(1 << j))
-        mask = reduce(lambda a, b: a.bitwiseOR(b), bits)
-        out = self.spec.rows(name).select(*[F.col(k).alias(f"k_{name}_{k}") for k in keys], *[self.value(f).alias(f"f_{f.name}") for f in own], mask.alias(f"mask_{name}"), *extra)
-        if self.spec.null_policy == "drop" and own:
-            out = out.dropna(subset=[f"f_{f.name}" for f in own])
+        cols = [F.col(k).alias(f"k_{name}_{k}") for k in keys] + [self.value(f).alias(f"f_{f.name}") for f in own]
+        cols.append((F.col(rel.mult).cast("double") if rel.mult else F.lit(1.0)).alias(f"w_{name}"))
+        if name == self.tree.root:
+            cols.append(self.label.column(False, self.spec.null_policy).alias("y"))
+        out = self.spec.rows(name).select(*cols)
+        if self.spec.null_policy == "drop":
+            out = out.dropna(subset=[f"f_{f.name}" for f in own] + (["y"] if name == self.tree.root else []))
         return out
 
+    def masks(self, name: str, open_: list[tuple[TreeModel, dict[int, int]]]) -> list[Column]:
+        """For each tree the bits of the nodes whose tests in this relation hold; each test is worked out once."""
+        def walk(model: TreeModel, bits: dict[int, int], at: int) -> Column | int:
+            if at in bits:
+                return 1 << bits[at]
+            node = model.nodes.get(at)
+            if node is None or node.feature is None:
+                return 0
+            left, right = walk(model, bits, 2 * at), walk(model, bits, 2 * at + 1)
+            if self.owner[node.feature] == name:
+                return left if left is right else F.when(model.test(node, lambda n: F.col(f"f_{n}")), as_column(left)).otherwise(as_column(right))
+            if isinstance(left, int) and isinstance(right, int):
+                return left | right
+            return as_column(left).bitwiseOR(as_column(right))
+
+        return [as_column(walk(model, bits, 1)) for model, bits in open_]
+
     def joined_on(self, left: str, right: str) -> Column:
         return reduce(lambda a, b: a & b, [F.col(f"k_{left}_{p}") == F.col(f"k_{right}_{c}") for p, c in self.tree.edge[right]])
 
-    def masks_below(self, name: str, paths: dict) -> DataFrame | None:
-        """Edge key of a branch and the AND of its masks; None if no open path tests anything there."""
-        tested = {n.feature for p in paths.values() for n, _ in p}
-        inside = self.tree.below(name)
-        if not any(f.owner in inside and f.name in tested for f in self.features):
-            return None
-        df, mask = self.rows(name, paths, []), F.col(f"mask_{name}")
+    def entries(self, name: str, open_: list) -> DataFrame:
+        """A relation's rows with, for each branch below, the masks m{j}_{branch} and the count n_{branch} of its rows, and
+        the masks m{j}_{name} of both."""
+        df = self.base[name].select("*", *[m.alias(f"o{j}") for j, m in enumerate(self.masks(name, open_))])
         for c in self.tree.children[name]:
-            below = self.masks_below(c, paths)
-            if below is not None:
-                df, mask = df.join(below, self.joined_on(name, c)), mask.bitwiseAND(F.col(f"below_{c}"))
-        return df.select(*[F.col(f"k_{name}_{c}") for _, c in self.tree.edge[name]], mask.alias(f"below_{name}"))
-
-    def statistics(self, paths: dict[int, list]) -> DataFrame:
-        """(node, fid, val, cat, s0, s1, ...) for all features and open nodes."""
+            df = df.join(self.view(c, open_), self.joined_on(name, c))
+        both = [reduce(lambda a, c: a.bitwiseAND(F.col(f"m{j}_{c}")), self.tree.children[name], F.col(f"o{j}")).alias(f"m{j}_{name}") for j in range(len(open_))]
+        return df.select("*", *both).drop(*[f"o{j}" for j in range(len(open_))]).where(f"m0_{name} <> 0")
+
+    def view(self, name: str, open_: list) -> DataFrame:
+        """(edge key, masks, n): how many joined rows the branch has for each key and mask."""
+        keys = [F.col(f"k_{name}_{c}") for _, c in self.tree.edge[name]]
+        masks = [F.col(f"m{j}_{name}") for j in range(len(open_))]
+        rows, n = self.entries(name, open_), self.within(name).alias(f"n_{name}")
+        rel = self.spec.relations[name]
+        if rel.unique and set(rel.key) <= {c for _, c in self.tree.edge[name]}:
+            return rows.select(*keys, *masks, n) if self.all_unique(name) else rows.groupBy(*keys, *masks).agg(F.sum(n).alias(f"n_{name}"))
+        return rows.groupBy(*keys, *masks).agg(F.sum(n).alias(f"n_{name}"))
+
+    def all_unique(self, name: str) -> bool:
+        """Whether each key of the branch has one row at most: then its view needs no grouping."""
+        rel = self.spec.relations[name]
+        return rel.unique and set(rel.key) <= {c for _, c in self.tree.edge[name]} and all(map(self.all_unique, self.tree.children[name]))
+
+    def within(self, name: str, but: str | None = None) -> Column:
+        """Weight of a row with the counts of its branches."""
+        return reduce(lambda a, c: a * F.col(f"n_{c}"), [c for c in self.tree.children[name] if c != but], F.col(f"w_{name}"))
+
+    def statistics(self, model: TreeModel | None = None, nodes: list[int] = (1,), totals: bool = False) -> DataFrame:
+        """(node, fid, val, cat, s0, s1, ...) for all features and the given open nodes of model, LOT at most; with totals
+        also a row of fid -1 for each node."""
+        if len(nodes) > LOT or any(len(leaves(m)) > LOT for _, m in self.past):
+            raise ValueError(f"more than {LOT} nodes")
+        open_ = [(model or TreeModel(), {n: k for k, n in enumerate(nodes)})] + [(m, {n: k for k, n in enumerate(leaves(m))}) for _, m in self.past]
         root = self.tree.root
-        rel = self.spec.relations[root]
-        weight = F.col(rel.mult).cast("double") if rel.mult else F.lit(1.0)
-        sums = [c.alias(f"s{i}") for i, c in enumerate(self.measure.columns(self.label.column(False, self.spec.null_policy), weight))]
-        df, mask = self.rows(root, paths, sums), F.col(f"mask_{root}")
-        for c in self.tree.children[root]:
-            below = self.masks_below(c, paths)
-            if below is not None:
-                df, mask = df.join(below, self.joined_on(root, c)), mask.bitwiseAND(F.col(f"below_{c}"))
-        ids = list(paths)
-        node = reduce(lambda a, j: F.when(mask.bitwiseAND(F.lit(1 << j)) != 0, F.lit(ids[j])).otherwise(a), range(len(ids)), F.lit(None).cast("int"))
-        df = df.withColumn("node", node).where("node is not null")
+        df = self.entries(root, open_)
+
+        def place(j: int) -> Column:
+            return F.round(F.log2(F.col(f"m{j}_{root}").cast("double"))).cast("int") + 1
+
+        df = df.withColumn("node", F.element_at(F.array(*map(F.lit, nodes)), place(0)))
+        y = F.col("y")
+        for j, (rate, m) in enumerate(self.past, 1):
+            y = y - F.element_at(F.array(*[F.lit(rate * m.nodes[n].prediction) for n in leaves(m)]), place(j))
+        sums = self.measure.columns(F.col("y"), F.lit(1.0))
+        df = df.withColumn("y", y).select("*", *[c.alias(f"s{i}") for i, c in enumerate(sums)])
         parts: list[DataFrame] = []
-        self.descend(root, df, parts)
+        self.descend(root, df, parts, open_, totals)
         return reduce(lambda a, b: a.unionByName(b), parts)
 
-    def descend(self, name: str, df: DataFrame, parts: list[DataFrame]) -> None:
-        sums = [F.sum(f"s{i}").alias(f"s{i}") for i in range(self.width)]
+    def descend(self, name: str, df: DataFrame, parts: list[DataFrame], open_: list, totals: bool = False) -> None:
+        """df: entries of a relation with their node and s0, s1, ..., sums over what is joined above them."""
+        s = [f"s{i}" for i in range(self.width)]
         own = [(k, f) for k, f in enumerate(self.features) if f.owner == name]
-        if own:
-            each = F.explode(F.array(*[F.struct(F.lit(k).alias("fid"), (F.lit(None).cast("double") if f.kind == "cat" else F.col(f"f_{f.name}")).alias("val"), (F.col(f"f_{f.name}").cast("string") if f.kind == "cat" else F.lit(None).cast("string")).alias("cat")) for k, f in own]))
-            parts.append(df.select("node", *[f"s{i}" for i in range(self.width)], each.alias("x")).groupBy("node", F.col("x.fid").alias("fid"), F.col("x.val").alias("val"), F.col("x.cat").alias("cat")).agg(*sums))
+        none = F.lit(None)
+        slots = [F.struct(F.lit(k).alias("fid"), (none.cast("double") if f.kind == "cat" else F.col(f"f_{f.name}")).alias("val"), (F.col(f"f_{f.name}").cast("string") if f.kind == "cat" else none.cast("string")).alias("cat")) for k, f in own]
+        if totals:
+            slots.append(F.struct(F.lit(-1).alias("fid"), none.cast("double").alias("val"), none.cast("string").alias("cat")))
+        if slots:
+            each = df.select("node", *[(F.col(c) * self.within(name)).alias(c) for c in s], F.explode(F.array(*slots)).alias("x"))
+            parts.append(each.groupBy("node", F.col("x.fid").alias("fid"), F.col("x.val").alias("val"), F.col("x.cat").alias("cat")).agg(*[F.sum(c).alias(c) for c in s]))
         for c in self.tree.children[name]:
-            if not any(f.owner in self.tree.below(c) for f in self.features):
-                continue
-            keys = [f"k_{name}_{p}" for p, _ in self.tree.edge[c]]
-            less = df.groupBy("node", *keys).agg(*sums)
-            self.descend(c, less.join(self.rows(c, {1: []}, []), self.joined_on(name, c)), parts)
-
-    def best_splits(self, stats: DataFrame, min_rows: int) -> DataFrame:
-        """(node, fid, op, threshold, categories, cost, l0.., t0..): the best test of each node.  Ties: feature, then value."""
-        s = [F.col(f"s{i}") for i in range(self.width)]
-        stats = stats.withColumn("key", F.when(F.col("cat").isNotNull(), self.measure.order(s)).otherwise(F.col("val")))
+            if any(f.owner in self.tree.below(c) for f in self.features):
+                keys = [f"k_{name}_{p}" for p, _ in self.tree.edge[c]]
+                masks = [f"m{j}_{c}" for j in range(len(open_))]
+                less = df.groupBy("node", *keys, *masks).agg(*[F.sum(F.col(x) * self.within(name, c)).alias(x) for x in s])
+                less = less.select("node", *keys, *[F.col(m).alias(f"up_{m}") for m in masks], *s)
+                same = reduce(lambda a, b: a & b, [F.col(f"up_{m}") == F.col(m) for m in masks], self.joined_on(name, c))
+                self.descend(c, less.join(self.entries(c, open_), same).drop(*[f"up_{m}" for m in masks]), parts, open_)
+
+    def best_splits(self, stats: DataFrame, min_rows: int = 1) -> DataFrame:
+        """(node, fid, op, val, categories, cost, l0.., t0..): the best test of each node.  Ties: feature, then value.
+
+        Running sums are taken within blocks of values and lifted by the totals of the blocks before, so that no task holds
+        all values of a feature; categories, in order of mean label, are one block."""
+        n, cats = range(self.width), [k for k, f in enumerate(self.features) if f.kind == "cat"]
+        s = [F.col(f"s{i}") for i in n]
+        stats = stats.where("fid >= 0").withColumn("key", F.when(F.col("fid").isin(cats), self.measure.order(s)).otherwise(F.col("val")) if cats else F.col("val"))
+        block = F.lit(0)
+        if self.blocks:
+            edges = stats.sparkSession.createDataFrame(sorted(self.blocks.items()), "fid int, edges array<double>")
+            stats = stats.join(F.broadcast(edges), "fid", "left")  # BLOCKS numbers a feature
+            block = F.coalesce(F.size(F.filter("edges", lambda e: e < F.col("val"))), F.lit(0))
+        stats = stats.select("node", "fid", "val", "cat", "key", block.alias("block"), *s)
+        each = stats.groupBy("node", "fid", "block").agg(*[F.sum(f"s{i}").alias(f"s{i}") for i in n])
         group = Window.partitionBy("node", "fid")
-        run = group.orderBy("key", "cat").rowsBetween(Window.unboundedPreceding, 0)
-        cols = [F.sum(f"s{i}").over(run).alias(f"l{i}") for i in range(self.width)] + [F.sum(f"s{i}").over(group).alias(f"t{i}") for i in range(self.width)]
-        cats = [k for k, f in enumerate(self.features) if f.kind == "cat"]
-        sets = F.when(F.col("fid").isin(cats), F.collect_list("cat").over(run)) if cats else F.lit(None).cast("array<string>")
-        rows = stats.select("node", "fid", "val", "key", *cols, sets.alias("categories")).where((F.col("l0") >= min_rows) & (F.col("t0") - F.col("l0") >= min_rows))
-        left, right = [F.col(f"l{i}") for i in range(self.width)], [F.col(f"t{i}") - F.col(f"l{i}") for i in range(self.width)]
+        past = group.orderBy("block").rowsBetween(Window.unboundedPreceding, -1)
+        each = each.select("node", "fid", "block", *[F.coalesce(F.sum(f"s{i}").over(past), F.lit(0.0)).alias(f"b{i}") for i in n], *[F.sum(f"s{i}").over(group).alias(f"t{i}") for i in n])
+        run = Window.partitionBy("node", "fid", "block").orderBy("key", "cat").rowsBetween(Window.unboundedPreceding, 0)
+        rows = stats.select("node", "fid", "block", "val", "cat", "key", *[F.sum(f"s{i}").over(run).alias(f"r{i}") for i in n]).join(each, ["node", "fid", "block"])
+        rows = rows.select("node", "fid", "val", "cat", "key", *[(F.col(f"b{i}") + F.col(f"r{i}")).alias(f"l{i}") for i in n], *[f"t{i}" for i in n])
+        rows = rows.where((F.col("l0") >= min_rows) & (F.col("t0") - F.col("l0") >= min_rows))
+        left, right = [F.col(f"l{i}") for i in n], [F.col(f"t{i}") - F.col(f"l{i}") for i in n]
         rows = rows.withColumn("cost", self.measure.cost(left) + self.measure.cost(right))
-        first = Window.partitionBy("node").orderBy("cost", "fid", "key")
-        return rows.withColumn("r", F.row_number().over(first)).where("r = 1").drop("r", "key")
+        best = rows.groupBy("node").agg(F.min(F.struct("cost", "fid", "key", "cat", "val", *[f"l{i}" for i in n], *[f"t{i}" for i in n])).alias("x")).select("node", "x.*")
+        if not cats:
+            return best.withColumn("categories", F.lit(None).cast("array<string>"))
+        won = best.where(F.col("fid").isin(cats)).select(F.col("node").alias("n2"), F.col("fid").alias("f2"), F.struct("key", "cat").alias("last"))
+        sets = stats.join(won, (F.col("node") == F.col("n2")) & (F.col("fid") == F.col("f2")) & (F.struct("key", "cat") <= F.col("last"))).groupBy("node").agg(F.collect_list("cat").alias("categories"))
+        return best.join(sets, "node", "left")
 
     def grow(self, max_depth: int, min_rows: int, min_gain: float = 1e-9) -> TreeModel:
-        model, open_ = TreeModel(), {1: []}
-        for depth in range(max_depth):
-            best = {r.node: r for r in self.best_splits(self.statistics(open_), min_rows).collect()}  # a row per open node
-            if not model.nodes:
-                if not best:
-                    s = self.totals()
-                    model.nodes[1] = Node(1, 0, s[0], self.measure.prediction(s), self.measure.cost_of(s), sums=tuple(s))
-                    return model
-                s = [best[1][f"t{i}"] for i in range(self.width)]
-                model.nodes[1] = Node(1, 0, s[0], self.measure.prediction(s), self.measure.cost_of(s), sums=tuple(s))
-            next_ = {}
-            for k, path in open_.items():
-                node, r = model.nodes[k], best.get(k)
+        model, open_ = TreeModel(), [1]
+        for depth in range(max_depth + 1):
+            found, totals = {}, {}
+            for lo in range(0, len(open_), LOT):
+                if depth == max_depth and model.nodes:
+                    break
+                stats = self.statistics(model, open_[lo : lo + LOT], totals=not model.nodes).persist()
+                if not model.nodes:
+                    r = stats.where("fid = -1").first()
+                    s = [float(r[f"s{i}"]) if r else 0.0 for i in range(self.width)]
+                    model.nodes[1] = Node(1, 0, s[0], self.measure.prediction(s), max(0.0, self.measure.cost_of(s)), sums=tuple(s))
+                if depth < max_depth:
+                    found |= {r.node: r for r in self.best_splits(stats, min_rows).collect()}  # a row per open node
+                stats.unpersist()
+            next_ = []
+            for k in open_:
+                node, r = model.nodes[k], found.get(k)
                 if r is None or r.cost >= node.cost - min_gain * max(1.0, abs(node.cost)):
                     continue
                 f = self.features[r.fid]
                 node.feature, node.op = f.name, "in" if f.kind == "cat" else "<="
                 node.threshold, node.categories = (None, sorted(r.categories)) if f.kind == "cat" else (r.val, None)
-                total = [r[f"t{i}"] for i in range(self.width)]
-                left = [r[f"l{i}"] for i in range(self.width)]
-                for child, s, yes in ((2 * k, left, True), (2 * k + 1, [t - l for t, l in zip(total, left)], False)):
+                left = [float(r[f"l{i}"]) for i in range(self.width)]
+                for child, s in ((2 * k, left), (2 * k + 1, [t - l for t, l in zip(node.sums, left)])):
                     model.nodes[child] = Node(child, depth + 1, s[0], self.measure.prediction(s), max(0.0, self.measure.cost_of(s)), k, sums=tuple(s))
-                    next_[child] = [*path, (node, yes)]
+                    next_.append(child)
             open_ = next_
             if not open_:
                 break
         return model
 
-    def totals(self) -> list[float]:
-        """Sums over all joined rows, for a root that can't be split."""
-        from ..plans.views import naive_join
 
-        joined = naive_join(self.spec, [self.label])
-        cols = self.measure.columns(F.col(self.label.name), F.col("__mult"))
-        return [float(v or 0) for v in joined.agg(*[F.sum(c) for c in cols]).first()]
+def as_column(c: Column | int) -> Column:
+    return F.lit(c).cast("long") if isinstance(c, int) else c
+
+
+def leaves(model: TreeModel) -> list[int]:
+    return sorted(k for k, n in model.nodes.items() if n.feature is None)
+
+
+def _grown(grower: Grower, max_depth: int, min_rows: int) -> TreeModel:
+    try:
+        return grower.grow(max_depth, min_rows)
+    finally:
+        grower.close()
 
 
 def grow_regression_tree(spec: JoinSpec, features: list[Feature], label: Feature, max_depth: int = 4, min_rows: int = 1, max_bins: int | None = None) -> TreeModel:
-    return Grower(spec, features, label, Measure("sse"), max_bins).grow(max_depth, min_rows)
+    return _grown(Grower(spec, features, label, Measure("sse"), max_bins), max_depth, min_rows)
 
 
 def grow_classification_tree(spec: JoinSpec, features: list[Feature], label: Feature, classes: int, cost: str = "gini", max_depth: int = 4, min_rows: int = 1, max_bins: int | None = None) -> TreeModel:
     """The label holds whole numbers from 0 to classes - 1."""
-    return Grower(spec, features, label, Measure(cost, classes), max_bins).grow(max_depth, min_rows)
+    return _grown(Grower(spec, features, label, Measure(cost, classes), max_bins), max_depth, min_rows)
 
 
 def tree_size(model: TreeModel) -> int:
     return len(model.nodes)
 
 
-def boosted_trees(df: DataFrame, features: list[Feature], label: Feature, rounds: int = 3, rate: float = 0.5, max_depth: int = 2, max_bins: int | None = 32) -> list[TreeModel]:
-    """Each tree is grown on what the earlier ones leave; df holds joined rows with the features by name."""
-    from ..spec import Relation
-
-    spec = JoinSpec({"q": Relation("q", df)})
+def boosted_trees(spec: JoinSpec, features: list[Feature], label: Feature, rounds: int = 3, rate: float = 0.5, max_depth: int = 2, max_bins: int | None = 32) -> list[TreeModel]:
+    """Each tree is grown on what the earlier ones leave.  A joined row's leaves in them follow from masks as its node does, so
+    the joined rows are not stored in any round."""
     models: list[TreeModel] = []
     for _ in range(rounds):
-        past = reduce(lambda a, b: a + b, [F.lit(rate) * m.column() for m in models]) if models else F.lit(0.0)
-        rest = JoinSpec({"q": Relation("q", spec.relations["q"].df.withColumn("__rest", F.col(label.name) - past))})
-        models.append(grow_regression_tree(rest, [Feature(f.name, "q", f.name, f.kind) for f in features], Feature("__rest", "q", "__rest"), max_depth, max_bins=max_bins))
+        models.append(_grown(Grower(spec, features, label, Measure("sse"), max_bins, [(rate, m) for m in models]), max_depth, 1))
     return models
 
 
+def boosted_column(models: list[TreeModel], rate: float = 0.5) -> Column:
+    return reduce(lambda a, b: a + b, [F.lit(rate) * m.column() for m in models])
+
+
 def random_forest(spec: JoinSpec, features: list[Feature], label: Feature, ids: list[str], trees: int = 3, max_depth: int = 3, max_bins: int | None = 32, per_tree: int | None = None) -> list[TreeModel]:
     """Rows of the root weigh 0 to 3 by a hash of ids and the tree's number, much as if drawn with replacement."""
     from dataclasses import replace

@@ -180,7 +180,7 @@ def wl_planning(spark: SparkSession, sf: str) -> DataFrame:
         spec, fs, y = DATASETS[d](spark, sf)
         batch = monomials([f.name for f in (*fs, y)])
         rows.append((d, "linear", len(batch), sum(planning_seconds(aggregate(spec, [*fs, y], batch[k : k + 90], "multi")) for k in range(0, len(batch), 90))))
-        rows.append((d, "tree", len(fs), planning_seconds(tree.Grower(spec, fs, y, tree.Measure("sse"), None).statistics({1: []}))))
+        rows.append((d, "tree", len(fs), planning_seconds(tree.Grower(spec, fs, y, tree.Measure("sse"), None).statistics())))
     return spark.createDataFrame(rows, "dataset string, model string, size int, seconds double")
 
 

@@ -83,6 +83,82 @@ def test_tree_equals_brute_force(spark, sf):
     assert ((pred.prediction - pred.y) ** 2).sum() == pytest.approx(got.sse())
 
 
+def joined_rows(spec, fs, y):
+    """Features and label of the inner join, by nested loops."""
+    import itertools
+
+    rows = {n: [r.asDict() for r in spec.rows(n).collect()] for n in spec.relations}
+    names, out = list(rows), []
+    for combo in itertools.product(*rows.values()):
+        at = dict(zip(names, combo))
+        if all(at[a][p] == at[b][c] for a, b, cols in spec.on for p, c in cols):
+            times = int(np.prod([at[n].get(r.mult, 1) if r.mult else 1 for n, r in spec.relations.items()]))
+            out += [[at[f.owner][f.expr] for f in fs] + [at[y.owner][y.expr]]] * times
+    return np.array(out, float).reshape(len(out), len(fs) + 1)
+
+
+@pytest.mark.parametrize("shape,seed,unique", [("star", 1, False), ("star", 2, True), ("snowflake", 3, False), ("snowflake", 8, True), ("snowflake", 11, False)])
+def test_tree_is_grown_on_the_join(spark, shape, seed, unique):
+    """Keys repeat, dangle and miss; a dimension is filtered; the root's rows have multiplicities."""
+    from test_plans import make
+
+    spec, fs = make(spark, shape, seed, unique)
+    root = spec.relations["root"]
+    spec = JoinSpec({**spec.relations, "root": Relation("root", root.df.selectExpr("*", "(u * 7 + k1 * 3 + k2) % 11 as y", "1 + u % 2 as m"), mult="m")}, spec.on).filtered(d1="v > 0")
+    y = Feature("y", "root", "y")
+    data = joined_rows(spec, fs, y)
+    got = tree.grow_regression_tree(spec, fs, y, 3)
+    if not len(data):
+        assert len(got.nodes) == 1 and got.nodes[1].n == 0
+        return
+    want = brute_tree(data[:, :-1], data[:, -1], 3)
+    assert set(got.nodes) == set(want)
+    for k, (n, mean, f, t) in want.items():
+        node = got.nodes[k]
+        assert node.n == n and node.prediction == pytest.approx(mean)
+        assert node.feature == (None if f is None else fs[f].name) and node.threshold == t
+
+
+def test_filtered_dimension_has_no_say(spark):
+    """Two of three fact rows join nothing; they must not be learned from."""
+    fact = spark.createDataFrame([(1, 1.0, 10.0), (1, 2.0, 20.0), (2, 3.0, 99.0)], "k long, x double, y double")
+    dim = spark.createDataFrame([(1, 5.0), (2, 8.0)], "d long, z double")
+    spec = JoinSpec({"f": Relation("f", fact), "d": Relation("d", dim, ("d",), True)}, (("f", "d", (("k", "d"),)),)).filtered(d="z > 7.5")
+    got = tree.grow_regression_tree(spec, [Feature("x", "f", "x"), Feature("z", "d", "z")], Feature("y", "f", "y"))
+    assert len(got.nodes) == 1 and (got.nodes[1].n, got.nodes[1].prediction) == (1, 99)
+
+
+def test_deep_tree(spark):
+    """All 511 nodes of depth 8 over 256 rows, two relations in turn."""
+    rng = np.random.default_rng(4)
+    y = rng.permutation(256)
+    fact = spark.createDataFrame([(i, float(i % 16), float(y[i])) for i in range(256)], "k long, x double, y double")
+    dim = spark.createDataFrame([(i, float(i)) for i in range(256)], "d long, z double")
+    spec = JoinSpec({"f": Relation("f", fact), "d": Relation("d", dim, ("d",), True)}, (("f", "d", (("k", "d"),)),))
+    got = tree.grow_regression_tree(spec, [Feature("x", "f", "x"), Feature("z", "d", "z")], Feature("y", "f", "y"), 8)
+    want = brute_tree(np.array([[i % 16, i] for i in range(256)], float), y.astype(float), 8)
+    assert {k: (n.n, n.feature, n.threshold) for k, n in got.nodes.items()} == {k: (n, None if f is None else "xz"[f], t) for k, (n, _, f, t) in want.items()}
+    assert max(n.depth for n in got.nodes.values()) == 8
+
+
+def test_boosting_on_the_join_equals_boosting_on_joined_rows(spark):
+    from test_plans import make
+
+    spec, fs = make(spark, "snowflake", 3, False)
+    y = Feature("y", "root", "u * 3 + k1 - k2")
+    fs = [f for f in fs if f.name != "u"]
+    models = tree.boosted_trees(spec, fs, y, rounds=3, max_depth=2, max_bins=None)
+    rows = naive_join(spec, [*fs, y]).toPandas()
+    x, rest = rows[[f.name for f in fs]].to_numpy(float), rows["y"].to_numpy(float)
+    for m in models:
+        want = brute_tree(x, rest, 2)
+        assert {k: (n.n, n.feature, n.threshold) for k, n in m.nodes.items()} == {k: (n, None if f is None else fs[f].name, t) for k, (n, _, f, t) in want.items()}
+        at = np.ones(len(x), int)
+        for _ in range(2):
+            at = np.array([k if want[k][2] is None else 2 * k + (x[i, want[k][2]] > want[k][3]) for i, k in enumerate(at)])
+        rest = rest - 0.5 * np.array([want[k][1] for k in at])
+
+
 def test_planted_tree_and_categories(spark, sf):
     m = tree.grow_regression_tree(*ds.planted_tree(spark, sf), max_depth=2)
     assert m.sse() == pytest.approx(0, abs=1e-6) and m.nodes[1].feature == "p_size"
