@@ -14,7 +14,8 @@ from . import datasets as ds
 from . import frontend, rewrite
 from .ir import SetLit, Var
 from .learn import linear, others, tree
-from .moments import MomentMatrix, from_sums, gram, moment_matrix, moment_tensor
+from .moments import MomentMatrix, gram, moment_matrix, moment_tensor
+from .plans import compiler
 from .plans.lower import evaluate, is_data, lower
 from .plans.views import Emitter, aggregate, batch_stats, build_join_tree, monomials, naive_join, push_down
 from .sources.io import load
@@ -120,10 +121,7 @@ def derive(spark: SparkSession, sf: str, k: int) -> DataFrame:
         theta = evaluate(running_stages()[STAGES[k]], "Q", joined, {"T0": THETA0}, mult="__mult")
         theta = dict(theta) if not isinstance(theta, dict) else theta
     else:
-        batch = monomials(FEATURES3)
-        sums = aggregate(spec, features, batch, PLANS[k - len(STAGES)], exact=True).first()
-        m = from_sums(["1", *FEATURES3], batch, list(sums), {}, True)
-        theta = {f: THETA0[f] - sum(THETA0[g] * m.at(f, g) for g in FEATURES3) for f in FEATURES3}
+        theta = compiler.compile_program(update, spec, features).run({"T0": THETA0}, PLANS[k - len(STAGES)], exact=True)
     return spark.createDataFrame([(f, str(theta[f])) for f in FEATURES3], "feature string, theta string")
 
 
@@ -261,6 +259,30 @@ def _theta(spark: SparkSession, model: linear.LinearModel) -> DataFrame:
 
 query("linreg_bgd_1_step", bgd_sql(1, 0.5))(lambda spark, sf: _theta(spark, linear.bgd(moment_matrix(*_two(spark, sf), exact=True), 0.5, 1, raw=True)))
 query("linreg_bgd_50_steps", bgd_sql(50, 0.5))(lambda spark, sf: _theta(spark, linear.bgd(moment_matrix(*_two(spark, sf), exact=True), 0.5, 50, raw=True)))
+
+
+def compiled_descent(spark: SparkSession, sf: str, rounds: int, strategy: str = "multi") -> DataFrame:
+    """The program of least squares, from source text to one batch of sums and a compiled loop."""
+    spec, fs, y = _two(spark, sf)
+    names = [compiler.ONE, *[f.name for f in fs]]
+    got = compiler.compile_program(compiler.least_squares(names, y.name), spec, [*fs, y]).run({"A": 0.5, "R": rounds, "T0": dict.fromkeys(names, 0.0)}, strategy)
+    rows = [("1" if n == compiler.ONE else n, float(v)) for n, v in got.items()]
+    return spark.createDataFrame(rows, "feature string, theta double").select("feature", sig(F.col("theta")).alias("theta"))
+
+
+for _s in ("pushdown", "merged", "multi", "trie"):
+    query(f"program_bgd_50_{_s}", bgd_sql(50, 0.5))(lambda spark, sf, s=_s: compiled_descent(spark, sf, 50, s))
+
+
+@query("program_explain")
+def program_explain(spark: SparkSession, sf: str) -> DataFrame:
+    """The running example's program after each phase, its sums, what each relation publishes and the plan of its one job."""
+    spec, features, _ = ds.running3(spark, sf)
+    c = compiler.compile_program(update, spec, features)
+    rows = [(k, n, c.explain(n, exact=True)) for k, n in enumerate([*c.stages, "sums", "views", "spark"])]
+    return spark.createDataFrame(rows, "step int, stage string, text string")
+
+
 query("linreg_bgd_naive_50", bgd_sql(50, 0.5))(lambda spark, sf: _theta(spark, linear.bgd_naive(*_two(spark, sf), max_iter=50, alpha=0.5, raw=True)))
 
 

@@ -140,11 +140,19 @@ class Grower:
                     else:
                         self.blocks[k] = edges
         self.base = {name: self.prepared(name) for name in spec.relations}
+        self.held: DataFrame | None = None
+        self.made: dict[str, DataFrame] = {}
         if max_bins:  # binned once
             for df in self.base.values():
                 df.persist()
 
+    def let_go(self) -> None:
+        if self.held is not None:
+            self.held.unpersist()
+            self.held = None
+
     def close(self) -> None:
+        self.let_go()
         for df in self.base.values():
             df.unpersist()
 
@@ -196,11 +204,15 @@ class Grower:
     def entries(self, name: str, open_: list) -> DataFrame:
         """A relation's rows with, for each branch below, the masks m{j}_{branch} and the count n_{branch} of its rows, and
         the masks m{j}_{name} of both."""
+        if name in self.made:  # once for its view, once for its values
+            return self.made[name]
         df = self.base[name].select("*", *[m.alias(f"o{j}") for j, m in enumerate(self.masks(name, open_))])
         for c in self.tree.children[name]:
             df = df.join(self.view(c, open_), self.joined_on(name, c))
         both = [reduce(lambda a, c: a.bitwiseAND(F.col(f"m{j}_{c}")), self.tree.children[name], F.col(f"o{j}")).alias(f"m{j}_{name}") for j in range(len(open_))]
-        return df.select("*", *both).drop(*[f"o{j}" for j in range(len(open_))]).where(f"m0_{name} <> 0")
+        kept = [c for c in df.columns if c not in {f"o{j}" for j in range(len(open_))}]
+        self.made[name] = df.select(*kept, *both).where(f"m0_{name} <> 0")
+        return self.made[name]
 
     def view(self, name: str, open_: list) -> DataFrame:
         """(edge key, masks, n): how many joined rows the branch has for each key and mask."""
@@ -227,21 +239,25 @@ class Grower:
         if len(nodes) > LOT or any(len(leaves(m)) > LOT for _, m in self.past):
             raise ValueError(f"more than {LOT} nodes")
         open_ = [(model or TreeModel(), {n: k for k, n in enumerate(nodes)})] + [(m, {n: k for k, n in enumerate(leaves(m))}) for _, m in self.past]
-        root = self.tree.root
+        root, self.made = self.tree.root, {}
         df = self.entries(root, open_)
 
         def place(j: int) -> Column:
             return F.round(F.log2(F.col(f"m{j}_{root}").cast("double"))).cast("int") + 1
 
-        df = df.withColumn("node", F.element_at(F.array(*map(F.lit, nodes)), place(0)))
+        node = F.element_at(F.array(*map(F.lit, nodes)), place(0)).alias("node")
         y = F.col("y")
         for j, (rate, m) in enumerate(self.past, 1):
             y = y - F.element_at(F.array(*[F.lit(rate * m.nodes[n].prediction) for n in leaves(m)]), place(j))
-        sums = self.measure.columns(F.col("y"), F.lit(1.0))
-        df = df.withColumn("y", y).select("*", *[c.alias(f"s{i}") for i, c in enumerate(sums)])
+        gone = {"y", *[f"m{j}_{root}" for j in range(len(open_))]}
+        sums = self.measure.columns(y, F.lit(1.0))
+        df = df.select(*[c for c in df.columns if c not in gone], node, *[c.alias(f"s{i}") for i, c in enumerate(sums)])
+        if any(f.owner != root for f in self.features):  # read once for each branch
+            self.held = df.persist()
         parts: list[DataFrame] = []
         self.descend(root, df, parts, open_, totals)
-        return reduce(lambda a, b: a.unionByName(b), parts)
+        every = reduce(lambda a, b: a.union(b), parts)
+        return every.groupBy("node", "fid", "val", "cat").agg(*[F.sum(f"s{i}").alias(f"s{i}") for i in range(self.width)])
 
     def descend(self, name: str, df: DataFrame, parts: list[DataFrame], open_: list, totals: bool = False) -> None:
         """df: entries of a relation with their node and s0, s1, ..., sums over what is joined above them."""
@@ -253,15 +269,14 @@ class Grower:
             slots.append(F.struct(F.lit(-1).alias("fid"), none.cast("double").alias("val"), none.cast("string").alias("cat")))
         if slots:
             each = df.select("node", *[(F.col(c) * self.within(name)).alias(c) for c in s], F.explode(F.array(*slots)).alias("x"))
-            parts.append(each.groupBy("node", F.col("x.fid").alias("fid"), F.col("x.val").alias("val"), F.col("x.cat").alias("cat")).agg(*[F.sum(c).alias(c) for c in s]))
+            parts.append(each.select("node", F.col("x.fid").alias("fid"), F.col("x.val").alias("val"), F.col("x.cat").alias("cat"), *s))
         for c in self.tree.children[name]:
             if any(f.owner in self.tree.below(c) for f in self.features):
                 keys = [f"k_{name}_{p}" for p, _ in self.tree.edge[c]]
                 masks = [f"m{j}_{c}" for j in range(len(open_))]
-                less = df.groupBy("node", *keys, *masks).agg(*[F.sum(F.col(x) * self.within(name, c)).alias(x) for x in s])
-                less = less.select("node", *keys, *[F.col(m).alias(f"up_{m}") for m in masks], *s)
+                less = df.groupBy("node", *[F.col(k) for k in keys], *[F.col(m).alias(f"up_{m}") for m in masks]).agg(*[F.sum(F.col(x) * self.within(name, c)).alias(x) for x in s])
                 same = reduce(lambda a, b: a & b, [F.col(f"up_{m}") == F.col(m) for m in masks], self.joined_on(name, c))
-                self.descend(c, less.join(self.entries(c, open_), same).drop(*[f"up_{m}" for m in masks]), parts, open_)
+                self.descend(c, less.join(self.entries(c, open_), same), parts, open_)
 
     def best_splits(self, stats: DataFrame, min_rows: int = 1) -> DataFrame:
         """(node, fid, op, val, categories, cost, l0.., t0..): the best test of each node.  Ties: feature, then value.
@@ -294,6 +309,33 @@ class Grower:
         sets = stats.join(won, (F.col("node") == F.col("n2")) & (F.col("fid") == F.col("f2")) & (F.struct("key", "cat") <= F.col("last"))).groupBy("node").agg(F.collect_list("cat").alias("categories"))
         return best.join(sets, "node", "left")
 
+    def bounded(self) -> bool:
+        """Whether statistics are bounded by nodes, features and bins, whatever the data."""
+        return bool(self.bins) and all(f.kind == "cont" and self.bins.get(f.name) for f in self.features)
+
+    def chosen(self, stats: list, min_rows: int) -> dict:
+        """best_splits on collected rows, for bounded statistics; by node, as namespaces."""
+        from types import SimpleNamespace
+
+        groups: dict[tuple[int, int], list] = {}
+        for r in stats:
+            if r.fid >= 0:
+                groups.setdefault((r.node, r.fid), []).append(r)
+        out: dict[int, SimpleNamespace] = {}
+        for (node, fid), rows in sorted(groups.items()):
+            rows.sort(key=lambda r: r.val)
+            total = [float(sum(r[f"s{i}"] for r in rows)) for i in range(self.width)]
+            left = [0.0] * self.width
+            for r in rows:
+                left = [l + r[f"s{i}"] for i, l in enumerate(left)]
+                right = [t - l for t, l in zip(total, left)]
+                if left[0] < min_rows or right[0] < min_rows:
+                    continue
+                cost = self.measure.cost_of(left) + self.measure.cost_of(right)
+                if node not in out or cost < out[node].cost:
+                    out[node] = SimpleNamespace(fid=fid, val=r.val, cost=cost, categories=None, left=left)
+        return out
+
     def grow(self, max_depth: int, min_rows: int, min_gain: float = 1e-9) -> TreeModel:
         model, open_ = TreeModel(), [1]
         for depth in range(max_depth + 1):
@@ -301,14 +343,21 @@ class Grower:
             for lo in range(0, len(open_), LOT):
                 if depth == max_depth and model.nodes:
                     break
-                stats = self.statistics(model, open_[lo : lo + LOT], totals=not model.nodes).persist()
+                stats = self.statistics(model, open_[lo : lo + LOT], totals=not model.nodes)
+                rows = stats.collect() if self.bounded() else None
+                if rows is None:
+                    stats.persist()
                 if not model.nodes:
-                    r = stats.where("fid = -1").first()
+                    r = next((r for r in rows if r.fid == -1), None) if rows is not None else stats.where("fid = -1").first()
                     s = [float(r[f"s{i}"]) if r else 0.0 for i in range(self.width)]
                     model.nodes[1] = Node(1, 0, s[0], self.measure.prediction(s), max(0.0, self.measure.cost_of(s)), sums=tuple(s))
-                if depth < max_depth:
+                if depth < max_depth and rows is not None:
+                    found |= self.chosen(rows, min_rows)
+                elif depth < max_depth:
                     found |= {r.node: r for r in self.best_splits(stats, min_rows).collect()}  # a row per open node
-                stats.unpersist()
+                if rows is None:
+                    stats.unpersist()
+                self.let_go()
             next_ = []
             for k in open_:
                 node, r = model.nodes[k], found.get(k)
@@ -317,7 +366,7 @@ class Grower:
                 f = self.features[r.fid]
                 node.feature, node.op = f.name, "in" if f.kind == "cat" else "<="
                 node.threshold, node.categories = (None, sorted(r.categories)) if f.kind == "cat" else (r.val, None)
-                left = [float(r[f"l{i}"]) for i in range(self.width)]
+                left = r.left if self.bounded() else [float(r[f"l{i}"]) for i in range(self.width)]
                 for child, s in ((2 * k, left), (2 * k + 1, [t - l for t, l in zip(node.sums, left)])):
                     model.nodes[child] = Node(child, depth + 1, s[0], self.measure.prediction(s), max(0.0, self.measure.cost_of(s)), k, sums=tuple(s))
                     next_.append(child)

@@ -82,13 +82,16 @@ class MomentMatrix:
 
 
 def moment_matrix(spec: JoinSpec, features: list[Feature], label: Feature | None = None, strategy: str = "auto", exact: bool = False, root: str | None = None) -> MomentMatrix:
-    """One job over the base relations.  auto: views in one pass while the batch is narrow, Arrow blocks when it is wide."""
+    """One job over the base relations.  auto: views in one pass for floating sums of a narrow batch, else Arrow blocks, whose
+    exact sums are of whole numbers in limbs and not of decimals."""
     every = [f for f in features if f.name != "1"] + ([label] if label else [])
     spec.check(every)
     names = ["1", *(f.name for f in every)]
     batch = monomials(names)
     if strategy == "auto":
-        strategy = "multi" if len(batch) <= WIDE else "chunked" if exact else "gram"
+        strategy = "multi" if len(batch) <= WIDE and not exact else "gram"
+    if strategy == "gram" and exact:
+        return MomentMatrix(names, gram_exact(naive_join(spec, every, exact=True), names[1:]), {f.name: f.scale for f in every}, True)
     if strategy == "gram":
         return MomentMatrix(names, gram(naive_join(spec, every), names[1:]), {})
     if strategy == "chunked":
@@ -109,7 +112,7 @@ def from_sums(names: list[str], batch: list, sums: list, scales: dict, exact: bo
 
 
 def gram(df: DataFrame, columns: list[str], mult: str = "__mult") -> np.ndarray:
-    """X'X with an intercept: a block per task, summed in order of tasks on the driver (tasks x F^2 numbers at most)."""
+    """X'X with an intercept: a block per task; the blocks are summed by place, in no fixed order."""
     n = len(columns) + 1
 
     def run(batches):
@@ -126,6 +129,65 @@ def gram(df: DataFrame, columns: list[str], mult: str = "__mult") -> np.ndarray:
     return (out + out.T) / 2
 
 
+LIMB = 21  # bits; products of limbs over 2048 rows stay below 2^53, where floating sums are exact
+BLOCK = 1 << 11
+
+
+def limbs(x: np.ndarray) -> tuple[np.ndarray, list[tuple[int, int]]]:
+    """Columns of whole numbers as columns of limbs (the last one signed) with (column, shift); only limbs that are in use."""
+    out, place = [], []
+    for k in range(x.shape[1]):
+        c, most = x[:, k], int(np.abs(x[:, k]).max(initial=0))
+        for part in range(3):
+            last = most < 1 << (LIMB * (part + 1) - 1)
+            out.append(c if last or part == 2 else c & ((1 << LIMB) - 1))
+            place.append((k, LIMB * part))
+            if last:
+                break
+            c = c >> LIMB
+    return np.stack(out, 1).astype(float), place
+
+
+def exact_block(x: np.ndarray, weight: np.ndarray) -> np.ndarray:
+    """X' diag(weight) X of 64-bit whole numbers as Python integers."""
+    n = x.shape[1]
+    total = np.zeros((n, n), object)
+    if (weight == 1).all():
+        parts, place = limbs(x)
+        low = np.zeros((len(place), len(place)), np.int64)
+        high = np.zeros_like(low)
+        for lo in range(0, len(x), BLOCK):
+            b = parts[lo : lo + BLOCK]
+            got = (b.T @ b).astype(np.int64)
+            low += got & 0xFFFFFFFF
+            high += got >> 32
+        for i, (a, s) in enumerate(place):
+            for j, (b, t) in enumerate(place):
+                total[a, b] += (int(high[i, j]) << 32) + int(low[i, j]) << s + t
+        return total
+    rows = x.astype(object)
+    return (rows * weight.astype(object)[:, None]).T @ rows
+
+
+def gram_exact(df: DataFrame, columns: list[str], mult: str = "__mult") -> np.ndarray:
+    """X'X with an intercept of whole numbers of at most 18 digits: a block per task, summed as decimals."""
+    n = len(columns) + 1
+    upper = [(i, j) for i in range(n) for j in range(i, n)]
+
+    def run(batches):
+        total = np.zeros((n, n), object)
+        for batch in batches:
+            x = np.column_stack([np.ones(batch.num_rows, np.int64), *[np.asarray(batch.column(c), np.int64) for c in columns]])
+            total = total + exact_block(x, np.asarray(batch.column(mult), np.int64))
+        yield pa.RecordBatch.from_arrays([pa.array([i for i, _ in upper]), pa.array([j for _, j in upper]), pa.array([str(total[i, j]) for i, j in upper])], ["i", "j", "v"])
+
+    rows = df.select(*[F.col(c).cast("long").alias(c) for c in columns], F.col(mult).cast("long").alias(mult)).mapInArrow(run, "i long, j long, v string")
+    out = np.zeros((n, n), object)
+    for r in rows.groupBy("i", "j").agg(F.sum(F.col("v").cast("decimal(38,0)")).alias("v")).collect():
+        out[r.i, r.j] = out[r.j, r.i] = int(r.v)
+    return out
+
+
 def moment_tensor(spec: JoinSpec, cont: list[Feature], cats: list[Feature]) -> DataFrame:
     """Sparse one-hot moments (f1, c1, f2, c2, value): only pairs that occur.  Each pair of categories is grouped from the
     root that owns them; continuous partners ride along."""

@@ -13,7 +13,7 @@ from operator import mul
 from pyspark.sql import Column, DataFrame
 from pyspark.sql import functions as F
 
-from ..spec import Feature, JoinSpec, JoinTree, build_join_tree
+from ..spec import Feature, JoinSpec, JoinTree, build_join_tree, size_of
 
 Monomial = tuple[str, ...]
 
@@ -151,34 +151,57 @@ class Emitter:
         return df.groupBy(*[F.col(f"f_{g}").alias(g) for g in groups]).agg(*sums) if groups else df.agg(*sums)
 
     def nested(self, view: ViewNode, order: list[str] | None = None) -> DataFrame:
-        """Root grouped by all its edge keys first, then child after child is joined above the sums below it and the key
-        of that child is summed away: each look-up happens once per key and not once per row."""
+        """Root grouped by its edge keys first, then child after child is joined above the sums below it and the key of that
+        child is summed away: each look-up happens once per key and not once per row.  Without an order, the children whose
+        keys would hardly reduce the root's rows are looked up by row."""
         kids = {c.relation: (c, self.node(c)) for c in view.children}
-        order = order or list(kids)
-        name, inside = view.relation, {view.relation}
+        order = list(kids) if order is None else order
+        return self.levels(view, kids, order, [c for c in kids if c not in order])
+
+    def levels(self, view: ViewNode, kids: dict, order: list[str], by_rows: list[str]) -> DataFrame:
+        """Look-ups by row for some children, then nested sums over the keys of the others."""
+        name, df = view.relation, self.base(view)
+        inside = {name}.union(*(self.tree.below(c) for c in by_rows))
+        for c in by_rows:
+            df = self.join(df, name, kids[c][1], c)
         keys = {c: [f"k_{name}_{p}" for p, _ in self.tree.edge[c]] for c in order}
-        want = list(dict.fromkeys(restrict(m, inside, self.owner) for m in view.values))
-        names = {m: f"n0_{i}" for i, m in enumerate(want)}
-        left = list(dict.fromkeys(k for c in order for k in keys[c]))
-        df = self.base(view).groupBy(*left).agg(*[self.total(product(self.local(name, m), self.exact)).alias(names[m]) for m in want])
-        for step, c in enumerate(reversed(order), 1):
-            node, e = kids[c]
-            df = self.join(df, name, e, c)
-            below, inside = self.tree.below(c), inside | self.tree.below(c)
+        step, names = 0, {}
+        for left in range(len(order), -1, -1):
             new = list(dict.fromkeys(restrict(m, inside, self.owner) for m in view.values))
-            values = {}
-            for m in new:
-                inner = F.col(names[restrict(m, set(self.owner.values()) & (inside - below), self.owner)])
-                r = restrict(m, below, self.owner)
-                values[m] = inner * e.value[r] if r or not e.one_each else inner
-            left = list(dict.fromkeys(k for d in order[: len(order) - step] for k in keys[d]))
+            if not step:
+                values = {m: product(self.local(name, m) + [kids[c][1].value[r] for c in by_rows if (r := restrict(m, self.tree.below(c), self.owner)) or not kids[c][1].one_each], self.exact) for m in new}
+            else:
+                c = order[left]
+                df, below = self.join(df, name, kids[c][1], c), self.tree.below(c)
+                values = {}
+                for m in new:
+                    inner, r = F.col(names[restrict(m, inside - below, self.owner)]), restrict(m, below, self.owner)
+                    values[m] = inner * kids[c][1].value[r] if r or not kids[c][1].one_each else inner
             names = {m: f"n{step}_{i}" for i, m in enumerate(new)}
             sums = [self.total(values[m]).alias(names[m]) for m in new]
-            df = df.groupBy(*left).agg(*sums) if left else df.agg(*sums)
+            by = list(dict.fromkeys(k for d in order[:left] for k in keys[d]))
+            df = df.groupBy(*by).agg(*sums) if by else df.agg(*sums)
+            step += 1
+            if left:
+                inside = inside | self.tree.below(order[left - 1])
         return df.select(*[F.col(names[m]).alias(f"a{i}") for i, m in enumerate(view.values)])
 
 
 Emitted.one_each = False
+PAYS = 8  # root rows that a group of keys should hold on average for a level of its own
+
+
+def worthwhile(spec: JoinSpec, tree: JoinTree) -> list[str]:
+    """Children of the root whose keys together leave at least PAYS rows a group, few keys first.  Numbers of keys and rows
+    are taken from the optimiser's sizes, 32 bytes a row."""
+    count = lambda n: max(1.0, size_of(spec.relations[n].df) / 32)
+    out, groups = [], 1.0
+    for n, c in sorted((count(c), c) for c in tree.children[tree.root]):
+        groups *= n
+        if groups * PAYS > count(tree.root):
+            break
+        out.append(c)
+    return out
 
 
 def naive_join(spec: JoinSpec, features: list[Feature], exact: bool = False, tree: JoinTree | None = None) -> DataFrame:
@@ -223,7 +246,9 @@ def aggregate(spec: JoinSpec, features: list[Feature], batch: list[Monomial], st
             out = one if out is None else out.join(one, groups) if groups else out.crossJoin(one)  # one row each
         return out
     view = push_down(batch, tree, em.owner, groups)
-    return em.nested(view, order) if strategy == "trie" else em.root(view, groups)
+    if strategy == "trie":
+        return em.nested(view, worthwhile(spec, tree) if order is None else order)
+    return em.root(view, groups)
 
 
 def batch_stats(spec: JoinSpec, features: list[Feature], batch: list[Monomial], root: str | None = None) -> dict:

@@ -108,6 +108,8 @@ def test_tree_is_grown_on_the_join(spark, shape, seed, unique):
     y = Feature("y", "root", "y")
     data = joined_rows(spec, fs, y)
     got = tree.grow_regression_tree(spec, fs, y, 3)
+    binned = tree.grow_regression_tree(spec, fs, y, 3, max_bins=16)  # more bins than values
+    assert binned.rows() == got.rows()
     if not len(data):
         assert len(got.nodes) == 1 and got.nodes[1].n == 0
         return

@@ -49,11 +49,25 @@ def test_strategies_agree(spark, shape, seed, unique):
     batch = monomials([f.name for f in fs])
     want = brute(spec, fs, batch)
     for s in STRATEGIES:
-        if s == "pushdown" and shape == "snowflake":
-            continue
         got = aggregate(spec, fs, batch, s, exact=True, root="root").first()
         assert [int(v or 0) for v in got] == want, s
+    for order in ([], ["d2"], ["d1"], ["d1", "d2"], ["d2", "d1"]):
+        got = aggregate(spec, fs, batch, "trie", exact=True, root="root", order=order).first()
+        assert [int(v or 0) for v in got] == want, order
     assert [float(v or 0) for v in aggregate(spec, fs, batch, "multi", root="d2").first()] == [float(v) for v in want]
+    m = moment_matrix(spec, fs, exact=True, strategy="gram")
+    assert [m.at(*(list(x) + ["1", "1"])[:2]) for x in batch] == want
+
+
+def test_exact_blocks():
+    import numpy as np
+    from relml.moments import exact_block
+
+    rng = np.random.default_rng(3)
+    x = np.column_stack([np.ones(5000, np.int64), rng.integers(-(10**18), 10**18, 5000), rng.integers(0, 50, 5000), rng.integers(-(10**9), 10**9, 5000)])
+    for weight in (np.ones(5000, np.int64), rng.integers(0, 4, 5000)):
+        want = (x.astype(object) * weight.astype(object)[:, None]).T @ x.astype(object)
+        assert (exact_block(x, weight) == want).all()
 
 
 def test_empty_relation(spark):
