@@ -167,37 +167,61 @@ def rmse(df: DataFrame, label: str, prediction: str = "prediction", mult: str |
     return float(df.agg(F.sqrt(F.sum(w * (F.col(prediction) - F.col(label)) ** 2) / F.sum(w))).first()[0])
 
 
-def sgd(df: DataFrame, features: list[str], label: str, stats: MomentMatrix, batch_size: int = 100_000, epochs: int = 1, rate: float = 0.1) -> LinearModel:
-    """Mini-batches by hash of the row; a batch's gradient is the mean over its rows, and batches take their turn in
-    order of number.  Every batch of an epoch is summed in one job as its own moment block, so an epoch scans once."""
+@dataclass
+class Scale:
+    """Means and deviations of joined rows by themselves, the label last: what SGD needs of a moment matrix."""
+
+    count: float
+    mean: np.ndarray
+    dev: np.ndarray
+
+    def standardise(self) -> tuple[None, np.ndarray, np.ndarray]:
+        return None, self.mean, self.dev
+
+    @staticmethod
+    def of(df: DataFrame, columns: list[str]) -> "Scale":
+        r = list(df.agg(F.count("*"), *[F.avg(c) for c in columns], *[F.stddev_pop(c) for c in columns]).first())
+        n = len(columns)
+        return Scale(float(r[0]), np.array([float(v or 0) for v in r[1 : n + 1]]), np.array([float(v or 0) for v in r[n + 1 :]]))
+
+
+def sgd(df: DataFrame, features: list[str], label: str, stats: MomentMatrix | Scale, batch_size: int = 100_000, epochs: int = 1, rate: float = 0.1) -> LinearModel:
+    """Mini-batches of rows as they are read; a batch's gradient is the mean over its rows, and batches take their turn in
+    order of partitions.  A task holds one batch's block of sums at a time, all blocks of an epoch come from one job, and
+    the driver takes them one partition at a time."""
     import pyarrow as pa
 
     n = len(features) + 2
-    c, mean, dev = stats.standardise()
-    total = max(1, int(stats.count))
-    lots = max(1, -(-total // batch_size))
+    _, mean, dev = stats.standardise()
     dev = np.where(dev > 0, dev, np.inf)
 
     def run(batches):
-        sums = np.zeros((lots, n, n))
+        total, held = np.zeros((n, n)), 0
+
+        def block():
+            return pa.RecordBatch.from_arrays([pa.array([total.ravel().tolist()], pa.list_(pa.float64()))], ["s"])
+
         for b in batches:
             x = np.column_stack([np.ones(b.num_rows), *[(np.asarray(b.column(f), float) - mean[i]) / dev[i] for i, f in enumerate([*features, label])]])
-            lot = np.asarray(b.column("lot"))
-            for k in np.unique(lot):
-                sums[k] += x[lot == k].T @ x[lot == k]
-        yield pa.RecordBatch.from_arrays([pa.array(np.arange(lots)), pa.array(sums.reshape(lots, -1).tolist(), pa.list_(pa.float64()))], ["lot", "s"])
-
-    cols = [F.col(f).cast("double").alias(f) for f in [*features, label]]
-    lot = F.pmod(F.xxhash64(*features, label), F.lit(lots)).alias("lot")
-    rows = df.select(*cols, lot).mapInArrow(run, "lot long, s array<double>").select("lot", F.posexplode("s").alias("k", "v"))
-    mats = np.zeros((lots, n * n))
-    for r in rows.groupBy("lot", "k").agg(F.sum("v").alias("v")).collect():
-        mats[r.lot, r.k] = r.v
-    mats, w = mats.reshape(lots, n, n), np.zeros(n - 1)
-    for _ in range(epochs):
-        for s in mats:
-            if s[0, 0]:
+            while len(x):
+                part, x = x[: batch_size - held], x[batch_size - held :]
+                total, held = total + part.T @ part, held + len(part)
+                if held == batch_size:
+                    yield block()
+                    total, held = np.zeros((n, n)), 0
+        if held:
+            yield block()
+
+    blocks = df.select(*[F.col(f).cast("double").alias(f) for f in [*features, label]]).mapInArrow(run, "s array<double>").persist()
+    w = np.zeros(n - 1)
+    try:
+        blocks.count()
+        for _ in range(epochs):
+            for r in blocks.toLocalIterator():
+                s = np.array(r.s).reshape(n, n)
                 w = w - rate * (s[:-1, :-1] @ w - s[:-1, -1]) / s[0, 0]
+    finally:
+        blocks.unpersist()
     theta = _back(stats, w[1:], mean, np.where(np.isinf(dev), 0, dev))
     theta[0] += w[0] * (dev[-1] if np.isfinite(dev[-1]) else 0)
     return LinearModel(["1", *features], theta)

@@ -55,12 +55,53 @@ def rmse_gap(a: float, b: float) -> float:
 
 
 def dataset_profile(spark: SparkSession, spec: JoinSpec) -> DataFrame:
-    """(relation, n, bytes) of each relation and of the join, whose bytes are its rows times the width of all columns."""
+    """(relation, n, bytes, attributes) of each relation and of the join, whose bytes are its rows times the width of all
+    columns."""
     join = naive_join(spec, [])
-    rows = [(n, spec.rows(n).count(), size_of(spec.relations[n].df)) for n in spec.relations]
+    rows = [(n, spec.rows(n).count(), size_of(r.df), len(r.df.columns)) for n, r in spec.relations.items()]
     n = int(join.agg(F.sum("__mult")).first()[0] or 0)
-    width = 8 * len({c for r in spec.relations.values() for c in r.df.columns})
-    return spark.createDataFrame([*rows, ("__join", n, n * width)], "relation string, n long, bytes long")
+    width = len({c for r in spec.relations.values() for c in r.df.columns})
+    return spark.createDataFrame([*rows, ("__join", n, n * 8 * width, width)], "relation string, n long, bytes long, attributes int")
+
+
+def counts_of(spec: JoinSpec, features: list[Feature]) -> tuple[int, int, int]:
+    """(relations, continuous features, categorical features)."""
+    return len(spec.relations), sum(f.kind == "cont" for f in features), sum(f.kind == "cat" for f in features)
+
+
+def resources(spark: SparkSession, fn) -> dict[str, int]:
+    """Bytes that the stages of fn's jobs wrote to shuffles and spilled, rows that they read, and the most memory that one
+    stage's tasks held for execution, from the session's own status store."""
+    group, sc = f"resources-{time.monotonic_ns()}", spark.sparkContext
+    sc.setJobGroup(group, group)
+    try:
+        fn()
+    finally:
+        sc._jsc.clearJobGroup()
+    sc._jsc.sc().listenerBus().waitUntilEmpty(30_000)
+    store, tracker = sc._jsc.sc().statusStore(), sc.statusTracker()
+    out = {"stages": 0, "shuffle_bytes": 0, "spill_bytes": 0, "peak_bytes": 0, "input_rows": 0}
+    for job in tracker.getJobIdsForGroup(group):
+        for stage in tracker.getJobInfo(job).stageIds:
+            try:
+                s = store.lastStageAttempt(stage)
+            except Exception:  # noqa: BLE001  a skipped stage has no attempt
+                continue
+            out["stages"] += 1
+            out["shuffle_bytes"] += s.shuffleWriteBytes()
+            out["spill_bytes"] += s.diskBytesSpilled()
+            out["peak_bytes"] = max(out["peak_bytes"], s.peakExecutionMemory())
+            out["input_rows"] += s.inputRecords()
+    return out
+
+
+def observed(df: DataFrame, name: str, mult: str | None = None):
+    """(df, observation): counts rows, and sums multiplicities, as df is run by whatever runs it."""
+    from pyspark.sql import Observation
+
+    o = Observation(name)
+    total = F.sum(mult).cast("double") if mult else F.count(F.lit(1)).cast("double")
+    return df.observe(o, F.count(F.lit(1)).alias("rows"), total.alias("total")), o
 
 
 def encoded_width(spec: JoinSpec, cont: list[Feature], cats: list[Feature]) -> int:

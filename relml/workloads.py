@@ -9,7 +9,8 @@ from . import baselines
 from . import datasets as ds
 from .catalog import query
 from .learn import linear, tree
-from .measures import Clock, dataset_profile, encoded_width, planning_seconds
+from .layout import drop_dir, scratch_dir, stored_sorted
+from .measures import Clock, benchmark, counts_of, dataset_profile, encoded_width, observed, planning_seconds, resources
 from .moments import moment_matrix, moment_tensor
 from .plans.views import aggregate, monomials, naive_join
 
@@ -17,8 +18,9 @@ DATASETS = {"narrow6": ds.narrow6, "wide35": ds.wide35}
 
 
 def end_to_end_linear(spark: SparkSession, sf: str, dataset: str, variant: str, clock: Clock) -> None:
-    """Ours in one step; the others build the joined rows first."""
+    """Ours in one step; the others build the joined rows first and take nothing from ours."""
     spec, fs, y = DATASETS[dataset](spark, sf, variant)
+    names = [f.name for f in (*fs, y)]
     with clock.timed("relml", dataset, variant, "learn"):
         linear.bgd(moment_matrix(spec, fs, y))
     joined = naive_join(spec, [*fs, y])
@@ -30,26 +32,52 @@ def end_to_end_linear(spark: SparkSession, sf: str, dataset: str, variant: str,
             if method == "library_normal":
                 from pyspark.ml.regression import LinearRegression
 
-                LinearRegression(labelCol=y.name, solver="normal").fit(baselines.assembled(rows, [f.name for f in fs]))
+                LinearRegression(labelCol=y.name, solver="normal").fit(baselines.assembled(rows, names[:-1]))
             else:
-                linear.sgd(rows, [f.name for f in fs], y.name, moment_matrix(spec, fs, y))
+                linear.sgd(rows, names[:-1], y.name, linear.Scale.of(rows, names))
         rows.unpersist()
 
 
 def end_to_end_tree(spark: SparkSession, sf: str, dataset: str, variant: str, clock: Clock, max_bins: int = 64) -> None:
+    from pyspark.ml.regression import DecisionTreeRegressor, GBTRegressor
+
     spec, fs, y = DATASETS[dataset](spark, sf, variant)
     with clock.timed("relml", dataset, variant, "learn"):
         tree.grow_regression_tree(spec, fs, y, 4, max_bins=max_bins)
-    with clock.timed("library_tree", dataset, variant, "join"):
+    with clock.timed("library", dataset, variant, "join"):
         rows = naive_join(spec, [*fs, y]).persist()
         rows.count()
-    with clock.timed("library_tree", dataset, variant, "learn"):
-        from pyspark.ml.regression import DecisionTreeRegressor
-
-        DecisionTreeRegressor(labelCol=y.name, maxDepth=4, maxBins=max_bins).fit(baselines.assembled(rows, [f.name for f in fs]))
+    for method, learner in (("library_tree", DecisionTreeRegressor(labelCol=y.name, maxDepth=4, maxBins=max_bins)), ("library_boosted", GBTRegressor(labelCol=y.name, maxIter=1, maxDepth=4, maxBins=max_bins, seed=1))):
+        with clock.timed(method, dataset, variant, "learn"):
+            learner.fit(baselines.assembled(rows, [f.name for f in fs]))
     rows.unpersist()
 
 
+@query("wl_protocol")
+def wl_protocol(spark: SparkSession, sf: str) -> DataFrame:
+    """Means of four runs after one that warms up, on relations that are held before the clock starts."""
+    rows = []
+    for d in DATASETS:
+        spec, fs, y = DATASETS[d](spark, sf)
+        held = {n: r.df.persist() for n, r in spec.relations.items()}
+        for df in held.values():
+            df.count()
+        names = [f.name for f in (*fs, y)]
+
+        def one_epoch():
+            joined = naive_join(spec, [*fs, y]).persist()
+            try:
+                linear.sgd(joined, names[:-1], y.name, linear.Scale.of(joined, names))
+            finally:
+                joined.unpersist()
+
+        for method, fn in (("relml", lambda: linear.bgd(moment_matrix(spec, fs, y))), ("join_only", lambda: naive_join(spec, [*fs, y]).write.format("noop").mode("overwrite").save()), ("library_normal", lambda: baselines.library_linear(spec, fs, y)), ("one_epoch_sgd", one_epoch)):
+            rows.append((d, method, 4, benchmark(fn)))
+        for df in held.values():
+            df.unpersist()
+    return spark.createDataFrame(rows, "dataset string, method string, runs int, seconds double")
+
+
 @query("wl_linreg")
 def wl_linreg(spark: SparkSession, sf: str) -> DataFrame:
     clock = Clock()
@@ -77,11 +105,11 @@ def wl_accuracy(spark: SparkSession, sf: str) -> DataFrame:
         m = moment_matrix(spec, fs, y)
         test = naive_join(DATASETS[d](spark, sf, "test")[0], [*fs, y]).persist()
         closed = linear.rmse(linear.solve_normal(m).predict(test), y.name)
-        found = {"closed_form": closed, "bgd_50": linear.rmse(linear.bgd(m).predict(test), y.name), "one_epoch": linear.rmse(linear.sgd(naive_join(spec, [*fs, y]), [f.name for f in fs], y.name, m).predict(test), y.name)}
-        if d == "narrow6":
-            found["tree"] = linear.rmse(tree.grow_regression_tree(spec, fs, y, 4, max_bins=64).predict(test), y.name)
-            lib = baselines.library_tree(spec, fs, y)
-            found["library_tree"] = linear.rmse(lib.transform(baselines.assembled(test, [f.name for f in fs])), y.name)
+        joined, names = naive_join(spec, [*fs, y]), [f.name for f in (*fs, y)]
+        found = {"closed_form": closed, "bgd_50": linear.rmse(linear.bgd(m).predict(test), y.name), "one_epoch": linear.rmse(linear.sgd(joined, names[:-1], y.name, linear.Scale.of(joined, names)).predict(test), y.name)}
+        found["tree"] = linear.rmse(tree.grow_regression_tree(spec, fs, y, 4, max_bins=32).predict(test), y.name)
+        lib = baselines.library_tree(spec, fs, y)
+        found["library_tree"] = linear.rmse(lib.transform(baselines.assembled(test, names[:-1])), y.name)
         rows += [(d, k, float(v), 100 * (v / closed - 1)) for k, v in found.items()]
         test.unpersist()
     return spark.createDataFrame(rows, "dataset string, method string, rmse double, gap_percent double")
@@ -112,7 +140,7 @@ def wl_tuples(spark: SparkSession, sf: str) -> DataFrame:
     clock = Clock()
     spec0, fs, y = ds.narrow6(spark, sf)
     top = spec0.relations["orders"].df.count()
-    for share in (0.05, 0.25, 1.0):
+    for share in (0.05, 0.1, 0.25, 0.5, 1.0):
         spec = spec0.filtered(lineitem=f"l_orderkey <= {int(top * share)}")
         m = moment_matrix(spec, fs, y)
         with clock.timed("hoisted", "narrow6", str(share), "total"):
@@ -125,7 +153,9 @@ def wl_tuples(spark: SparkSession, sf: str) -> DataFrame:
 @query("wl_rounds_sweep")
 def wl_rounds(spark: SparkSession, sf: str) -> DataFrame:
     clock = Clock()
-    spec, fs, y = ds.narrow6(spark, sf, "quarter")
+    spec, fs, y = ds.narrow6(spark, sf)
+    tuples, orders = (spec.relations[r].df.count() for r in ("lineitem", "orders"))
+    spec = spec.filtered(lineitem=f"l_orderkey <= {orders * 10_000 // tuples}")  # about 10 000 tuples
     m = moment_matrix(spec, fs, y)
     for rounds in (1, 10, 50, 100, 500):
         with clock.timed("hoisted", "narrow6", str(rounds), "total"):
@@ -137,27 +167,51 @@ def wl_rounds(spark: SparkSession, sf: str) -> DataFrame:
 
 @query("wl_aggregate_layers")
 def wl_layers(spark: SparkSession, sf: str) -> DataFrame:
-    """The moment matrix of the running example by each strategy; all must agree."""
-    clock, sums = Clock(), set()
+    """The moment matrix of the running example by each strategy, floating and exact; the exact ones must agree.  speed_up:
+    seconds of the strategy before by its own."""
+    rows, sums = [], set()
     spec, fs, y = ds.running3(spark, sf)
     every, batch = [*fs, y], monomials([f.name for f in (*fs, y)])
-    for s in ("materialised", "pushdown", "merged", "multi", "trie"):
-        with clock.timed(s, "running3", "full", "moments"):
-            sums.add(tuple(aggregate(spec, every, batch, s, exact=True).first()))
+    for exact in (False, True):
+        past = None
+        for s in ("materialised", "pushdown", "merged", "multi", "trie"):
+            clock, got = Clock(), None
+            for run in range(2):  # the first one warms up
+                with clock.timed(s, "running3", "full", "moments", run):
+                    got = tuple(aggregate(spec, every, batch, s, exact=exact).first())
+            if exact:
+                sums.add(got)
+            seconds = clock.rows[-1][5]
+            rows.append((s, exact, seconds, past / seconds if past else None))
+            past = seconds
     if len(sums) != 1:
         raise AssertionError("strategies differ")
-    return clock.to_df(spark)
+    return spark.createDataFrame(rows, "method string, exact boolean, seconds double, speed_up double")
 
 
 @query("wl_layout_layers")
 def wl_layout(spark: SparkSession, sf: str) -> DataFrame:
-    """Layouts of the same sums: row-at-a-time Python, interpreted, generated, hashed or merged look-ups, Arrow blocks."""
+    """Layouts of the same 36 sums: row-at-a-time Python, interpreted, generated, hashed or merged look-ups, relations stored
+    sorted, Arrow blocks."""
     clock = Clock()
     spec, fs, y = ds.narrow6(spark, sf)
-    every, batch = [*fs, y], monomials([f.name for f in (*fs, y)])
-    product = F.udf(lambda a, b: float(a * b), "double")
+    every = [*fs, y]
+    batch, names = monomials([f.name for f in every]), [f.name for f in every]
+    places = [[names.index(n) for n in m] for m in batch]
+
+    def products(*row):
+        out = []
+        for at in places:
+            v = 1.0
+            for k in at:
+                v *= row[k]
+            out.append(v)
+        return out
+
+    each = F.udf(products, "array<double>")
     with clock.timed("row_udf", "narrow6", "full", "moments"):
-        naive_join(spec, every).agg(F.sum(product("l_quantity", "l_discount"))).first()
+        rows = naive_join(spec, every).select(each(*names).alias("p"))
+        rows.agg(*[F.sum(F.col("p")[k]) for k in range(len(batch))]).first()
     held = spark.conf.get("spark.sql.codegen.wholeStage")
     try:
         spark.conf.set("spark.sql.codegen.wholeStage", "false")
@@ -168,11 +222,75 @@ def wl_layout(spark: SparkSession, sf: str) -> DataFrame:
     for s in ("multi", "hashed", "sorted"):
         with clock.timed({"multi": "generated"}.get(s, s), "narrow6", "full", "moments"):
             aggregate(spec, every, batch, s).first()
+    with stored_sorted(spark, spec, "orders", root="lineitem") as stored, clock.timed("stored_sorted", "narrow6", "full", "moments"):
+        aggregate(stored, every, batch, "sorted", root="lineitem").first()
     with clock.timed("arrow_blocks", "narrow6", "full", "moments"):
         moment_matrix(spec, fs, y, strategy="gram")
     return clock.to_df(spark)
 
 
+@query("wl_streamed_full")
+def wl_streamed(spark: SparkSession, sf: str) -> DataFrame:
+    """The full data set where a library that holds it in memory fails: the joined rows go through a text file in
+    mini-batches instead."""
+    rows = []
+    for d in DATASETS:
+        spec, fs, y = DATASETS[d](spark, sf)
+        names = [f.name for f in (*fs, y)]
+        try:
+            baselines.dense_copy(spec, [*fs, y], baselines.DENSE_BUDGET)
+            rows.append((d, "dense_copy", "ok", None))
+        except MemoryError as e:
+            rows.append((d, "dense_copy", type(e).__name__, None))
+        path = scratch_dir(spark, "csv")
+        try:
+            model = baselines.sgd_from_csv(spark, spec, fs, y, path)
+            rows.append((d, "streamed_csv", "ok", linear.rmse(model.predict(naive_join(spec, [*fs, y])), y.name)))
+        finally:
+            drop_dir(spark, path)
+        closed = linear.solve_normal(moment_matrix(spec, fs, y))
+        rows.append((d, "relml", "ok", linear.rmse(closed.predict(naive_join(spec, [*fs, y])), y.name)))
+    return spark.createDataFrame(rows, "dataset string, method string, status string, rmse double")
+
+
+@query("wl_resources")
+def wl_resources(spark: SparkSession, sf: str) -> DataFrame:
+    """Bytes shuffled and spilled, peak execution memory and rows read by the way of computing the same sums."""
+    spec, fs, y = ds.narrow6(spark, sf)
+    every = [*fs, y]
+    batch, rows = monomials([f.name for f in every]), []
+    for s in ("materialised", "pushdown", "merged", "multi", "trie", "gram"):
+        fn = (lambda: moment_matrix(spec, fs, y, strategy="gram")) if s == "gram" else lambda s=s: aggregate(spec, every, batch, s).first()
+        got = resources(spark, fn)
+        rows.append((s, *[got[k] for k in ("stages", "shuffle_bytes", "spill_bytes", "peak_bytes", "input_rows")]))
+    return spark.createDataFrame(rows, "method string, stages int, shuffle_bytes long, spill_bytes long, peak_bytes long, input_rows long")
+
+
+@query("profile_attributes", "SELECT table_name AS relation, CAST(count(*) AS INTEGER) AS attributes FROM information_schema.columns WHERE table_name IN ('lineitem', 'orders', 'part', 'supplier', 'nation') GROUP BY 1")
+def profile_attributes(spark: SparkSession, sf: str) -> DataFrame:
+    return dataset_profile(spark, ds.narrow6(spark, sf)[0]).where("relation <> '__join'").select("relation", "attributes")
+
+
+@query("profile_counts")
+def profile_counts(spark: SparkSession, sf: str) -> DataFrame:
+    rows = [(d, *counts_of(spec, fs)) for d in DATASETS for spec, fs, _ in [DATASETS[d](spark, sf)]]
+    spec, cont, cats = ds.onehot(spark, sf)
+    return spark.createDataFrame([*rows, ("onehot", *counts_of(spec, [*cont, *cats]))], "dataset string, relations int, continuous int, categorical int")
+
+
+@query("observed_join", "SELECT CAST(count(*) AS BIGINT) AS n, CAST(sum(l_linenumber) AS DOUBLE) AS total FROM lineitem JOIN supplier ON l_suppkey = s_suppkey JOIN part ON l_partkey = p_partkey")
+def observed_join(spark: SparkSession, sf: str) -> DataFrame:
+    """Rows and multiplicities as a join's own run reports them; line numbers stand for multiplicities."""
+    from dataclasses import replace
+
+    spec, fs, _ = ds.running3(spark, sf)
+    rel = spec.relations["lineitem"]
+    spec = replace(spec, relations=spec.relations | {"lineitem": replace(rel, mult="l_linenumber")})
+    df, seen = observed(naive_join(spec, fs), "join", "__mult")
+    df.write.format("noop").mode("overwrite").save()
+    return spark.createDataFrame([(seen.get["rows"], seen.get["total"])], "n long, total double")
+
+
 @query("wl_planning")
 def wl_planning(spark: SparkSession, sf: str) -> DataFrame:
     rows = []

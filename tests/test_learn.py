@@ -233,3 +233,39 @@ def test_workloads_cover_their_grids(monkeypatch, spark, sf):
     assert sorted(trees) == sorted((d, v) for d in w.DATASETS for v in ("full", "quarter"))
     assert sum(planned) == sum(sizes) and max(planned) <= 90
     assert naive == [1, 10, 50, 100, 500]
+
+
+def test_sgd_blocks_and_scale(spark, sf):
+    """Batches of the rows in order, as one loop over them would take them."""
+    spec, fs, y = ds.narrow6(spark, sf)
+    names = [f.name for f in (*fs, y)]
+    rows = naive_join(spec, [*fs, y]).orderBy(*names).coalesce(1).persist()
+    scale = linear.Scale.of(rows, names)
+    got = linear.sgd(rows, names[:-1], y.name, scale, 700, 2)
+    z = (rows.toPandas()[names].to_numpy(float) - scale.mean) / scale.dev
+    w = np.zeros(len(names))
+    for _ in range(2):
+        for lo in range(0, len(z), 700):
+            x = np.column_stack([np.ones(len(z[lo : lo + 700])), z[lo : lo + 700]])
+            w = w - 0.1 * (x[:, :-1].T @ (x[:, :-1] @ w - x[:, -1])) / len(x)
+    b = w[1:] * scale.dev[-1] / scale.dev[:-1]
+    assert got.theta == pytest.approx([scale.mean[-1] + w[0] * scale.dev[-1] - b @ scale.mean[:-1], *b], rel=1e-6)
+
+
+def test_layouts(spark, sf):
+    from pyspark.sql import functions as F
+    from relml.layout import flatten_single, session_conf, stored_sorted
+    from relml.measures import resources
+
+    df = spark.range(3).select("id", F.struct(F.lit(1).alias("x")).alias("a"), F.struct(F.struct(F.lit(2).alias("y")).alias("b"), F.lit(3).alias("z")).alias("c"))
+    assert flatten_single(df).columns == ["id", "a", "c_b", "c_z"]
+    with pytest.raises(ValueError):
+        flatten_single(df.withColumn("c_z", F.lit(1)))
+    assert session_conf()["spark.memory.offHeap.enabled"] == "true"
+    spec, fs, y = ds.narrow6(spark, sf)
+    want = moment_matrix(spec, fs, y, exact=True, root="lineitem")
+    with stored_sorted(spark, spec, "orders", 4, "lineitem") as stored:
+        got = moment_matrix(stored, fs, y, "sorted", exact=True, root="lineitem")
+        assert (got.values == want.values).all()
+    used = resources(spark, lambda: spark.range(1000).repartition(3).count())
+    assert used["shuffle_bytes"] > 0 and used["stages"] >= 2

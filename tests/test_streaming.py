@@ -30,3 +30,15 @@ def test_late_rows_are_left_out(spark, tmp_path):
     q.awaitTermination()
     got = {r.start.hour: r.s1 for r in spark.sql("select * from late_test").collect()}
     assert got.get(0) == 1.0
+
+
+def test_state_per_user_counts_late_rows(spark, tmp_path):
+    from relml.streaming.moments import answer, user_state
+
+    parts = [(1, "2024-01-01 10:00:00", 1.0), (2, "2024-01-01 10:00:00", 2.0)], [(1, "2024-01-01 08:00:00", 5.0), (1, "2024-01-01 09:30:00", 3.0)]
+    for k, part in enumerate(parts):
+        spark.createDataFrame(part, "user_id long, ts string, value double").withColumn("ts", F.col("ts").cast("timestamp")).coalesce(1).write.parquet(str(tmp_path / f"in/{k}"))
+    schema = spark.read.parquet(str(tmp_path / "in/0")).schema
+    stream = spark.readStream.schema(schema).option("maxFilesPerTrigger", 1).parquet(str(tmp_path / "in/*"))
+    got = {r.user_id: (r.n, r.s1, r.late) for r in answer(user_state(stream), ["user_id"], "update").collect()}
+    assert got[2] == (1, 2.0, 0) and got[1] in ((2, 4.0, 1), (3, 9.0, 0))  # files of one instant may come in either order
