@@ -1,9 +1,9 @@
 """Media columns: payloads in archives, read by a Spark data source over byte ranges.
 
 An archive is a run of members.  A member is a header line `doc_id n_bytes media_bytes\n` in fixed-width digits and one
-greyscale PNG, 24 samples wide, whose samples are the payload.  Beside each archive lies an index of member offsets.  The
+greyscale PNG, 24 samples wide, whose samples are the payload.  Beside each archive lies an index of member offsets and checksums.  The
 data source plans partitions as byte ranges over the archives of a folder; a range owns the members that start in it.  Each
-member is read by its offset and retried by itself, so a failed read repeats one member and not the range; payloads leave
+member is read by its offset, held against its checksum and retried by itself, so a failed or damaged read repeats one member and not the range; payloads leave
 in Arrow batches bounded by bytes.
 
 Null text counts as empty; payloads are padded with bytes 255 to a positive multiple of 576.  Repeated rows are members of
@@ -91,7 +91,7 @@ def write_archives(docs: DataFrame, folder: str, id_col: str = "doc_id", text_co
     def run(batches):
         where, base = at_uri(folder)
         task = TaskContext.get()
-        name, n, at, offsets = f"{base}/{task.partitionId():06d}", 0, 0, []
+        name, n, at, offsets, sums = f"{base}/{task.partitionId():06d}", 0, 0, [], []
         part = f"{base}/.{task.partitionId():06d}-{task.taskAttemptId()}"
         with where.open_output_stream(part) as out:
             for batch in batches:
@@ -100,10 +100,11 @@ def write_archives(docs: DataFrame, folder: str, id_col: str = "doc_id", text_co
                     media = to_png(padded(raw))
                     head = f"{'' if doc_id is None else doc_id:>20} {len(raw):>20} {len(media):>20}\n".encode()
                     offsets.append(at)
+                    sums.append(zlib.crc32(head + media))
                     out.write(head + media)
                     at, n = at + HEAD + len(media), n + 1
         with where.open_output_stream(f"{part}.idx") as out:
-            out.write(np.array([*offsets, at], "<i8").tobytes())
+            out.write(np.array([*offsets, at, *sums], "<i8").tobytes())
         where.move(f"{part}.idx", f"{name}.idx")
         where.move(part, f"{name}.arc")
         yield pa.RecordBatch.from_arrays([pa.array([n], pa.int64())], ["n"])
@@ -131,8 +132,8 @@ class ArchiveReader(DataSourceReader):
         files = [f for f in where.get_file_info(fs.FileSelector(base)) if f.path.endswith(".arc")]
         return [ByteRange(f.path, lo, min(lo + self.span, f.size)) for f in sorted(files, key=lambda f: f.path) for lo in range(0, max(f.size, 1), self.span)]
 
-    def member(self, source, offset: int, stop: int) -> tuple:
-        """One member by its offset, tried again by itself."""
+    def member(self, source, offset: int, stop: int, crc: int | None = None) -> tuple:
+        """One member by its offset, held against its checksum and tried again by itself."""
         for left in range(self.tries - 1, -1, -1):
             try:
                 source.seek(offset)
@@ -140,6 +141,8 @@ class ArchiveReader(DataSourceReader):
                 doc_id, n, size = raw[:20].strip(), int(raw[21:41]), int(raw[42:62])
                 if len(raw) != HEAD + size:
                     raise OSError(f"{len(raw)} bytes at {offset}, not {HEAD + size}")
+                if crc is not None and zlib.crc32(raw) != crc:
+                    raise OSError(f"damaged bytes at {offset}")
                 return (int(doc_id) if doc_id else None), n, raw[HEAD:]
             except (OSError, ValueError):
                 if not left:
@@ -149,12 +152,13 @@ class ArchiveReader(DataSourceReader):
     def read(self, part: ByteRange):
         where, _ = at_uri(self.folder)
         with where.open_input_stream(part.archive[: -len("arc")] + "idx") as f:
-            offsets = np.frombuffer(f.read(), "<i8")
+            index = np.frombuffer(f.read(), "<i8")
+        offsets, sums = index[: len(index) // 2 + 1], index[len(index) // 2 + 1 :]
         lo, hi = np.searchsorted(offsets[:-1], [part.start, part.stop])
         rows, held = [], 0
         with where.open_input_file(part.archive) as source:
             for k in range(lo, hi):
-                rows.append(self.member(source, int(offsets[k]), int(offsets[k + 1])))
+                rows.append(self.member(source, int(offsets[k]), int(offsets[k + 1]), int(sums[k])))
                 held += len(rows[-1][2])
                 if held >= self.batch:
                     yield self.rows(rows)
