@@ -23,6 +23,7 @@ from pyspark.sql import functions as F
 
 from . import common
 
+_SPACE = re.compile("[ \t\n\r]+")
 _ODD = re.compile("[^\t\n\r -~¡-ɏ‐-‧]|[ª­²³µ¹º¼-¾İĲĳŉſ]")
 
 
@@ -131,6 +132,7 @@ class WordBpe:
         self.vocab = model["vocab"]
         self.tokens = {i: t for t, i in self.vocab.items()} | {a["id"]: a["content"] for a in self.spec["added_tokens"]}
         self.special = [a["content"] for a in self.spec["added_tokens"]]
+        self.spaced = [s for s in self.special if _SPACE.search(s)]  # such a token may straddle chunks
         merges = (m.split(" ") if isinstance(m, str) else m for m in model["merges"])
         self.ranks = {(a, b): k for k, (a, b) in enumerate(merges)}
         self.end = model["end_of_word_suffix"] or ""
@@ -177,7 +179,8 @@ class Codec:
     def __init__(self, file: str, folder: str | None, cache: int = common.CACHE_BYTES):
         self.bpe = WordBpe(file)
         self.lexicon = Transducer.open(folder) if folder else None
-        self.known = common.Known(self.learn, cache, lambda got: 250 + len(got[1]) + 2 * len(got[2]))
+        size = lambda got: 250 + len(got[1]) + 2 * len(got[2])
+        self.known, self.odd = common.Known(self.learn, cache, size), common.Known(self.strange, cache // 4, size)
 
     def ids(self, word: str) -> list[int]:
         got = self.lexicon.find(word) if self.lexicon else None
@@ -193,27 +196,54 @@ class Codec:
         return " ".join(self.bpe.tokens[i] for i in ids)
 
     def encode(self, text: str) -> list[int]:
-        words = self.bpe.words(unicodedata.normalize("NFC", text))
-        if words is None:
-            return self.bpe.exact().encode(text, add_special_tokens=False).ids
-        return [i for w in words for i in self.ids(w)]
+        return [int(i) for g in self.chunks(text) if g[0] for i in g[1].split(" ")]
+
+    def strange(self, chunk: str) -> tuple[int, str, str]:
+        """A chunk whose characters' class or case is not the same in all Unicode tables, by the library."""
+        ids = self.bpe.exact().encode(chunk, add_special_tokens=False).ids
+        return len(ids), " ".join(map(str, ids)), self.decode(ids)
+
+    def chunks(self, text: str) -> list[tuple[int, str, str]]:
+        """Results of the chunks between white space, in which no word straddles.  Only chunks with odd characters go to the
+        library, not the text around them."""
+        plain = text if text.isascii() else unicodedata.normalize("NFC", text)
+        if not self.bpe.odd(plain):
+            return list(map(self.known.__getitem__, plain.lower().split()))
+        if self.bpe.spaced and any(s in text for s in self.bpe.spaced):
+            return [self.strange(text)]
+        out = []
+        for chunk in _SPACE.split(text):
+            plain = chunk if chunk.isascii() else unicodedata.normalize("NFC", chunk)
+            if self.bpe.odd(chunk) or self.bpe.odd(plain):
+                out.append(self.odd[chunk])
+            elif plain:
+                out.append(self.known[plain.lower()])
+        return out
 
     def digests(self, text: str) -> tuple[int, str, str]:
-        sha = hashlib.sha256
-        text = text if text.isascii() else unicodedata.normalize("NFC", text)
-        if self.bpe.odd(text):
-            ids = self.bpe.exact().encode(text, add_special_tokens=False).ids
-            return len(ids), sha(" ".join(map(str, ids)).encode()).hexdigest(), sha(self.decode(ids).encode()).hexdigest()
-        got = list(map(self.known.__getitem__, text.lower().split()))
+        sha, got = hashlib.sha256, [g for g in self.chunks(text) if g[0]]
         return sum([g[0] for g in got]), sha(" ".join([g[1] for g in got]).encode()).hexdigest(), sha(" ".join([g[2] for g in got]).encode()).hexdigest()
 
 
 def frequent_words(docs: DataFrame, text_col: str = "text", size: int = 20_000) -> list[str]:
     """The most frequent words of the whole corpus, ties by word; size is the feature of the lexicon and only steers
-    speed.  Counting is native, pre-aggregated before its shuffle, over words cut at white space and non-letters."""
+    speed.  Counting is native, pre-aggregated before its shuffle, over words cut at white space and non-letters.  The
+    count from which words are sent to the driver comes from a histogram of the counts in eighths of powers of two, so that
+    what it gets does not grow with the corpus or its partitions."""
     words = docs.select(F.explode(F.split(F.lower(F.col(text_col)), r"[^\p{L}]+")).alias("w")).where("w <> ''")
-    top = words.groupBy("w").count().where("count > 1").orderBy(F.desc("count"), "w").limit(size)
-    return [r.w for r in top.collect()]
+    seen = common.settle(words.groupBy("w").count().where("count > 1"), "words")
+    level = F.floor(F.log2(F.col("count").cast("double")) * 8).cast("int")
+    least, held = 0, 0
+    for r in sorted(seen.groupBy(level.alias("level")).count().collect(), key=lambda r: -r.level):  # some hundred at most
+        least, held = r.level, held + r["count"]
+        if held >= size:
+            break
+    rows = seen.where(level > least).collect()
+    more = size - len(rows)
+    if more > 0:
+        rows += seen.where(level == least).orderBy(F.desc("count"), "w").limit(more).collect()
+    common.discard(seen)
+    return [r.w for r in sorted(rows, key=lambda r: (-r["count"], r.w))]
 
 
 def codec_of(file: str, folder: str | None) -> Codec:
