@@ -5,7 +5,7 @@ product in double precision, worked out on the original vectors.  Vectors are in
 equal length, and a query probes each band, so inner products of vectors of any length are served.
 
 Equal vectors are one entry with their least ids, as many as an answer can hold, so a hot vector costs one entry.  Buckets
-are cut into salted blocks of bounded size and taken in lots.  A query that finds fewer than k looks into all buckets of one table, which is exact.
+are counted first, and each is cut into as many salted blocks of bounded size as it needs, a dense cone of vectors too; blocks are taken in lots.  A query that finds fewer than k looks into all buckets of one table, which is exact.
 
 Vectors that are null, zero, of another length than most, or hold null or non-finite numbers take no part.  Ties go to the
 lesser id.  Ids are taken to be unique: a query leaves out all rows with its own id.
@@ -70,7 +70,8 @@ def matrix(column: pa.Array) -> np.ndarray:
 
 def usable_vectors(df: DataFrame, id_col: str, vec_col: str) -> tuple[DataFrame, int]:
     odd = F.exists("v", lambda x: x.isNull() | F.isnan(x) | (F.abs(x) == float("inf")))
-    rows = df.select(F.col(id_col).cast("long").alias("id"), F.col(vec_col).cast("array<double>").alias("v")).where(F.col("id").isNotNull() & F.col("v").isNotNull() & ~odd & F.exists("v", lambda x: x != 0))
+    kind = "array<float>" if df.schema[vec_col].dataType.simpleString() == "array<float>" else "array<double>"  # scores are in double
+    rows = df.select(F.col(id_col).cast("long").alias("id"), F.col(vec_col).cast(kind).alias("v")).where(F.col("id").isNotNull() & F.col("v").isNotNull() & ~odd & F.exists("v", lambda x: x != 0))
     size = rows.groupBy(F.size("v").alias("d")).count().orderBy(F.desc("count"), "d").first()
     dim = size.d if size else 1
     return rows.where(F.size("v") == dim), dim
@@ -81,23 +82,22 @@ def nearest(df: DataFrame, is_query: Column, k: int = 20, tables: int = 6, probe
     rows, dim = usable_vectors(df, id_col, vec_col)
     order = Window.partitionBy("v").orderBy("id")
     members = common.settle(rows.withColumn("r", F.row_number().over(order)).where(F.col("r") <= k + 1).withColumn("g", F.min("id").over(Window.partitionBy("v"))), "vectors")
-    band = F.round(F.log2(F.sqrt(F.aggregate("v", F.lit(0.0), lambda a, x: a + x * x))) * 4).cast("int")
+    band = F.round(F.log2(F.sqrt(F.aggregate("v", F.lit(0.0), lambda a, x: a + x.cast("double") * x))) * 4).cast("int")
     entries = members.where("r = 1").select(F.col("id").alias("g"), "v", band.alias("band"))
     bands = sorted(r.band for r in entries.select("band").distinct().collect())  # a few per power of two
-    total, distinct = rows.count(), entries.count()
+    total = rows.count()
     # one hash at every size, so that the share of a table that is probed does not fall as vectors come; growth is cut into blocks
     axes = 2 * (1 << max(0, dim - 1).bit_length())
     hashes = 1
-    salts = max(1, math.ceil(distinct / (axes * BLOCK)))
     if probes >= axes:
         tables = 1  # all buckets of one table are everything
     queries = common.settle(rows.where(is_query).select(F.col("id").alias("q"), "v"), "queries")
-    found = common.settle(_search(entries, queries, bands, salts, rotations(dim, tables, hashes, seed), probes, k), "found")
+    found = common.settle(_search(entries, queries, bands, rotations(dim, tables, hashes, seed), probes, k), "found")
     want = min(k, total - 1)
     best = _ranked(found, members, k)
     short = common.settle(queries.join(best.groupBy(F.col("query_id").alias("q")).count().where(F.col("count") >= want).select("q"), "q", "left_anti"), "short")
     if want > 0 and short.take(1):
-        every = _search(entries, short, bands, salts, rotations(dim, 1, 1, seed), axes, k)
+        every = _search(entries, short, bands, rotations(dim, 1, 1, seed), axes, k)
         best = _ranked(found.unionByName(every), members, k)
     return best
 
@@ -108,17 +108,40 @@ def _ranked(found: DataFrame, members: DataFrame, k: int) -> DataFrame:
     return each.withColumn("rank", F.row_number().over(order)).where(F.col("rank") <= k).select(F.col("q").alias("query_id"), "rank", "vec_id", "score")
 
 
-def _search(entries: DataFrame, queries: DataFrame, bands: list[int], salts: int, signs: np.ndarray, probes: int, k: int) -> DataFrame:
+def crowded(entries: DataFrame, signs: np.ndarray, block: int) -> dict[tuple[int, int, int], int]:
+    """(table, band, bucket) -> number of blocks, of the buckets with more vectors than a block.  The driver gets a number for
+    each bucket, whose number is bounded by tables, bands and axes."""
+
+    def count(batches):
+        for batch in batches:
+            if batch.num_rows:
+                x, band = matrix(batch.column("v")), np.array(batch.column("band")).astype(np.int64)
+                for t in range(len(signs)):
+                    at, n = np.unique(np.stack([band, best_buckets(x, signs[t], 1)[:, 0]]), axis=1, return_counts=True)
+                    yield pa.RecordBatch.from_arrays([pa.array(np.full(len(n), t, np.int32)), pa.array(at[0]), pa.array(at[1]), pa.array(n)], ["t", "band", "b", "n"])
+
+    seen = entries.select("band", "v").mapInArrow(count, "t int, band long, b long, n long").groupBy("t", "band", "b").agg(F.sum("n").alias("n")).where(F.col("n") > block)
+    return {(r.t, r.band, r.b): -(-r.n // block) for r in seen.collect()}
+
+
+def _search(entries: DataFrame, queries: DataFrame, bands: list[int], signs: np.ndarray, probes: int, k: int, block: int = BLOCK) -> DataFrame:
     """(q, g, score): the best k + 1 of each query in each block that it probes."""
+    blocks = crowded(entries, signs, block)
+
+    def salts(t: int, band, b: np.ndarray) -> np.ndarray:
+        """Number of blocks of each bucket."""
+        if not blocks:
+            return np.ones(len(b), np.int64)
+        return np.array([blocks.get((t, int(d), int(c)), 1) for d, c in zip(np.broadcast_to(band, len(b)), b)], np.int64)
 
     def index(batches):
         for batch in batches:
             if batch.num_rows:
                 x = matrix(batch.column("v"))
-                g = np.array(batch.column("g"))
+                g, band = np.array(batch.column("g")), np.array(batch.column("band"))
                 for t in range(len(signs)):
                     b = best_buckets(x, signs[t], 1)[:, 0]
-                    yield pa.RecordBatch.from_arrays([pa.array(np.full(len(x), t, np.int32)), batch.column("band"), pa.array(b), pa.array(np.abs(g * 0x9E3779B1 >> 7) % salts), batch.column("g"), batch.column("v")], ["t", "band", "b", "salt", "g", "v"])
+                    yield pa.RecordBatch.from_arrays([pa.array(np.full(len(x), t, np.int32)), batch.column("band"), pa.array(b), pa.array((g * 0x9E3779B1 >> 7) % salts(t, band, b)), batch.column("g"), batch.column("v")], ["t", "band", "b", "salt", "g", "v"])
 
     def probe(batches):
         for batch in batches:
@@ -129,9 +152,12 @@ def _search(entries: DataFrame, queries: DataFrame, bands: list[int], salts: int
                     b = best_buckets(x, signs[t], probes)
                     n = b.shape[1]
                     for band in bands:
-                        for salt in range(salts):
-                            at = pa.array(np.repeat(np.arange(len(x)), n))
-                            yield pa.RecordBatch.from_arrays([pa.array(np.full(b.size, t, np.int32)), pa.array(np.full(b.size, band, np.int32)), pa.array(b.ravel()), pa.array(np.full(b.size, salt, np.int64)), pa.array(np.repeat(q, n)), part.column("v").take(at)], ["t", "band", "b", "salt", "q", "v"])
+                        times = salts(t, band, b.ravel())
+                        at = np.repeat(np.arange(b.size), times)
+                        for lo in range(0, len(at), 8192):
+                            some = at[lo : lo + 8192]
+                            salt = np.arange(lo, lo + len(some)) - (np.cumsum(times) - times)[some]
+                            yield pa.RecordBatch.from_arrays([pa.array(np.full(len(some), t, np.int32)), pa.array(np.full(len(some), band, np.int32)), pa.array(b.ravel()[some]), pa.array(salt), pa.array(q[some // n]), part.column("v").take(pa.array(some // n))], ["t", "band", "b", "salt", "q", "v"])
 
     def meet(left: pa.Table, right: pa.Table) -> pa.Table:
         out = [], [], []
@@ -157,6 +183,7 @@ def _search(entries: DataFrame, queries: DataFrame, bands: list[int], salts: int
         return pa.table({"q": qs[keep], "g": gs[keep], "score": scores[keep]})
 
     keys = ["t", "band", F.floor(F.col("b") / LOT), "salt"]
-    left = entries.mapInArrow(index, "t int, band int, b long, salt long, g long, v array<double>")
-    right = queries.mapInArrow(probe, "t int, band int, b long, salt long, q long, v array<double>")
+    kind = entries.schema["v"].dataType.simpleString()
+    left = entries.mapInArrow(index, f"t int, band int, b long, salt long, g long, v {kind}")
+    right = queries.mapInArrow(probe, f"t int, band int, b long, salt long, q long, v {kind}")
     return left.groupBy(*keys).cogroup(right.groupBy(*keys)).applyInArrow(meet, "q long, g long, score double")
