@@ -5,6 +5,7 @@ codewords of the perfect single-error code of length 31, with one free bit besid
 its nearest anchor, its home.  A fingerprint goes to every anchor within covering radius 1 plus threshold 1, 17 or fewer;
 two fingerprints that agree to within one bit in a half therefore meet at the home of each.  At an anchor, in a run of a
 sorted partition, home members are compared with all members over all 64 bits; a run gives a forest of links, not its pairs.
+An anchor with many members is cut: each part compares its share of the home members with all, so that no task has them all.
 
 Equal fingerprints are one node, so copies are never paired.  Components are found by distributed star steps.
 
@@ -118,8 +119,9 @@ def forest(fp: np.ndarray, home: np.ndarray, threshold: int = THRESHOLD) -> list
     return out
 
 
-def links(nodes: DataFrame) -> DataFrame:
-    """(a, b) pairs of distinct fingerprints within the threshold, enough to connect all that are.  nodes: (fp)."""
+def links(nodes: DataFrame, most: int = 4 * BLOCK) -> DataFrame:
+    """(a, b) pairs of distinct fingerprints within the threshold, enough to connect all that are.  nodes: (fp).  most: members
+    of an anchor that one task compares its home members with before it is cut."""
 
     def spread(batches):
         for batch in batches:
@@ -163,8 +165,14 @@ def links(nodes: DataFrame) -> DataFrame:
         empty = np.zeros(0, np.uint64)
         return pa.RecordBatch.from_arrays([pa.array(np.concatenate([empty, *a]).view(np.int64)), pa.array(np.concatenate([empty, *b]).view(np.int64))], ["a", "b"])
 
-    spread_out = nodes.select("fp").mapInArrow(spread, "k long, fp long, home boolean")
-    return spread_out.repartition("k").sortWithinPartitions("k").mapInArrow(meet, "a long, b long")
+    rows = nodes.select("fp").mapInArrow(spread, "k long, fp long, home boolean")
+    crowd = common.settle(rows.groupBy("k").count().where(F.col("count") > most).select("k", F.ceil(F.col("count") / most).cast("int").alias("parts")), "crowds")
+    if crowd.take(1):
+        both = rows.join(crowd.hint("merge"), "k", "left").select("k", "fp", "home", F.coalesce("parts", F.lit(1)).alias("parts"))
+        part = F.explode(F.sequence(F.lit(0), F.col("parts") - 1)).alias("part")
+        rows = both.select("k", "fp", "home", "parts", part).select("k", "part", "fp", (F.col("home") & (F.pmod(F.xxhash64("fp"), "parts") == F.col("part"))).alias("home"))
+        rows = rows.select(F.xxhash64("k", "part").alias("k"), "fp", "home")  # runs whose hashes meet are one: links are checked anyway
+    return rows.repartition("k").sortWithinPartitions("k").mapInArrow(meet, "a long, b long")
 
 
 def hex_of(fp: Column) -> Column:

@@ -491,6 +491,79 @@ def test_links_at_all_distances(spark):
     assert all(roots.get(v, v) == top(v) for v in rows)
 
 
+def test_links_of_a_crowded_anchor(spark):
+    """Nine in ten fingerprints share a half; cut into parts, the components are the same."""
+    rng = np.random.default_rng(12)
+    low = rng.integers(0, 1 << 32, 60, np.uint64)
+    fps = {int(x ^ (np.uint64(1) << np.uint64(b))) for x in low for b in rng.integers(0, 32, 6)} | set(map(int, rng.integers(0, 1 << 63, 40, np.uint64)))
+    nodes = spark.createDataFrame([(int(np.uint64(f).view(np.int64)),) for f in fps], "fp long")
+    got = [sorted((r.node, r.root) for r in components.connected_components(simhash.links(nodes, most)).collect()) for most in (8192, 25)]
+    assert got[0] == got[1] and got[0]
+
+
+def test_nearest_with_one_crowded_bucket(spark):
+    """Nine in ten vectors lie in one cone, so that its bucket has many blocks."""
+    rng = np.random.default_rng(13)
+    x = np.concatenate([np.eye(8)[0] + 0.05 * rng.normal(size=(900, 8)), rng.normal(size=(100, 8))])
+    rows = spark.createDataFrame([(k, v.tolist()) for k, v in enumerate(x)], "g long, v array<double>").withColumn("band", F.lit(0))
+    queries = spark.createDataFrame([(2000 + k, x[k].tolist()) for k in (1, 5, 950)], "q long, v array<double>")
+    signs = ann.rotations(8, 2, 1, 3)
+    assert any(n > 10 for n in ann.crowded(rows, signs, 50).values())
+    got = {}
+    for block in (50, 8192):
+        best = {}
+        for r in ann._search(rows, queries, [0], signs, 16, 10, block).collect():
+            best.setdefault(r.q, {})[r.g] = r.score
+        got[block] = {q: sorted(s, key=lambda g: (-s[g], g))[:10] for q, s in best.items()}
+    want = {2000 + k: sorted(range(1000), key=lambda g: (-float(x[g] @ x[k]), g))[:10] for k in (1, 5, 950)}
+    assert got[50] == got[8192] == want
+
+
+def test_frequent_words_are_bounded_and_exact(spark):
+    rng = np.random.default_rng(14)
+    words = rng.zipf(1.3, 4000) % 300
+    docs = spark.createDataFrame([(k, " ".join(f"w{chr(97 + v % 26)}{chr(97 + v // 26)}" for v in words[k::40])) for k in range(40)], "doc_id long, text string")
+    counts = {}
+    for r in docs.collect():
+        for w in r.text.split():
+            counts[w] = counts.get(w, 0) + 1
+    want = sorted((w for w, n in counts.items() if n > 1), key=lambda w: (-counts[w], w))
+    for size in (1, 7, 60, 10_000):
+        assert bpe.frequent_words(docs, size=size) == want[:size]
+
+
+def test_odd_chunks_alone_go_to_the_library(spark):
+    from tokenizers import Tokenizer
+
+    file = P.path("word_bpe_49k.json")
+    codec, lib = bpe.Codec(file, None), Tokenizer.from_file(file)
+    texts = ["costs 5 € only, Привет мир and ΣΑΣ Σ 日本 語 x", "a\u00a0b c\u3000d \x1c e\x85f", "İstanbul ǅ ŉ ﬁ and plain Words", "e\u0301 cafe\u0301 ́x", "tabs\tand\r\nlines 😀😀 end", "<|endoftext|> x"]
+    for t in texts:
+        assert codec.encode(t) == lib.encode(t, add_special_tokens=False).ids, t
+        assert codec.digests(t)[0] == len(codec.encode(t))
+    seen = []
+    codec.bpe.exact = lambda real=codec.bpe.exact: seen.append(1) or real()
+    codec.digests("plain words around one € sign " * 50)
+    assert len(seen) <= 1
+
+
+def test_damaged_member_is_retried(tmp_path):
+    media_, payload = media.to_png(media.padded(b"abc")), media.padded(b"abc")
+    head = f"{7:>20} {3:>20} {len(media_):>20}\n".encode()
+    assert len(head) == media.HEAD
+    good, reads = head + media_, []
+
+    class Source:
+        def seek(self, at):
+            reads.append(at)
+
+        def read(self, n):
+            return good if len(reads) > 1 else good[:-20] + b"x" + good[-19:]
+
+    doc_id, n, raw = media.ArchiveReader({"path": str(tmp_path)}).member(Source(), 0, len(good), zlib.crc32(good))
+    assert (doc_id, n, media.from_png(raw)) == (7, 3, payload) and len(reads) == 2
+
+
 def test_components_of_chains(spark):
     chain = [(k, k + 1) for k in range(60)] + [(100, 101), (101, 100), (7, 7)]
     got = {r.node: r.root for r in components.connected_components(spark.createDataFrame(chain, "a long, b long")).collect()}
