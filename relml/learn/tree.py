@@ -156,30 +156,31 @@ class Grower:
         for df in self.base.values():
             df.unpersist()
 
-    def value(self, f: Feature) -> Column:
-        c = f.column(False, self.spec.null_policy)
+    def binned(self, f: Feature) -> str:
+        """SQL of the least edge that is not below the feature's value, by halving."""
+        c = f"`f_{f.name}`"
 
-        def search(edges: list[float]) -> Column:
-            """Least edge that is not below c, by halving."""
+        def search(edges: list[float]) -> str:
             if len(edges) == 1:
-                return F.when(c <= edges[0], F.lit(edges[0])).otherwise(c)
+                return f"CASE WHEN {c} <= {edges[0]!r}D THEN {edges[0]!r}D ELSE {c} END"
             mid = len(edges) // 2
-            return F.when(c <= edges[mid - 1], search(edges[:mid])).otherwise(search(edges[mid:]))
+            return f"CASE WHEN {c} <= {edges[mid - 1]!r}D THEN {search(edges[:mid])} ELSE {search(edges[mid:])} END"
 
-        return search(self.bins[f.name]) if self.bins.get(f.name) else c
+        return f"{search(self.bins[f.name])} AS {c}" if self.bins.get(f.name) else c
 
     def prepared(self, name: str) -> DataFrame:
         """A relation's keys, features, weight and, at the root, the label."""
         own, rel = [f for f in self.features if f.owner == name], self.spec.relations[name]
         keys = dict.fromkeys([*(c for _, c in self.tree.edge.get(name, ())), *(p for c in self.tree.children[name] for p, _ in self.tree.edge[c])])
-        cols = [F.col(k).alias(f"k_{name}_{k}") for k in keys] + [self.value(f).alias(f"f_{f.name}") for f in own]
+        cols = [F.col(k).alias(f"k_{name}_{k}") for k in keys] + [f.column(False, self.spec.null_policy).alias(f"f_{f.name}") for f in own]
         cols.append((F.col(rel.mult).cast("double") if rel.mult else F.lit(1.0)).alias(f"w_{name}"))
         if name == self.tree.root:
             cols.append(self.label.column(False, self.spec.null_policy).alias("y"))
         out = self.spec.rows(name).select(*cols)
         if self.spec.null_policy == "drop":
             out = out.dropna(subset=[f"f_{f.name}" for f in own] + (["y"] if name == self.tree.root else []))
-        return out
+        by = {f"f_{f.name}": f for f in own}
+        return out.selectExpr(*[self.binned(by[c]) if c in by else f"`{c}`" for c in out.columns]) if self.bins else out
 
     def masks(self, name: str, open_: list[tuple[TreeModel, dict[int, int]]]) -> list[Column]:
         """For each tree the bits of the nodes whose tests in this relation hold; each test is worked out once."""
@@ -263,12 +264,11 @@ class Grower:
         """df: entries of a relation with their node and s0, s1, ..., sums over what is joined above them."""
         s = [f"s{i}" for i in range(self.width)]
         own = [(k, f) for k, f in enumerate(self.features) if f.owner == name]
-        none = F.lit(None)
-        slots = [F.struct(F.lit(k).alias("fid"), (none.cast("double") if f.kind == "cat" else F.col(f"f_{f.name}")).alias("val"), (F.col(f"f_{f.name}").cast("string") if f.kind == "cat" else none.cast("string")).alias("cat")) for k, f in own]
+        slots = [f"named_struct('fid', {k}, 'val', CAST(NULL AS DOUBLE), 'cat', CAST(`f_{f.name}` AS STRING))" if f.kind == "cat" else f"named_struct('fid', {k}, 'val', `f_{f.name}`, 'cat', CAST(NULL AS STRING))" for k, f in own]
         if totals:
-            slots.append(F.struct(F.lit(-1).alias("fid"), none.cast("double").alias("val"), none.cast("string").alias("cat")))
+            slots.append("named_struct('fid', -1, 'val', CAST(NULL AS DOUBLE), 'cat', CAST(NULL AS STRING))")
         if slots:
-            each = df.select("node", *[(F.col(c) * self.within(name)).alias(c) for c in s], F.explode(F.array(*slots)).alias("x"))
+            each = df.select("node", *[(F.col(c) * self.within(name)).alias(c) for c in s], F.expr(f"explode(array({', '.join(slots)}))").alias("x"))
             parts.append(each.select("node", F.col("x.fid").alias("fid"), F.col("x.val").alias("val"), F.col("x.cat").alias("cat"), *s))
         for c in self.tree.children[name]:
             if any(f.owner in self.tree.below(c) for f in self.features):
