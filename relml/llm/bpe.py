@@ -176,11 +176,11 @@ class WordBpe:
 class Codec:
     """Encoder and decoder of one worker: the mapped automaton first, exact merging next, results kept by word."""
 
-    def __init__(self, file: str, folder: str | None, cache: int = common.CACHE_BYTES):
+    def __init__(self, file: str, folder: str | None, cache: int = common.LARGE_CACHE_BYTES):
         self.bpe = WordBpe(file)
         self.lexicon = Transducer.open(folder) if folder else None
         size = lambda got: 250 + len(got[1]) + 2 * len(got[2])
-        self.known, self.odd = common.Known(self.learn, cache, size), common.Known(self.strange, cache // 4, size)
+        self.known, self.odd = common.Known(self.learn, cache, size), common.Known(self.strange, cache // 16, size)
 
     def ids(self, word: str) -> list[int]:
         got = self.lexicon.find(word) if self.lexicon else None

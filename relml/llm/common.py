@@ -112,6 +112,7 @@ def map_batches(df: DataFrame, make: Callable[[], Callable[[pa.RecordBatch], pa.
 _kept: dict = {}
 _lock = threading.RLock()
 CACHE_BYTES = 48 << 20
+LARGE_CACHE_BYTES = 256 << 20  # where misses are dear and nothing else runs in the worker
 
 
 def kept_by_worker(key, make: Callable):
@@ -127,7 +128,8 @@ def kept_by_worker(key, make: Callable):
 
 
 class Known(dict):
-    """Results by key, worked out on first use; forgotten as a whole beyond a number of bytes."""
+    """Results by key, worked out on first use.  Beyond a number of bytes the later half is forgotten: what came first is what
+    comes often."""
 
     def __init__(self, learn: Callable | None = None, limit: int = CACHE_BYTES, size: Callable = len):
         super().__init__()
@@ -140,7 +142,10 @@ class Known(dict):
 
     def keep(self, key: str, value) -> None:
         if self.bytes > self.limit:
-            self.clear()
+            keys = list(self)[len(self) // 2 :]
+            for k in keys:
+                del self[k]
+            self.bytes //= 2
         self.bytes += 200 + 2 * len(key) + self.size(value)  # headers of two objects and a slot
         self[key] = value
 

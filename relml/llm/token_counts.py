@@ -28,7 +28,7 @@ SPACE = "▁"
 class CountingViterbi:
     """Score and number of pieces of the best segmentation."""
 
-    def __init__(self, pieces: dict[str, float], byte_fallback: bool = True, unk: str = "<unk>", cache: int = common.CACHE_BYTES):
+    def __init__(self, pieces: dict[str, float], byte_fallback: bool = True, unk: str = "<unk>", cache: int = common.LARGE_CACHE_BYTES):
         import ahocorasick
 
         self.auto = ahocorasick.Automaton()
