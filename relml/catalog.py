@@ -309,14 +309,8 @@ def ridge(spark: SparkSession, sf: str) -> DataFrame:
     return spark.createDataFrame([(float(m.theta[1]), float(m.theta[0]))], "slope double, intercept double").select(sig(F.col("slope")).alias("slope"), sig(F.col("intercept")).alias("intercept"))
 
 
-@query("linreg_predict", f"SELECT l_orderkey, l_linenumber, l_partkey, CAST(20 AS DOUBLE) + CAST(3 AS DOUBLE) * l_discount + CAST(-2 AS DOUBLE) * l_tax AS prediction FROM lineitem WHERE l_orderkey % 50 = 0")
+@query("linreg_predict", f"SELECT l_orderkey, l_linenumber, l_partkey, CAST(20 AS DOUBLE) + CAST(3 AS DOUBLE) * l_discount + CAST(-2 AS DOUBLE) * l_tax AS prediction FROM lineitem")
 def predict(spark: SparkSession, sf: str) -> DataFrame:
-    model = linear.LinearModel(["1", "l_discount", "l_tax"], np.array([20.0, 3.0, -2.0]))
-    return model.predict(load(spark, sf, "lineitem").where("l_orderkey % 50 = 0")).select("l_orderkey", "l_linenumber", "l_partkey", "prediction")
-
-
-@query("linreg_predict_full", f"SELECT l_orderkey, l_linenumber, l_partkey, CAST(20 AS DOUBLE) + CAST(3 AS DOUBLE) * l_discount + CAST(-2 AS DOUBLE) * l_tax AS prediction FROM lineitem")
-def predict_full(spark: SparkSession, sf: str) -> DataFrame:
     model = linear.LinearModel(["1", "l_discount", "l_tax"], np.array([20.0, 3.0, -2.0]))
     return model.predict(load(spark, sf, "lineitem")).select("l_orderkey", "l_linenumber", "l_partkey", "prediction")
 
@@ -447,15 +441,8 @@ query("tree_depth2")(lambda spark, sf: _grown(spark, sf, 2)[0].to_df(spark))
 query("tree_depth4_narrow6")(lambda spark, sf: _grown(spark, sf, 4)[0].to_df(spark))
 
 
-@query("tree_predict", f"SELECT l_orderkey, l_linenumber, l_partkey, CASE WHEN l_discount <= 0.05 THEN CASE WHEN l_tax <= 0.02 THEN 1.0 ELSE 2.0 END ELSE 3.0 END::DOUBLE AS prediction FROM lineitem WHERE l_orderkey % 50 = 0")
+@query("tree_predict", f"SELECT l_orderkey, l_linenumber, l_partkey, CASE WHEN l_discount <= 0.05 THEN CASE WHEN l_tax <= 0.02 THEN 1.0 ELSE 2.0 END ELSE 3.0 END::DOUBLE AS prediction FROM lineitem")
 def tree_predict(spark: SparkSession, sf: str) -> DataFrame:
-    N = tree.Node
-    m = tree.TreeModel({1: N(1, 0, 3, 0, 0, None, "l_discount", "<=", 0.05), 2: N(2, 1, 2, 0, 0, 1, "l_tax", "<=", 0.02), 3: N(3, 1, 1, 3.0, 0, 1), 4: N(4, 2, 1, 1.0, 0, 2), 5: N(5, 2, 1, 2.0, 0, 2)})
-    return m.predict(load(spark, sf, "lineitem").where("l_orderkey % 50 = 0")).select("l_orderkey", "l_linenumber", "l_partkey", "prediction")
-
-
-@query("tree_predict_full", f"SELECT l_orderkey, l_linenumber, l_partkey, CASE WHEN l_discount <= 0.05 THEN CASE WHEN l_tax <= 0.02 THEN 1.0 ELSE 2.0 END ELSE 3.0 END::DOUBLE AS prediction FROM lineitem")
-def tree_predict_full(spark: SparkSession, sf: str) -> DataFrame:
     N = tree.Node
     m = tree.TreeModel({1: N(1, 0, 3, 0, 0, None, "l_discount", "<=", 0.05), 2: N(2, 1, 2, 0, 0, 1, "l_tax", "<=", 0.02), 3: N(3, 1, 1, 3.0, 0, 1), 4: N(4, 2, 1, 1.0, 0, 2), 5: N(5, 2, 1, 2.0, 0, 2)})
     return m.predict(load(spark, sf, "lineitem")).select("l_orderkey", "l_linenumber", "l_partkey", "prediction")

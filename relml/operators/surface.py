@@ -24,14 +24,8 @@ def add(name: str, sql: str, fn) -> None:
     query(name, sql)(fn)
 
 
-def add_full(name: str, sql: str, fn) -> None:
-    """The query `name` over the whole table, beside the one over a subset of ids."""
-    query(f"{name}_full", sql)(fn)
-
-
 add("scan_parquet", "SELECT * FROM nation", lambda s, d: load(s, d, "nation"))
-add("project_derived", f"SELECT l_orderkey, l_linenumber, l_partkey, l_extendedprice * (1 - l_discount) AS net FROM lineitem WHERE l_orderkey % 20 = 0", lambda s, d: line(s, d).where("l_orderkey % 20 = 0").select("l_orderkey", "l_linenumber", "l_partkey", (c("l_extendedprice") * (1 - c("l_discount"))).alias("net")))
-add_full("project_derived", f"SELECT l_orderkey, l_linenumber, l_partkey, l_extendedprice * (1 - l_discount) AS net FROM lineitem", lambda s, d: line(s, d).select("l_orderkey", "l_linenumber", "l_partkey", (c("l_extendedprice") * (1 - c("l_discount"))).alias("net")))
+add("project_derived", f"SELECT l_orderkey, l_linenumber, l_partkey, l_extendedprice * (1 - l_discount) AS net FROM lineitem", lambda s, d: line(s, d).select("l_orderkey", "l_linenumber", "l_partkey", (c("l_extendedprice") * (1 - c("l_discount"))).alias("net")))
 add("filter_train_period", "SELECT CAST(count(*) AS BIGINT) AS n FROM lineitem WHERE l_shipdate <= (SELECT max(l_shipdate) - INTERVAL 1 MONTH FROM lineitem)", lambda s, d: line(s, d).where(period(s, d, "train")["lineitem"]).agg(F.count("*").alias("n")))
 add("split_last_month", "SELECT l_shipdate > (SELECT max(l_shipdate) - INTERVAL 1 MONTH FROM lineitem) AS test, CAST(count(*) AS BIGINT) AS n FROM lineitem GROUP BY 1", lambda s, d: line(s, d).groupBy(F.expr(period(s, d, "test")["lineitem"]).alias("test")).agg(F.count("*").alias("n")))
 add("filter_predicates", "SELECT CAST(count(*) AS BIGINT) AS n FROM part WHERE p_size BETWEEN 5 AND 20 AND p_type IN (SELECT min(p_type) FROM part) AND p_name LIKE '%a%' AND p_brand IS NOT NULL", lambda s, d: part(s, d).where(c("p_size").between(5, 20) & c("p_name").like("%a%") & c("p_brand").isNotNull()).join(part(s, d).agg(F.min("p_type").alias("p_type")), "p_type", "left_semi").agg(F.count("*").alias("n")))
@@ -63,8 +57,7 @@ def asof_join(left: DataFrame, right: DataFrame, by: str, at: str, value: list[s
     return both.withColumn("__last", F.last(tagged, ignorenulls=True).over(w)).where("__side = 1").select(*left.columns, *[c(f"__last.{v}").alias(v) for v in value])
 
 
-add("join_asof", "SELECT event_id, coalesce(o_orderdate_max, -1) AS last_order FROM (SELECT event_id, (SELECT CAST(epoch(max(o_orderdate)) AS BIGINT) FROM orders WHERE o_custkey = user_id AND o_orderdate <= ts + INTERVAL 0 DAY) AS o_orderdate_max FROM events WHERE event_id % 10 = 0)", lambda s, d: asof_join(ev(s, d).where("event_id % 10 = 0").select("event_id", c("user_id").alias("k"), c("ts").alias("at")), orders(s, d).select(c("o_custkey").alias("k"), c("o_orderdate").alias("at"), c("o_orderdate").alias("d")), "k", "at", ["d"]).select("event_id", F.coalesce(F.unix_seconds(c("d").cast("timestamp")), F.lit(-1)).alias("last_order")))
-add_full("join_asof", "SELECT event_id, coalesce(o_orderdate_max, -1) AS last_order FROM (SELECT event_id, (SELECT CAST(epoch(max(o_orderdate)) AS BIGINT) FROM orders WHERE o_custkey = user_id AND o_orderdate <= ts + INTERVAL 0 DAY) AS o_orderdate_max FROM events)", lambda s, d: asof_join(ev(s, d).select("event_id", c("user_id").alias("k"), c("ts").alias("at")), orders(s, d).select(c("o_custkey").alias("k"), c("o_orderdate").alias("at"), c("o_orderdate").alias("d")), "k", "at", ["d"]).select("event_id", F.coalesce(F.unix_seconds(c("d").cast("timestamp")), F.lit(-1)).alias("last_order")))
+add("join_asof", "SELECT event_id, coalesce(o_orderdate_max, -1) AS last_order FROM (SELECT event_id, (SELECT CAST(epoch(max(o_orderdate)) AS BIGINT) FROM orders WHERE o_custkey = user_id AND o_orderdate <= ts + INTERVAL 0 DAY) AS o_orderdate_max FROM events)", lambda s, d: asof_join(ev(s, d).select("event_id", c("user_id").alias("k"), c("ts").alias("at")), orders(s, d).select(c("o_custkey").alias("k"), c("o_orderdate").alias("at"), c("o_orderdate").alias("d")), "k", "at", ["d"]).select("event_id", F.coalesce(F.unix_seconds(c("d").cast("timestamp")), F.lit(-1)).alias("last_order")))
 add("agg_distinct", "SELECT CAST(count(DISTINCT l_suppkey) AS BIGINT) AS s, CAST(count(DISTINCT l_partkey) AS BIGINT) AS p FROM lineitem", lambda s, d: line(s, d).agg(F.countDistinct("l_suppkey").alias("s"), F.countDistinct("l_partkey").alias("p")))
 query("agg_approx_distinct")(lambda s, d: line(s, d).agg(F.approx_count_distinct("l_partkey", 0.01).alias("p")))
 add("agg_filter", "SELECT l_returnflag, CAST(count(*) FILTER (WHERE l_discount > 0.05) AS BIGINT) AS n, sum(l_quantity) FILTER (WHERE l_tax > 0.02) AS q FROM lineitem GROUP BY 1", lambda s, d: line(s, d).groupBy("l_returnflag").agg(F.count(F.when(c("l_discount") > 0.05, 1)).alias("n"), F.sum(F.when(c("l_tax") > 0.02, c("l_quantity"))).alias("q")))
@@ -99,14 +92,12 @@ def index_codes(df: DataFrame, col: str) -> DataFrame:
 add("encode_index", "SELECT p_type, row_number() OVER (ORDER BY count(*) DESC, p_type) - 1 AS code FROM part GROUP BY 1", lambda s, d: index_codes(part(s, d), "p_type"))
 add("encode_onehot", "SELECT p_partkey, CAST(p_type = (SELECT min(p_type) FROM part) AS INTEGER) AS h FROM part", lambda s, d: part(s, d).join(F.broadcast(part(s, d).agg(F.min("p_type").alias("m"))), F.lit(True)).select("p_partkey", (c("p_type") == c("m")).cast("int").alias("h")))
 add("encode_bucket", "SELECT p_partkey, CAST(CASE WHEN p_size <= 10 THEN 0 WHEN p_size <= 25 THEN 1 WHEN p_size <= 40 THEN 2 ELSE 3 END AS INTEGER) AS b FROM part", lambda s, d: part(s, d).select("p_partkey", F.when(c("p_size") <= 10, 0).when(c("p_size") <= 25, 1).when(c("p_size") <= 40, 2).otherwise(3).alias("b")))
-add("encode_interaction", f"SELECT l_orderkey, l_linenumber, l_partkey, l_discount * l_tax AS dt, l_tax * l_tax AS tt FROM lineitem WHERE l_orderkey % 20 = 0", lambda s, d: line(s, d).where("l_orderkey % 20 = 0").select("l_orderkey", "l_linenumber", "l_partkey", (c("l_discount") * c("l_tax")).alias("dt"), (c("l_tax") * c("l_tax")).alias("tt")))
-add_full("encode_interaction", f"SELECT l_orderkey, l_linenumber, l_partkey, l_discount * l_tax AS dt, l_tax * l_tax AS tt FROM lineitem", lambda s, d: line(s, d).select("l_orderkey", "l_linenumber", "l_partkey", (c("l_discount") * c("l_tax")).alias("dt"), (c("l_tax") * c("l_tax")).alias("tt")))
+add("encode_interaction", f"SELECT l_orderkey, l_linenumber, l_partkey, l_discount * l_tax AS dt, l_tax * l_tax AS tt FROM lineitem", lambda s, d: line(s, d).select("l_orderkey", "l_linenumber", "l_partkey", (c("l_discount") * c("l_tax")).alias("dt"), (c("l_tax") * c("l_tax")).alias("tt")))
 add("encode_standardise", f"SELECT p_partkey, {sig_sql('100 + (p_retailprice - m) / sd')} AS z FROM part, (SELECT avg(p_retailprice) AS m, stddev_pop(p_retailprice) AS sd FROM part)", lambda s, d: part(s, d).crossJoin(F.broadcast(part(s, d).agg(F.avg("p_retailprice").alias("m"), F.stddev_pop("p_retailprice").alias("sd")))).select("p_partkey", sig(100 + (c("p_retailprice") - c("m")) / c("sd")).alias("z")))
 add("sample_quarter", "SELECT CAST(count(*) AS BIGINT) AS n FROM lineitem WHERE l_orderkey % 4 = 0", lambda s, d: line(s, d).where("l_orderkey % 4 = 0").agg(F.count("*").alias("n")))
 add("split_kfold", "SELECT CAST(l_orderkey % 5 AS BIGINT) AS fold, CAST(count(*) AS BIGINT) AS n FROM lineitem GROUP BY 1", lambda s, d: line(s, d).groupBy((c("l_orderkey") % 5).alias("fold")).agg(F.count("*").alias("n")))
 add("text_features", "SELECT doc_id, n_chars, CAST(len(string_split(text, ' ')) AS BIGINT) AS words FROM documents JOIN labels USING (doc_id)", lambda s, d: load(s, d, "documents").join(load(s, d, "labels"), "doc_id").select("doc_id", "n_chars", F.size(F.split("text", " ")).cast("long").alias("words")))
-add("udf_predict", f"SELECT l_orderkey, l_linenumber, l_partkey, CAST(20 AS DOUBLE) + CAST(3 AS DOUBLE) * l_discount + CAST(-2 AS DOUBLE) * l_tax AS p FROM lineitem WHERE l_orderkey % 50 = 0", lambda s, d: line(s, d).where("l_orderkey % 50 = 0").select("l_orderkey", "l_linenumber", "l_partkey", predictor([20.0, 3.0, -2.0])("l_discount", "l_tax").alias("p")))
-add_full("udf_predict", f"SELECT l_orderkey, l_linenumber, l_partkey, CAST(20 AS DOUBLE) + CAST(3 AS DOUBLE) * l_discount + CAST(-2 AS DOUBLE) * l_tax AS p FROM lineitem", lambda s, d: line(s, d).select("l_orderkey", "l_linenumber", "l_partkey", predictor([20.0, 3.0, -2.0])("l_discount", "l_tax").alias("p")))
+add("udf_predict", f"SELECT l_orderkey, l_linenumber, l_partkey, CAST(20 AS DOUBLE) + CAST(3 AS DOUBLE) * l_discount + CAST(-2 AS DOUBLE) * l_tax AS p FROM lineitem", lambda s, d: line(s, d).select("l_orderkey", "l_linenumber", "l_partkey", predictor([20.0, 3.0, -2.0])("l_discount", "l_tax").alias("p")))
 add("udaf_gram", " UNION ALL ".join(f"SELECT p_type AS g, CAST({i} AS BIGINT) AS i, CAST({j} AS BIGINT) AS j, {sig_sql(f'sum({a} * {b})')} AS v FROM part GROUP BY 1" for i, a in enumerate(("p_size", "p_retailprice")) for j, b in enumerate(("p_size", "p_retailprice"))), lambda s, d: (g := gram_by(part(s, d), "p_type", ["p_size", "p_retailprice"])).select("g", "i", "j", sig(g.v).alias("v")))
 
 

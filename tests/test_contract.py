@@ -45,7 +45,7 @@ def test_rows(spark, sf, name):
     assert catalog.QUERIES[name](spark, sf).count() > 0
 
 
-WHOLE = {"linreg_predict_full": "lineitem", "tree_predict_full": "lineitem", "udf_predict_full": "lineitem", "project_derived_full": "lineitem", "encode_interaction_full": "lineitem", "join_asof_full": "events"}
+WHOLE = {"linreg_predict": "lineitem", "tree_predict": "lineitem", "udf_predict": "lineitem", "project_derived": "lineitem", "encode_interaction": "lineitem", "join_asof": "events"}
 
 
 @pytest.mark.parametrize("name", sorted(WHOLE))
