@@ -550,10 +550,8 @@ def _mi_sql() -> str:
 
 @query("mutual_information", _mi_sql())
 def mutual_information(spark: SparkSession, sf: str) -> DataFrame:
-    """All pairs, as a tree over two of them has one edge each."""
     spec, fs = ds.star(spark, sf, "orders", "customer", "part"), [Feature(n, o, n, "cat") for n, o in CHOW]
-    rows = [e for a, b in itertools.combinations(fs, 2) for e in others.chow_liu(spec, [a, b])]
-    return spark.createDataFrame(rows, "a string, b string, mi double").select("a", "b", sig(F.col("mi") + 1000).alias("mi"))
+    return spark.createDataFrame(others.mutual_information(spec, fs), "a string, b string, mi double").select("a", "b", sig(F.col("mi") + 1000).alias("mi"))
 
 
 def _text_features(spark: SparkSession, sf: str, target: str) -> DataFrame:

@@ -12,7 +12,7 @@ from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
 from ..moments import MomentMatrix, WIDE
-from ..plans.views import aggregate, monomials
+from ..plans.views import aggregate, grouped_by_sets, monomials, naive_join, set_number
 from ..spec import Feature, JoinSpec
 from .linear import LinearModel
 
@@ -106,24 +106,27 @@ def kmeans(df: DataFrame, vec: str, id_col: str, k: int, max_iter: int = 10, tol
     return centres
 
 
-def chow_liu(spec: JoinSpec, cats: list[Feature]) -> list[tuple[str, str, float]]:
-    """Edges (a, b, mutual information) of the maximum spanning tree over categorical features; counts of all pairs come
-    from one grouping-sets pass over the joined rows' category columns."""
-    from ..plans.views import naive_join
+def mutual_information(spec: JoinSpec, cats: list[Feature]) -> list[tuple[str, str, float]]:
+    """(a, b, mutual information) of all pairs of categorical features, in nats.
 
+    One grouping-sets pass over the joined rows' categories counts all values and pairs.  Each set's counts are summed to
+    its entropy, and information is H(a) + H(b) - H(a, b), so no counts meet in a join and the driver gets one row a set.
+    A null category is a value of its own; without rows all are 0."""
     names = [c.name for c in cats]
     pairs = list(itertools.combinations(names, 2))
-    joined = naive_join(spec, cats).groupBy(*names).agg(F.sum("__mult").alias("n"))
-    joined = joined.persist()
-    total = joined.agg(F.sum("n")).first()[0] or 0.0
-    info = []
-    for a, b in pairs:
-        ab = joined.groupBy(a, b).agg(F.sum("n").alias("nab"))
-        pa_, pb = joined.groupBy(a).agg(F.sum("n").alias("na")), joined.groupBy(b).agg(F.sum("n").alias("nb"))
-        mi = ab.join(F.broadcast(pa_), a).join(F.broadcast(pb), b).agg(F.sum(F.col("nab") / total * F.log(F.col("nab") * total / (F.col("na") * F.col("nb"))))).first()[0]
-        info.append((a, b, float(mi or 0)))
-    joined.unpersist()
-    up = {n: n for n in names}
+    if not pairs:
+        return []
+    counts = grouped_by_sets(naive_join(spec, cats), names, [*((n,) for n in names), *pairs], [F.sum("__mult").alias("__n")]).where("__n > 0")
+    sums = counts.groupBy("__g").agg(F.sum("__n"), F.sum(F.col("__n") * F.log("__n"))).collect()
+    entropy = {g: math.log(n) - s / n for g, n, s in sums}
+    h = lambda *s: entropy.get(set_number(names, s), 0.0)
+    return [(a, b, max(0.0, h(a) + h(b) - h(a, b))) for a, b in pairs]
+
+
+def chow_liu(spec: JoinSpec, cats: list[Feature]) -> list[tuple[str, str, float]]:
+    """Edges (a, b, mutual information) of the maximum spanning tree over categorical features; ties go by name."""
+    info = mutual_information(spec, cats)
+    up = {c.name: c.name for c in cats}
 
     def top(n):
         while up[n] != n:

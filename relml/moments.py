@@ -2,15 +2,16 @@
 
 from __future__ import annotations
 
+import itertools
 import json
 from dataclasses import dataclass
 
 import numpy as np
 import pyarrow as pa
-from pyspark.sql import DataFrame, SparkSession
+from pyspark.sql import Column, DataFrame, SparkSession
 from pyspark.sql import functions as F
 
-from .plans.views import aggregate, monomials, naive_join
+from .plans.views import aggregate, grouped_by_sets, monomials, naive_join, set_number
 from .spec import Feature, JoinSpec
 
 #: Beyond this many sums generated code gives way; then chunks (exact) or Arrow blocks (floating) take over.
@@ -189,24 +190,22 @@ def gram_exact(df: DataFrame, columns: list[str], mult: str = "__mult") -> np.nd
 
 
 def moment_tensor(spec: JoinSpec, cont: list[Feature], cats: list[Feature]) -> DataFrame:
-    """Sparse one-hot moments (f1, c1, f2, c2, value): only pairs that occur.  Each pair of categories is grouped from the
-    root that owns them; continuous partners ride along."""
-    from .plans.views import assign_roots
-    from .spec import build_join_tree
-
-    every, tree = [*cont, *cats], build_join_tree(spec)
-    owner = {f.name: f.owner for f in every}
-    singles = [[c.name] for c in cats]
-    pairs = [[a.name, b.name] for i, a in enumerate(cats) for b in cats[i + 1 :]]
-    out = None
-    for groups, root in zip(singles + pairs, assign_roots(singles + pairs, tree, owner)):
-        batch = [(), *((c.name,) for c in cont)] if len(groups) == 1 else [()]
-        got = aggregate(spec, every, batch, "multi", groups=groups, root=root)
-        a = groups[0]
-        if len(groups) == 1:
-            same = [F.struct(F.lit(a).alias("f1"), F.col(a).alias("c1"), F.lit(a if not m else m[0]).alias("f2"), (F.col(a) if not m else F.lit("")).alias("c2"), F.col(f"a{i}").alias("value")) for i, m in enumerate(batch)]
-            rows = got.select(F.explode(F.array(*same)).alias("r")).select("r.*")
-        else:
-            rows = got.select(F.lit(a).alias("f1"), F.col(a).alias("c1"), F.lit(groups[1]).alias("f2"), F.col(groups[1]).alias("c2"), F.col("a0").alias("value"))
-        out = rows if out is None else out.unionByName(rows)
+    """Sparse one-hot moments (f1, c1, f2, c2, value): only pairs that occur.  Two passes at any number of categories, each
+    combined before its shuffle: single categories with their continuous partners, and pairs of categories with counts."""
+    names = [c.name for c in cats]
+    singles, pairs = [(n,) for n in names], list(itertools.combinations(names, 2))
+
+    def own(sets: list, value) -> Column:
+        """What `value` makes of the categories that a row is grouped by."""
+        return F.coalesce(*[F.when(F.col("__g") == set_number(names, s), value(s)) for s in sets])
+
+    sums = {"": F.sum("__mult")} | {c.name: F.sum(F.col("__mult") * F.col(c.name)) for c in cont}
+    got = grouped_by_sets(naive_join(spec, [*cont, *cats]), names, singles, [v.alias(f"__a{i}") for i, v in enumerate(sums.values())])
+    f, c = own(singles, lambda s: F.lit(s[0])), own(singles, lambda s: F.col(s[0]))
+    same = [F.struct(f.alias("f1"), c.alias("c1"), (F.lit(n) if n else f).alias("f2"), (F.lit("") if n else c).alias("c2"), F.col(f"__a{i}").alias("value")) for i, n in enumerate(sums)]
+    out = got.select(F.explode(F.array(*same)).alias("r")).select("r.*")
+    if pairs:
+        both = grouped_by_sets(naive_join(spec, cats), names, pairs, [F.sum("__mult").alias("__a0")])
+        columns = {f"{kind}{k + 1}": own(pairs, lambda s: value(s[k])) for k in (0, 1) for kind, value in (("f", F.lit), ("c", F.col))}
+        out = out.unionByName(both.select(*[v.alias(k) for k, v in columns.items()], F.col("__a0").alias("value")))
     return out

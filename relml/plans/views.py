@@ -220,6 +220,16 @@ def naive_join(spec: JoinSpec, features: list[Feature], exact: bool = False, tre
     return walk(view).select(*[F.col(f"f_{f.name}").alias(f.name) for f in features], product(mults, exact).alias("__mult"))
 
 
+def set_number(names: list[str], group: tuple[str, ...]) -> int:
+    """Spark's number of the grouping set `group` of the columns `names`: a bit for each column that is not in it."""
+    return sum(1 << k for k, n in enumerate(reversed(names)) if n not in group)
+
+
+def grouped_by_sets(df: DataFrame, names: list[str], sets: list[tuple[str, ...]], sums: list[Column]) -> DataFrame:
+    """df grouped by each of the sets of columns in one pass, with __g, the number of a row's set."""
+    return df.groupingSets([[F.col(n) for n in s] for s in sets], *[F.col(n) for n in names]).agg(F.grouping_id().alias("__g"), *sums)
+
+
 STRATEGIES = ("materialised", "pushdown", "merged", "multi", "trie", "sorted", "hashed")
 
 

@@ -5,7 +5,7 @@ import pytest
 from relml import baselines, datasets as ds
 from relml.learn import linear, others, tree
 from relml.measures import jobs_of, rmse_gap
-from relml.moments import moment_matrix
+from relml.moments import moment_matrix, moment_tensor
 from relml.plans.views import naive_join
 from relml.spec import Feature, JoinSpec, Relation
 
@@ -269,3 +269,38 @@ def test_layouts(spark, sf):
         assert (got.values == want.values).all()
     used = resources(spark, lambda: spark.range(1000).repartition(3).count())
     assert used["shuffle_bytes"] > 0 and used["stages"] >= 2
+
+
+def test_pair_counts_by_sets_equal_counting(spark):
+    """Null categories, multiplicities, repeated rows and clashing names."""
+    import itertools
+    from collections import Counter
+
+    rows = [(["x", "y", None][i % 3], str(i % 2 if i % 3 else 0), "z" if i % 5 else None, float(i), float(i % 4)) for i in range(90)]
+    df = spark.createDataFrame(rows, "n string, value string, f1 string, c1 double, m double")
+    spec = JoinSpec({"t": Relation("t", df, mult="m")})
+    names, cats = ["n", "value", "f1"], [Feature(c, "t", c, "cat") for c in ("n", "value", "f1")]
+
+    def counted(s):
+        out = Counter()
+        for r in rows:
+            out[tuple(r[names.index(c)] for c in s)] += r[4]
+        return out
+
+    total = sum(r[4] for r in rows)
+    for a, b, mi in others.mutual_information(spec, cats):
+        ab, ca, cb = counted((a, b)), counted((a,)), counted((b,))
+        assert abs(mi - sum(v / total * np.log(v * total / (ca[x,] * cb[y,])) for (x, y), v in ab.items() if v)) < 1e-9
+    want = Counter()
+    for c in names:
+        for (x,), v in counted((c,)).items():
+            want[c, x, c, x] += v
+        for r in rows:
+            want[c, r[names.index(c)], "c1", ""] += r[3] * r[4]
+    for a, b in itertools.combinations(names, 2):
+        for (x, y), v in counted((a, b)).items():
+            want[a, x, b, y] += v
+    got = moment_tensor(spec, [Feature("c1", "t", "c1")], cats).collect()
+    assert len(got) == len(want) and all(abs(want[tuple(r)[:4]] - r[4]) < 1e-6 for r in got)
+    none = JoinSpec({"t": Relation("t", df.where("false"), mult="m")})
+    assert not moment_tensor(none, [], cats[:1]).collect() and all(mi == 0 for *_, mi in others.mutual_information(none, cats)) and others.chow_liu(none, cats[:1]) == []
