@@ -27,6 +27,7 @@ WINDOW = 64
 PAD = 256
 LOT = 2048  # windows that are read together
 UNKNOWN = "und"
+PARTS = 256  # of a language's rows when its sample is drawn
 
 
 def squash(x: np.ndarray) -> np.ndarray:
@@ -182,8 +183,10 @@ def train(docs: DataFrame, usable: Column, per_language: int = 300, id_col: str
     """Fit on the whole texts of at most per_language documents of each language: those whose hashed id is least among all
     usable rows.  The driver holds those texts."""
     rows = docs.where(F.col(lang_col).isNotNull() & F.col(text_col).isNotNull() & usable).select(F.col(id_col).cast("long").alias("i"), F.col(text_col).alias("t"), F.col(lang_col).alias("l"))
-    order = Window.partitionBy("l").orderBy(F.xxhash64("i"), "i")
-    few = rows.select("i", "l").withColumn("k", F.row_number().over(order)).where(F.col("k") <= per_language).select("i", "l").distinct()
+    order, few = [F.xxhash64("i"), "i"], rows.select("i", "l").withColumn("part", F.pmod(F.crc32(F.col("i").cast("string").cast("binary")), F.lit(PARTS)))
+    for by in (["l", "part"], ["l"]):  # the least of each part first, so that no task gets a language from all partitions
+        few = few.withColumn("k", F.row_number().over(Window.partitionBy(*by).orderBy(*order))).where(F.col("k") <= per_language).drop("k")
+    few = few.select("i", "l").distinct()
     texts: dict[str, list[str]] = {}
     for r in rows.join(F.broadcast(few), ["i", "l"]).collect():
         if _LETTER.search(r.t):
