@@ -3,12 +3,13 @@
 A text is a sequence of lines; a line ends at a line end, after a sentence end, or before a word that starts with a capital,
 so a passage pasted into running text still falls into whole lines.  A line's id is its 64-bit hash.  The suffix of a
 position is named by a hash of its first lines.  As a name is a hash of content and no rank, the rounds that double it up to
-the least run with `least_words` words (level 0) need no exchange; the grouping of names is distributed.  Each round beyond
-joins two runs of the level below, end to end.  Positions whose name is unique leave at each level; the rest form the
-intervals of suffixes with a common prefix, and the first position of an interval is its source.  Which lines go is settled at level
-0: runs with an earlier source are joined into segments, and a segment's last run grows line by line while the longer
-prefix still has an earlier place, so maximal repeated runs are cut whole.  Rounds beyond (`rounds`, all if None) only tell
-how deep a document's runs are.  Later copies go, the first in order of (doc_id, line) stays.
+the least run with `least_words` words (level 0) need no exchange; the grouping of names is distributed.  Positions whose name
+is unique leave; the rest come together by document once, and each round beyond joins two runs of the level below, end to
+end, within a task.  The names of all these rounds are grouped at once: a name seen more than once has such halves, so no
+interval is lost.  The intervals are those of suffixes with a common prefix, and the first position of one is its source.
+Which lines go is settled at level 0: runs with an earlier source are joined into segments, and a segment's last run grows line
+by line while the longer prefix still has an earlier place, so maximal repeated runs are cut whole.  Rounds beyond (`rounds`,
+all if None) tell how deep a document's runs are.  Later copies go, the first in order of (doc_id, line) stays.
 
 Documents that are wholly equal, and have enough words, go as one run, and their positions take no part in the doubling.
 
@@ -142,13 +143,13 @@ def _seed_rows(table: DataFrame, least: int) -> DataFrame:
 
 
 def _with_source(rows: DataFrame) -> DataFrame:
-    """Rows (name, doc, place) of names seen more than once, with their interval's first position.  The groups are settled
-    first, so that the join with all positions stands alone and a hot name's rows can be split; they grow with the corpus,
-    so a hint keeps them from being broadcast at any size."""
+    """Rows (name, doc, place) of names seen more than once, with their interval's first position and further columns.  The
+    groups are settled first, so that the join with all positions stands alone and a hot name's rows can be split; they grow
+    with the corpus, so a hint keeps them from being broadcast at any size."""
     groups = rows.groupBy("name").agg(F.count("*").alias("n"), F.min(F.struct("doc", "place")).alias("first")).where("n > 1")
     groups = common.settle(groups.select("name", F.col("first.doc").alias("fdoc"), _pos("first.place").alias("fpos")), "sources")
-    both = rows.join(groups.hint("shuffle_hash"), "name")
-    out = common.settle(both.select("name", "doc", _pos("place").alias("pos"), F.col("place").bitwiseAND(0xFFFFFFFF).cast("int").alias("end"), "fdoc", "fpos"), "level")
+    both, more = rows.join(groups.hint("shuffle_hash"), "name"), [c for c in rows.columns if c not in ("name", "doc", "place")]
+    out = common.settle(both.select("name", "doc", _pos("place").alias("pos"), F.col("place").bitwiseAND(0xFFFFFFFF).cast("int").alias("end"), "fdoc", "fpos", *more), "level")
     common.discard(groups)
     return out
 
@@ -157,20 +158,57 @@ def _pos(place: str):
     return F.shiftright(place, 32).cast("int")
 
 
-def intervals(table: DataFrame, least_words: int, rounds: int | None = None) -> list[DataFrame]:
-    """(name, doc, pos, end, fdoc, fpos) of all positions in intervals of at least two suffixes, for each level."""
-    levels = [_with_source(_seed_rows(table, least_words))]
-    while rounds is None or len(levels) <= rounds:
-        front = levels[-1].select("name", "doc", "pos", "end")
-        rest = levels[-1].select(F.col("name").alias("name2"), F.col("doc").alias("doc2"), F.col("pos").alias("pos2"), F.col("end").alias("end2"))
-        twice = front.join(rest, (F.col("doc") == F.col("doc2")) & (F.col("end") == F.col("pos2"))).select(F.xxhash64("name", "name2").alias("name"), "doc", F.shiftleft(F.col("pos").cast("long"), 32).bitwiseOR(F.col("end2").cast("long")).alias("place"))
-        twice = common.settle(twice, "doubled")
-        level = _with_source(twice)
-        common.discard(twice)
-        if not level.take(1):
-            break
-        levels.append(level)
-    return levels
+def doubled(row: np.ndarray, pos: np.ndarray, end: np.ndarray, name: np.ndarray, rounds: int | None = None):
+    """For each round (number, row, pos, end, name) of the runs that two runs of the round before make, end to end.  row: which
+    document; name: unsigned."""
+    order = np.argsort(row << 32 | pos, kind="stable")
+    row, pos, end, name = row[order], pos[order], end[order], name[order]
+    k = 0
+    while rounds is None or k < rounds:
+        key, at = row << 32 | pos, row << 32 | end
+        lo = np.searchsorted(key, at)
+        n = np.searchsorted(key, at, "right") - lo  # more than one only for rows that share an id
+        a = np.repeat(np.arange(len(key)), n)
+        if not len(a):
+            return
+        b = np.arange(len(a)) + np.repeat(lo - (np.cumsum(n) - n), n)
+        with np.errstate(over="ignore"):
+            row, pos, end, name = row[a], pos[a], end[b], mixed(paired(name[a], name[b]))
+        if n.max() > 1:
+            once = np.sort(np.unique(np.stack([row << 32 | pos, end, name.view(np.int64)]), axis=1, return_index=True)[1])
+            row, pos, end, name = row[once], pos[once], end[once], name[once]
+        k += 1
+        yield k, row, pos, end, name
+
+
+def _doubled_rows(level: DataFrame, rounds: int | None) -> DataFrame:
+    held = level.groupBy("doc").agg(F.collect_list(F.struct("pos", "end", "name")).alias("runs"))  # one for each line at most
+
+    def make():
+        def step(batch: pa.RecordBatch) -> pa.RecordBatch:
+            runs = batch.column("runs")
+            row = np.repeat(np.arange(batch.num_rows), np.diff(np.array(runs.offsets)))
+            pos, end, name = (np.array(x) for x in runs.flatten().flatten())
+            doc, found = np.array(batch.column("doc")), [(np.zeros(0, np.int64),) * 3 + (np.zeros(0, np.int32),)]
+            for k, r, p, e, n in doubled(row, pos.astype(np.int64), end.astype(np.int64), name.view(np.uint64), rounds):
+                found.append((n.view(np.int64), doc[r], p << 32 | e, np.full(len(r), k, np.int32)))
+            return pa.RecordBatch.from_arrays([pa.array(np.concatenate(x)) for x in zip(*found)], ["name", "doc", "place", "level"])
+
+        return step
+
+    return common.map_batches(held, make, "name long, doc long, place long, level int", _ROWS)
+
+
+def intervals(table: DataFrame, least_words: int, rounds: int | None = None) -> tuple[DataFrame, DataFrame | None]:
+    """(name, doc, pos, end, fdoc, fpos) of all positions in intervals of at least two suffixes: those of level 0, and with their
+    level those of the rounds beyond."""
+    level = _with_source(_seed_rows(table, least_words))
+    if rounds == 0:
+        return level, None
+    rows = common.settle(_doubled_rows(level, rounds), "doubled")
+    deeper = _with_source(rows)
+    common.discard(rows)
+    return level, deeper
 
 
 def _ranges(steps: np.ndarray, at: np.ndarray) -> tuple[np.ndarray, np.ndarray, np.ndarray]:
@@ -211,7 +249,7 @@ def _answers(table: DataFrame, requests: DataFrame, least_words: int) -> DataFra
     return common.map_batches(table.select("doc", "length", "units", "words", "starts").join(asked, "doc"), make, "doc long, at int, pos int, name long, last boolean, off int, more array<long>, more_end array<int>", _ROWS)
 
 
-def repeated_runs(docs: DataFrame, least_words: int = LEAST_WORDS, id_col: str = "doc_id", text_col: str = "text", rounds: int | None = 0) -> tuple[DataFrame, DataFrame]:
+def repeated_runs(docs: DataFrame, least_words: int = LEAST_WORDS, id_col: str = "doc_id", text_col: str = "text", rounds: int | None = None) -> tuple[DataFrame, DataFrame]:
     """(runs, sizes).  runs: (doc, start, end, from_char, to_char, level), maximal runs of lines that occur before; a copy
     of a whole document has level -1.  sizes: (doc, n) lines of each document."""
     lines = common.settle(_line_table(docs, id_col, text_col), "lines")
@@ -221,8 +259,8 @@ def repeated_runs(docs: DataFrame, least_words: int = LEAST_WORDS, id_col: str =
     table = common.settle(lines.select("doc", "length", "units", "words", "starts").join(copies.select("doc").distinct().hint("shuffle_hash"), "doc", "left_anti"), "own-lines")
     sizes = common.settle(narrow.select("doc", "n"), "line-counts")
     common.discard(lines)
-    levels = intervals(table, least_words, rounds)
-    level, later = levels[0], "fdoc < doc or (fdoc = doc and fpos < pos)"
+    level, deeper = intervals(table, least_words, rounds)
+    later = "fdoc < doc or (fdoc = doc and fpos < pos)"
     earlier = level.where(later)
     order = Window.partitionBy("doc").orderBy("pos")
     before = F.max("end").over(order.rowsBetween(Window.unboundedPreceding, -1))
@@ -244,17 +282,18 @@ def repeated_runs(docs: DataFrame, least_words: int = LEAST_WORDS, id_col: str =
     runs = segments.join(reach, ["doc", "pos"], "left").withColumn("k", F.coalesce("k", F.lit(0)))
     runs = runs.join(begin, ["doc", "start"]).join(answers.where("last").select("doc", "pos", "off", "more_end"), ["doc", "pos"])
     deep = level.where(later).select("doc", F.lit(0).alias("level"))
-    for k, x in enumerate(levels[1:], 1):
-        deep = deep.union(x.where(later).select("doc", F.lit(k)))
+    if deeper is not None:
+        deep = deep.union(deeper.where(later).select("doc", "level"))
     deepest = deep.groupBy("doc").agg(F.max("level").alias("level"))
     runs = runs.select("doc", "start", (F.col("end") + F.col("k")).alias("end"), "from_char", F.when(F.col("k") > 0, F.element_at("more_end", F.greatest("k", F.lit(1)))).otherwise(F.col("off")).alias("to_char")).join(deepest, "doc")
     out = common.settle(runs.union(copies), "runs"), sizes
-    for used in (table, answers, segments, copies, *levels):
-        common.discard(used)
+    for used in (table, answers, segments, copies, level, deeper):
+        if used is not None:
+            common.discard(used)
     return out
 
 
-def drop_repeats(docs: DataFrame, least_words: int = LEAST_WORDS, id_col: str = "doc_id", text_col: str = "text", rounds: int | None = 0) -> DataFrame:
+def drop_repeats(docs: DataFrame, least_words: int = LEAST_WORDS, id_col: str = "doc_id", text_col: str = "text", rounds: int | None = None) -> DataFrame:
     """docs, all columns, with text cut, and counts __lines and __removed, and __level, the deepest level of its runs."""
     runs, sizes = repeated_runs(docs, least_words, id_col, text_col, rounds)
     cuts = runs.groupBy("doc").agg(F.array_sort(F.collect_list(F.struct("from_char", "to_char", "start", "end"))).alias("__cut"), F.max("level").alias("__level"))

@@ -590,3 +590,30 @@ def test_queries_are_registered():
 
     names = e.queries()
     assert "pipeline" in names and all(any(k.startswith(f"op{n}_") for k in names) for n in range(1, 11))
+
+
+def test_doubling_by_default_equals_prefixes(spark):
+    """The default runs all rounds: the level of a document's deepest run that stands elsewhere before it."""
+    rng = np.random.default_rng(21)
+    pool = [f"Line {k} has five words." for k in range(30)]
+    texts = {k: " ".join(pool[v] for v in range(*sorted(rng.choice(31, 2, replace=False)))) + f" End {k}." for k in range(25)}
+    df = spark.createDataFrame([*texts.items()], "doc_id long, text string").repartition(3)
+    got = {r.doc_id: r["__level"] for r in linededup.drop_repeats(df, 10).collect()}
+    seen: dict[int, set] = {}
+    for k, text in sorted(texts.items()):
+        lines, level = linededup.lines_of(text), None
+        for deep in range(6):
+            runs = [tuple(lines[p : p + (2 << deep)]) for p in range(len(lines) - (2 << deep) + 1)]
+            runs = [r for r in runs if all(x.count(" ") == 4 for x in r)]
+            held = seen.setdefault(deep, set())
+            if any(r in held for r in runs):
+                level = deep
+            held.update(runs)
+        assert got[k] == level, k
+    assert max(x for x in got.values() if x is not None) >= 2
+
+
+def test_doubled_runs_of_rows_that_share_an_id():
+    row, pos, end, name = np.zeros(4, np.int64), np.array([0, 0, 2, 2]), np.array([2, 2, 4, 5]), np.array([7, 7, 8, 9], np.uint64)
+    (k, _, p, e, n), = linededup.doubled(row, pos, end, name)
+    assert k == 1 and p.tolist() == [0, 0] and e.tolist() == [4, 5] and len(set(n.tolist())) == 2
