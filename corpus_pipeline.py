@@ -32,8 +32,9 @@ def drop_repeated_lines(spark: SparkSession, docs: DataFrame, sf_dir: str) -> Da
 
 
 def drop_near_duplicates(spark: SparkSession, docs: DataFrame, sf_dir: str) -> DataFrame:
-    """The document with the least id of each group stays; links are five-word shingles of similarity 0.8 or more."""
-    return neardup.keep_first(docs)
+    """The document with the least id of each group stays.  SimHash's links, as op10 has them, and shared bands of least values
+    for the pairs that it misses are candidates; links are five-word shingles of similarity 0.8 or more, by an exact check."""
+    return neardup.keep_first(docs, fingerprints=True)
 
 
 def pack_sequences(spark: SparkSession, docs: DataFrame, sf_dir: str) -> DataFrame:

@@ -5,6 +5,8 @@ are candidates, which a pair at 0.8 misses with a chance of 4e-9.  Candidates ar
 within one, shared rare shingles find the pairs and each link is settled on the exact sets.  Members that are linked already
 are not compared, so a group of near copies costs about its size.  A component of candidates is worked out in one task.
 
+With `fingerprints` the links of SimHash, found at its anchors, give candidates as well, which the exact check follows.
+
 Texts that are null, empty or without words are one node.  Rows without an id stay, and link others like any row.
 """
 
@@ -15,7 +17,7 @@ import pyarrow as pa
 from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
-from . import common
+from . import common, simhash
 from .components import connected_components
 from .simhash import shingles
 
@@ -85,17 +87,21 @@ def linked(sets: list[np.ndarray]) -> list[tuple[int, int]]:
     return out
 
 
-def _sketches(docs: DataFrame, id_col: str, text_col: str) -> DataFrame:
-    """(doc_id, node, bands) of each row."""
+def _sketches(docs: DataFrame, id_col: str, text_col: str, fingerprints: bool = False) -> DataFrame:
+    """(doc_id, node, bands) of each row, and fp, its SimHash fingerprint, if asked for."""
 
     def make():
         def step(batch: pa.RecordBatch) -> pa.RecordBatch:
-            sets = [shingle_set(t) for t in common.texts_of(batch, "t")]
-            return pa.RecordBatch.from_arrays([batch.column("i"), pa.array([node_of(s) for s in sets], pa.int64()), pa.array([band_keys(s) for s in sets], pa.list_(pa.int64()))], ["doc_id", "node", "bands"])
+            texts = common.texts_of(batch, "t")
+            sets = [shingle_set(t) for t in texts]
+            out = [batch.column("i"), pa.array([node_of(s) for s in sets], pa.int64()), pa.array([band_keys(s) for s in sets], pa.list_(pa.int64()))]
+            if fingerprints:
+                out.append(pa.array(np.array([simhash.fingerprint(t) for t in texts], np.uint64).view(np.int64)))
+            return pa.RecordBatch.from_arrays(out, ["doc_id", "node", "bands", "fp"][: len(out)])
 
         return step
 
-    return common.map_batches(docs.select(F.col(id_col).cast("long").alias("i"), F.col(text_col).alias("t")), make, "doc_id long, node long, bands array<long>", rows=1024)
+    return common.map_batches(docs.select(F.col(id_col).cast("long").alias("i"), F.col(text_col).alias("t")), make, "doc_id long, node long, bands array<long>" + ", fp long" * fingerprints, rows=1024)
 
 
 def _stars(nodes: DataFrame) -> DataFrame:
@@ -144,11 +150,22 @@ def _verified(texts: DataFrame) -> DataFrame:
     return texts.repartition("root").sortWithinPartitions("root").mapInArrow(settle, "a long, b long")
 
 
-def near_duplicates(docs: DataFrame, id_col: str = "doc_id", text_col: str = "text") -> DataFrame:
+def _fingerprint_links(rows: DataFrame) -> DataFrame:
+    """(a, b): enough links to connect the nodes of rows whose fingerprints SimHash links."""
+    held = rows.select("fp", "node").distinct()
+    firsts = common.settle(held.groupBy("fp").agg(F.min("node").alias("first")), "fingerprints")
+    near = simhash.links(firsts.select("fp"))
+    for end in ("a", "b"):
+        near = near.join(firsts.select(F.col("fp").alias(end), F.col("first").alias(f"{end}2")), end)
+    return near.select(F.col("a2").alias("a"), F.col("b2").alias("b")).union(held.join(firsts, "fp").select("first", "node").where("first <> node"))
+
+
+def near_duplicates(docs: DataFrame, id_col: str = "doc_id", text_col: str = "text", fingerprints: bool = False) -> DataFrame:
     """(doc_id, component_id) of each row; component_id: the least id of the rows linked to it."""
-    rows = common.settle(_sketches(docs, id_col, text_col), "sketches")
+    rows = common.settle(_sketches(docs, id_col, text_col, fingerprints), "sketches")
     nodes = common.settle(rows.groupBy("node").agg(F.min("doc_id").alias("least"), F.first("bands").alias("bands")), "nodes")
-    roots = common.settle(connected_components(_stars(nodes)), "candidates")
+    stars = _stars(nodes)
+    roots = common.settle(connected_components(stars.union(_fingerprint_links(rows)) if fingerprints else stars), "candidates")
     near = nodes.select("node", "least").join(roots, "node")
     texts = docs.select(F.col(id_col).cast("long").alias("i"), F.col(text_col).alias("t"))
     known = near.where("least is not null").join(texts, F.col("least") == F.col("i")).select("root", "node", "t")
@@ -166,7 +183,7 @@ def _bare(texts: DataFrame) -> DataFrame:
     return common.map_batches(texts.select("t"), make, "node long, t string")
 
 
-def keep_first(docs: DataFrame, id_col: str = "doc_id", text_col: str = "text") -> DataFrame:
+def keep_first(docs: DataFrame, id_col: str = "doc_id", text_col: str = "text", fingerprints: bool = False) -> DataFrame:
     """The rows of docs, all columns, whose id is the least of their component; rows without an id stay."""
-    extra = near_duplicates(docs, id_col, text_col).where("doc_id <> component_id").select(F.col("doc_id").alias(id_col)).distinct()
+    extra = near_duplicates(docs, id_col, text_col, fingerprints).where("doc_id <> component_id").select(F.col("doc_id").alias(id_col)).distinct()
     return docs.join(extra, id_col, "left_anti").select(*docs.columns)

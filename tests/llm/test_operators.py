@@ -617,3 +617,27 @@ def test_doubled_runs_of_rows_that_share_an_id():
     row, pos, end, name = np.zeros(4, np.int64), np.array([0, 0, 2, 2]), np.array([2, 2, 4, 5]), np.array([7, 7, 8, 9], np.uint64)
     (k, _, p, e, n), = linededup.doubled(row, pos, end, name)
     assert k == 1 and p.tolist() == [0, 0] and e.tolist() == [4, 5] and len(set(n.tolist())) == 2
+
+
+def test_pipeline_near_duplicates_come_by_simhash(spark, sf, monkeypatch):
+    """Without the bands, pairs that SimHash links are found all the same, and settled by the exact check."""
+    import corpus_pipeline
+    from relml.llm import neardup
+
+    rng, texts, kept, kinds = np.random.default_rng(4), [], [-1], set()
+    while len(kinds) < 2 or len(texts) < 12:
+        words = [f"w{v}" for v in rng.integers(0, 5000, 60)]
+        at = int(rng.integers(0, 60))
+        other = [*words[:at], "new", *words[at + 1 :]]
+        if at % 3:
+            other[(at + 30) % 60] = "newer"
+        own = [{tuple(w[j : j + 5]) for j in range(56)} for w in (words, other)]
+        if (simhash.fingerprint(" ".join(words)) ^ simhash.fingerprint(" ".join(other))).bit_count() <= 3:
+            near = 5 * len(own[0] & own[1]) >= 4 * len(own[0] | own[1])
+            kinds.add(near)
+            kept += [len(texts)] if near else [len(texts), len(texts) + 1]
+            texts += [" ".join(words), " ".join(other)]
+    df = spark.createDataFrame([*enumerate(texts), (None, texts[1])], "doc_id long, text string").repartition(3)
+    monkeypatch.setattr(neardup, "_stars", lambda nodes: nodes.sparkSession.createDataFrame([], "a long, b long"))
+    got = corpus_pipeline.drop_near_duplicates(spark, df, sf)
+    assert sorted(-1 if r.doc_id is None else r.doc_id for r in got.collect()) == kept
