@@ -139,3 +139,14 @@ def test_matrix_algebra(spark, tmp_path):
     assert m.select(["1", "v"]).at("1", "v") == m.at("1", "v")
     gram = moment_matrix(spec, fs[:2], fs[2], strategy="gram", root="root")
     assert abs(gram.floats() - m.floats()).max() < 1e-9
+
+
+def test_passes_are_the_columns_of_the_aggregate(spark, sf):
+    from relml.plans.views import passes
+
+    spec, fs, y = ds.running3(spark, sf)
+    every, batch = [*fs, y], monomials([f.name for f in (*fs, y)])[:4]
+    for s in ("pushdown", "merged"):
+        ones = passes(spec, every, batch, s, exact=True)
+        assert [tuple(x.columns) for x in ones] == [(f"a{k}",) for k in range(4)]
+        assert [x.first()[0] for x in ones] == list(aggregate(spec, every, batch, s, exact=True).first())
