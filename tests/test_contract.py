@@ -62,6 +62,13 @@ def test_learns_on_train(monkeypatch, spark, sf, name):
     assert catalog.QUERIES[name](spark, sf).count() > 0 and parts == ["train"]
 
 
+def test_explain_gives_what_the_job_gives(spark, sf, oracle):
+    text = {r.stage: r.text for r in catalog.QUERIES["program_explain"](spark, sf).collect()}
+    got = dict(x.split(": ") for x in text["result"].split("\n"))
+    assert list(got) == text["sums"].split("\n")
+    assert int(got["s*s"]) == oracle.execute("select sum(l_suppkey * l_suppkey) from lineitem").fetchone()[0]
+
+
 def test_entry(spark):
     import __spark_entry__ as e
 
