@@ -5,15 +5,21 @@ meet along the join, the root's rows are summed by node and by the key of each b
 and each value's sums end as rows (node, feature, value, sums).  All sums are over the inner join: rows without partners are
 out, repeated keys, filters and multiplicities count.  Splits are found by running sums over the values; the other side is
 the total less that.
+
+Where values are binned and all keys below the root are unique, relations are held as keys and bins of a few bytes, a level
+looks the bins of a row's partners up and counts them by node within its task (Looked).  No joined row is stored.
 """
 
 from __future__ import annotations
 
 import json
+from bisect import bisect_left
 from dataclasses import dataclass, field
-from functools import reduce
+from functools import cached_property, reduce
 
-from pyspark.sql import Column, DataFrame, SparkSession, Window
+import numpy as np
+import pyarrow as pa
+from pyspark.sql import Column, DataFrame, Row, SparkSession, Window
 from pyspark.sql import functions as F
 
 from ..spec import Feature, JoinSpec, JoinTree, build_join_tree
@@ -79,6 +85,12 @@ class Measure:
             return [weight, weight * y, weight * y * y]
         return [weight, *[F.when(y == k, weight).otherwise(F.lit(0.0)) for k in range(self.classes)]]
 
+    def arrays(self, y: np.ndarray, weight: np.ndarray) -> list[np.ndarray]:
+        """columns, of arrays."""
+        if self.kind == "sse":
+            return [weight, weight * y, weight * y * y]
+        return [weight, *[np.where(y == k, weight, 0.0) for k in range(self.classes)]]
+
     def cost(self, s: list[Column]) -> Column:
         if self.kind == "sse":
             return s[2] - s[1] * s[1] / s[0]
@@ -132,20 +144,25 @@ class Grower:
         for rel in spec.relations:
             own = [(k, f) for k, f in cont if f.owner == rel]
             if own:
-                got = spec.rows(rel).agg(*[F.percentile_approx(f.column(False, spec.null_policy), [p / parts for p in range(1, parts + 1)]).alias(f.name) for _, f in own]).first()
+                got = quantiles(spec.rows(rel).select(*[f.column(False, spec.null_policy).alias(f.name) for _, f in own]), parts)
                 for k, f in own:
-                    edges = sorted(set(got[f.name] or []))
+                    edges = got[f.name]
                     if max_bins:
                         self.bins[f.name] = edges
                     else:
                         self.blocks[k] = edges
-        self.base = {name: self.prepared(name) for name in spec.relations}
         self.held: DataFrame | None = None
         self.made: dict[str, DataFrame] = {}
-        if max_bins:  # binned once
+        unique = all(map(self.all_unique, self.tree.children[self.tree.root]))
+        self.looked = Looked(self) if self.bounded() and unique and not self.past else None
+        if max_bins and not self.looked:  # binned once
             for df in self.base.values():
                 df.persist()
 
+    @cached_property
+    def base(self) -> dict[str, DataFrame]:
+        return {name: self.prepared(name) for name in self.spec.relations}
+
     def let_go(self) -> None:
         if self.held is not None:
             self.held.unpersist()
@@ -153,8 +170,11 @@ class Grower:
 
     def close(self) -> None:
         self.let_go()
-        for df in self.base.values():
-            df.unpersist()
+        if self.looked:
+            self.looked.close()
+        else:
+            for df in self.base.values():
+                df.unpersist()
 
     def binned(self, f: Feature) -> str:
         """SQL of the least edge that is not below the feature's value, by halving."""
@@ -168,7 +188,7 @@ class Grower:
 
         return f"{search(self.bins[f.name])} AS {c}" if self.bins.get(f.name) else c
 
-    def prepared(self, name: str) -> DataFrame:
+    def plain(self, name: str) -> DataFrame:
         """A relation's keys, features, weight and, at the root, the label."""
         own, rel = [f for f in self.features if f.owner == name], self.spec.relations[name]
         keys = dict.fromkeys([*(c for _, c in self.tree.edge.get(name, ())), *(p for c in self.tree.children[name] for p, _ in self.tree.edge[c])])
@@ -179,7 +199,11 @@ class Grower:
         out = self.spec.rows(name).select(*cols)
         if self.spec.null_policy == "drop":
             out = out.dropna(subset=[f"f_{f.name}" for f in own] + (["y"] if name == self.tree.root else []))
-        by = {f"f_{f.name}": f for f in own}
+        return out
+
+    def prepared(self, name: str) -> DataFrame:
+        """plain, with values cut to bins."""
+        out, by = self.plain(name), {f"f_{f.name}": f for f in self.features if f.owner == name}
         return out.selectExpr(*[self.binned(by[c]) if c in by else f"`{c}`" for c in out.columns]) if self.bins else out
 
     def masks(self, name: str, open_: list[tuple[TreeModel, dict[int, int]]]) -> list[Column]:
@@ -340,11 +364,13 @@ class Grower:
         model, open_ = TreeModel(), [1]
         for depth in range(max_depth + 1):
             found, totals = {}, {}
-            for lo in range(0, len(open_), LOT):
+            most = self.looked.lot() if self.looked else LOT
+            for lo in range(0, len(open_), most):
                 if depth == max_depth and model.nodes:
                     break
-                stats = self.statistics(model, open_[lo : lo + LOT], totals=not model.nodes)
-                rows = stats.collect() if self.bounded() else None
+                lot = open_[lo : lo + most]
+                stats = None if self.looked else self.statistics(model, lot, totals=not model.nodes)
+                rows = self.looked.statistics(model, lot) if self.looked else stats.collect() if self.bounded() else None
                 if rows is None:
                     stats.persist()
                 if not model.nodes:
@@ -376,6 +402,227 @@ class Grower:
         return model
 
 
+LOOKUP, DEALT = 32 << 20, 8 << 20  # bytes of keys and bins up to which a branch, and the largest one, are sent to all tasks
+SUMS = 64 << 20  # bytes of sums that a task holds
+
+
+class Looked:
+    """Statistics of a binned tree by look-ups, for branches of unique keys.
+
+    Each relation becomes its keys and, for each feature, the number of the bin that its value is in; a branch below the root
+    is one view of its edge key and the bins of all its relations.  A level reads the root's rows once, with their
+    partners' bins looked up by key; a row's node and its place in each feature's sums follow from bins alone.  Small
+    branches are sent to all tasks.  The largest one, if it has more than DEALT bytes, and the root are held in parts by its
+    key, sorted, so that a level neither shuffles nor sorts them; others of more than LOOKUP bytes are joined by shuffles."""
+
+    def __init__(self, grower: Grower):
+        self.g, self.root = grower, grower.tree.root
+        self.most = max(map(len, grower.bins.values()))  # the number of a feature's last bin: values above all edges
+        self.kind = np.dtype("u1" if self.most < 1 << 8 else "<u2" if self.most < 1 << 16 else "<u4")
+        self.held: list[DataFrame] = []
+        self.order: list[int] = []  # features as their bins follow one another in a row
+
+    def close(self) -> None:
+        for df in self.held:
+            df.unpersist()
+        self.held = []
+
+    def lot(self) -> int:
+        """Nodes whose sums a task holds at once."""
+        return max(1, min(LOT, SUMS // (8 * self.g.width * len(self.g.features) * (self.most + 1))))
+
+    def own(self, name: str) -> list[int]:
+        return [k for k, f in enumerate(self.g.features) if f.owner == name]
+
+    def below(self, name: str) -> list[int]:
+        return reduce(lambda a, c: a + self.below(c), self.g.tree.children[name], self.own(name))
+
+    def packed(self, name: str) -> DataFrame:
+        """A relation's keys, weight if it has one, label and bins."""
+        df, own, kind = self.g.plain(name), [self.g.features[k] for k in self.own(name)], self.kind
+        columns, edges = [f"f_{f.name}" for f in own], [np.array(self.g.bins[f.name]) for f in own]
+        kept = [c for c in df.columns if c not in columns and (c != f"w_{name}" or self.g.spec.relations[name].mult)]
+        if not own:
+            return df.select(*[F.col(f"`{c}`") for c in kept])
+
+        def run(batches):
+            for b in batches:
+                bins = np.empty((b.num_rows, len(columns)), kind)
+                for j, (c, e) in enumerate(zip(columns, edges)):
+                    bins[:, j] = np.searchsorted(e, b.column(c).to_numpy(zero_copy_only=False))
+                yield pa.RecordBatch.from_arrays([*[b.column(c) for c in kept], as_binary(bins)], [*kept, f"b_{name}"])
+
+        return df.mapInArrow(run, df.select(*[F.col(f"`{c}`") for c in kept]).schema.add(f"b_{name}", "binary"))
+
+    def joined(self, name: str, df: DataFrame, views: dict[str, DataFrame], keys: list[str]) -> DataFrame:
+        """df, a relation's rows, with the views of its branches: keys, weight and bins, under the relation's name."""
+        for c, view in views.items():
+            df = df.join(view, self.g.joined_on(name, c))
+        names = [name, *self.g.tree.children[name]]
+        weights, bins = [[f"{x}_{n}" for n in names if f"{x}_{n}" in df.columns] for x in "wb"]
+        out = [F.col(f"`{k}`") for k in keys]
+        if weights:
+            out.append(reduce(lambda a, b: a * b, map(F.col, weights)).alias(f"w_{name}"))
+        return df.select(*out, *([F.concat(*bins).alias(f"b_{name}")] if bins else []))
+
+    def branch(self, name: str) -> DataFrame:
+        """(edge key, weight, bins) of a relation and all below it."""
+        views = {c: self.branch(c) for c in self.g.tree.children[name]}
+        return self.joined(name, self.packed(name), views, [f"k_{name}_{c}" for _, c in self.g.tree.edge[name]])
+
+    def bytes_of(self, name: str) -> int:
+        """Bytes of a branch's view at most."""
+        return self.g.spec.rows(name).count() * (8 * len(self.g.tree.edge[name]) + 12 + self.kind.itemsize * len(self.below(name)))
+
+    @cached_property
+    def rows(self) -> DataFrame:
+        """The root's rows with all bins, w and y: a plan over held relations and views."""
+        tree, root = self.g.tree, self.packed(self.root)
+        size = {c: self.bytes_of(c) for c in tree.children[self.root]}
+        views = {c: self.branch(c) for c in sorted(size, key=lambda c: (-size[c], c))}
+        large = next((c for c in views if size[c] > DEALT), None)
+        if large:
+            parts = max(int(root.sparkSession.conf.get("spark.sql.shuffle.partitions")), self.g.spec.rows(self.root).count() >> 19)  # half a million rows a part
+
+            def dealt(df: DataFrame, keys: list[str]) -> DataFrame:
+                return df.repartition(parts, *keys).sortWithinPartitions(*keys)
+
+            root = dealt(root, [f"k_{self.root}_{p}" for p, _ in tree.edge[large]])
+            views[large] = dealt(views[large], [f"k_{large}_{c}" for _, c in tree.edge[large]])
+        self.held = [root.persist(), *[v.persist() for v in views.values()]]
+        hinted = {c: F.broadcast(v) if c != large and size[c] <= LOOKUP else v.hint("merge") for c, v in views.items()}
+        self.order = self.below(self.root)
+        return self.joined(self.root, root, hinted, ["y"])
+
+    def statistics(self, model: TreeModel, nodes: list[int]) -> list[Row]:
+        """Rows (node, fid, val, s0, s1, ...) as Grower.statistics has them, with one of fid -1 for each node."""
+        g, rows = self.g, self.rows
+        at = {k: j for j, k in enumerate(self.order)}
+        place = {f.name: at[k] for k, f in enumerate(g.features)}
+        tests = [(k, place[n.feature], bisect_left(g.bins[n.feature], n.threshold)) for k, n in sorted(model.nodes.items()) if n.feature]
+        width, kind, measure, root, step = g.width, self.kind, g.measure, self.root, self.most + 1
+        fids, slots, weighed = self.order, {n: j for j, n in enumerate(nodes)}, f"w_{self.root}" in rows.columns
+        count = len(fids)
+
+        def run(batches):
+            total = np.zeros((width, count, len(nodes) * step))
+            for b in batches:
+                bins = from_binary(b.column(f"b_{root}"), count, kind).T
+                y = b.column("y").to_numpy(zero_copy_only=False)
+                w = b.column(f"w_{root}").fill_null(0.0).to_numpy(zero_copy_only=False) if weighed else np.ones(len(y))
+                node = np.ones(len(y), np.int64)
+                for k, j, least in tests:
+                    here = np.flatnonzero(node == k)
+                    node[here] = 2 * k + (bins[j, here] > least)
+                slot = np.full(len(y), -1)
+                for k, j in slots.items():
+                    slot[node == k] = j
+                open_ = np.flatnonzero(slot >= 0)
+                if len(open_) < len(y):
+                    bins, y, w, slot = bins[:, open_], y[open_], w[open_], slot[open_]
+                base, sums = slot * step, measure.arrays(y, w)
+                for j in range(count):
+                    to = base + bins[j]
+                    for i, s in enumerate(sums):
+                        total[i, j] += np.bincount(to, s, total.shape[2])
+            j, to = np.nonzero(total.any(0))
+            fid, node = np.array(fids, np.int32)[j], np.array(nodes, np.int64)[to // step]
+            yield pa.RecordBatch.from_arrays([pa.array(x) for x in (node, fid, (to % step).astype(np.int32), *[t[j, to] for t in total])], ["node", "fid", "bin", *[f"s{i}" for i in range(width)]])
+
+        schema = "node long, fid int, bin int, " + ", ".join(f"s{i} double" for i in range(width))
+        got = rows.mapInArrow(run, schema).groupBy("node", "fid", "bin").agg(*[F.sum(f"s{i}").alias(f"s{i}") for i in range(width)]).collect()
+        sums = lambda r: {f"s{i}": r[f"s{i}"] for i in range(width)}
+        out = []
+        for r in got:
+            edges = g.bins[g.features[r.fid].name]
+            out.append(Row(node=r.node, fid=r.fid, val=edges[r.bin] if r.bin < len(edges) else float("inf"), **sums(r)))
+        for n in nodes:  # each feature's sums make up the node
+            own = [r for r in out if r.node == n and r.fid == fids[0]]
+            if own:
+                out.append(Row(node=n, fid=-1, val=None, **{f"s{i}": sum(r[f"s{i}"] for r in own) for i in range(width)}))
+        return out
+
+
+KEPT, CHUNK = 1 << 13, 1 << 18  # values that stand for a chunk of rows, and its rows
+
+
+def merged(parts: list[tuple[np.ndarray, np.ndarray]]) -> tuple[np.ndarray, np.ndarray]:
+    """Sorted values with their numbers of rows, as KEPT of them at most: each stands for those between the one before and itself,
+    so a rank moves by one in KEPT of the rows at most."""
+    if not parts:
+        return np.zeros(0), np.zeros(0, np.int64)
+    values, at = np.unique(np.concatenate([v for v, _ in parts]), return_inverse=True)
+    upto = np.cumsum(np.bincount(at, np.concatenate([c for _, c in parts]), len(values)).astype(np.int64))
+    if len(values) > KEPT:
+        kept = np.unique(np.searchsorted(upto, np.arange(1, KEPT + 1) * (upto[-1] / KEPT)).clip(max=len(values) - 1))
+        values, upto = values[kept], upto[kept]
+    return values, np.diff(upto, prepend=0)
+
+
+def quantiles(df: DataFrame, parts: int) -> dict[str, list[float]]:
+    """For each column the values, of those that occur, at which a part of 1, 2, ... in `parts` of its rows is reached; the last
+    one is the greatest.  Up to KEPT distinct values they are exact, else ranks are off by three in KEPT of the rows at most."""
+    names = df.columns
+
+    def told(found: list[list]):
+        for k, some in enumerate(found):
+            v, c = merged(some)
+            yield pa.RecordBatch.from_arrays([pa.array([k], pa.int32()), pa.array([v.tolist()], pa.list_(pa.float64())), pa.array([c.tolist()], pa.list_(pa.int64()))], ["k", "v", "c"])
+
+    def sketched(batches):
+        found, held, n = [[] for _ in names], [[] for _ in names], 0
+
+        def close():
+            for k, arrays in enumerate(held):
+                v = np.concatenate(arrays)
+                found[k].append(merged([(v, np.ones(len(v), np.int64))]))
+                arrays.clear()
+
+        for b in batches:
+            for k, name in enumerate(names):
+                held[k].append(b.column(name).drop_null().to_numpy(zero_copy_only=False))
+            n += b.num_rows
+            if n >= CHUNK:
+                close()
+                n = 0
+        if n:
+            close()
+        yield from told(found)
+
+    def together(batches):
+        found = [[] for _ in names]
+        for b in batches:
+            for r in b.to_pylist():
+                found[r["k"]].append((np.array(r["v"], float), np.array(r["c"], np.int64)))
+        yield from told(found)
+
+    schema, found = "k int, v array<double>, c array<long>", [[] for _ in names]
+    for r in df.mapInArrow(sketched, schema).repartition(8).mapInArrow(together, schema).collect():
+        found[r.k].append((np.array(r.v, float), np.array(r.c, np.int64)))
+    out = {}
+    for name, some in zip(names, found):
+        values, rows = merged(some)
+        upto = np.cumsum(rows)
+        at = np.searchsorted(upto * parts, np.arange(1, parts + 1) * upto[-1]) if len(values) else []
+        out[name] = [v for v in np.unique(values[at]).tolist() if v == v] if len(values) else []
+    return out
+
+
+def as_binary(rows: np.ndarray) -> pa.Array:
+    """An array of bytes for each row."""
+    n, width = len(rows), rows.shape[1] * rows.dtype.itemsize
+    return pa.Array.from_buffers(pa.binary(), n, [None, pa.py_buffer(np.arange(n + 1, dtype=np.int32) * np.int32(width)), pa.py_buffer(np.ascontiguousarray(rows))])
+
+
+def from_binary(column: pa.Array, width: int, kind: np.dtype) -> np.ndarray:
+    """Rows of `width` numbers from arrays of bytes."""
+    column = column.cast(pa.binary())
+    if not len(column):
+        return np.zeros((0, width), kind)
+    lo = np.frombuffer(column.buffers()[1], np.int32)[column.offset]
+    return np.frombuffer(column.buffers()[2], np.uint8)[lo : lo + len(column) * width * kind.itemsize].view(kind).reshape(-1, width)
+
+
 def as_column(c: Column | int) -> Column:
     return F.lit(c).cast("long") if isinstance(c, int) else c
 
