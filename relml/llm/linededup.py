@@ -11,6 +11,9 @@ Which lines go is settled at level 0: runs with an earlier source are joined int
 by line while the longer prefix still has an earlier place, so maximal repeated runs are cut whole.  Rounds beyond (`rounds`,
 all if None) tell how deep a document's runs are.  Later copies go, the first in order of (doc_id, line) stays.
 
+Between stages a document's lines are bytes of whole numbers, and a run is one long of document, first line and end where the
+ids and lines of the corpus fit into 63 bits together, else a pair of longs; both have the order of (doc_id, line).
+
 Documents that are wholly equal, and have enough words, go as one run, and their positions take no part in the doubling.
 
 Null text stays null and has no lines.  Texts with no repeated run stay as they are, byte for byte; of others the lines go
@@ -21,10 +24,11 @@ the deletions of all.  Rows without an id are left alone.
 from __future__ import annotations
 
 import re
+from dataclasses import dataclass
 
 import numpy as np
 import pyarrow as pa
-from pyspark.sql import DataFrame, Window
+from pyspark.sql import Column, DataFrame
 from pyspark.sql import functions as F
 
 from . import common
@@ -112,50 +116,89 @@ def _line_table(docs: DataFrame, id_col: str, text_col: str) -> DataFrame:
                 whole.append(xxh64_intdigest(text))
                 length.append(len(text))
                 total.append(sum(counts))
-            at = pa.array(offsets, pa.int32())
-            units = pa.ListArray.from_arrays(at, pa.array(np.array(flat, np.uint64).view(np.int64)))
-            return pa.RecordBatch.from_arrays([batch.column("i"), pa.array(np.array(whole, np.uint64).view(np.int64)), pa.array(length, pa.int32()), pa.array(total, pa.int32()), pa.array([b - a for a, b in zip(offsets, offsets[1:])], pa.int32()), units, pa.ListArray.from_arrays(at, pa.array(words, pa.int32())), pa.ListArray.from_arrays(at, pa.array(np.concatenate(starts), pa.int32()))], ["doc", "whole", "length", "total", "n", "units", "words", "starts"])
+            lists = [_cells(x, offsets) for x in (np.array(flat, np.uint64), np.array(words, np.int32), np.concatenate(starts).astype(np.int32))]
+            return pa.RecordBatch.from_arrays([batch.column("i"), pa.array(np.array(whole, np.uint64).view(np.int64)), pa.array(length, pa.int32()), pa.array(total, pa.int32()), pa.array(np.diff(offsets), pa.int32()), *lists], ["doc", "whole", "length", "total", "n", "units", "words", "starts"])
 
         return step
 
     rows = docs.select(F.col(id_col).cast("long").alias("i"), F.col(text_col).alias("t")).where("i is not null and t is not null")
-    return common.map_batches(rows, make, "doc long, whole long, length int, total int, n int, units array<long>, words array<int>, starts array<int>", _ROWS)
+    return common.map_batches(rows, make, "doc long, whole long, length int, total int, n int, units binary, words binary, starts binary", _ROWS)
+
+
+def _cells(flat: np.ndarray, offsets: list[int]) -> pa.Array:
+    """The numbers between two offsets each, as bytes: Spark moves them whole, where it takes arrays apart."""
+    return pa.Array.from_buffers(pa.binary(), len(offsets) - 1, [None, pa.py_buffer((np.array(offsets) * flat.itemsize).astype(np.int32)), pa.py_buffer(flat)])
+
+
+def _flat(batch: pa.RecordBatch, name: str, kind: type) -> np.ndarray:
+    return np.frombuffer(b"".join(batch.column(name).to_pylist()), kind)
+
+
+def _offsets(batch: pa.RecordBatch) -> np.ndarray:
+    """Line at which each document of a batch begins, and the end."""
+    return np.append(0, np.cumsum(np.array(batch.column("n"), np.int64)))
+
+
+@dataclass(frozen=True)
+class Places:
+    """A run (doc, pos, end) as one value in order of (doc, pos, end): a long if `bits` for each line number and the ids, counted
+    from `least`, fit into 63 bits; else a struct, with bits 0."""
+
+    least: int = 0
+    bits: int = 0
+
+    @staticmethod
+    def of(narrow: DataFrame) -> Places:
+        """For documents (doc, n): ids and numbers of lines."""
+        least, most, n = narrow.agg(F.min("doc"), F.max("doc"), F.max("n")).first()
+        if least is None:
+            return Places(0, 1)
+        bits = max(1, n.bit_length())
+        return Places(least, bits) if (most - least).bit_length() + 2 * bits <= 63 else Places()
+
+    @property
+    def type(self) -> str:
+        return "long" if self.bits else "struct<doc: long, place: long>"
 
+    def hold(self, doc: np.ndarray, pos: np.ndarray, end: np.ndarray) -> pa.Array:
+        if self.bits:
+            return pa.array((doc - self.least) << 2 * self.bits | pos << self.bits | end)
+        return pa.StructArray.from_arrays([pa.array(doc), pa.array(pos << 32 | end)], ["doc", "place"])
 
-def _flat(batch: pa.RecordBatch, name: str) -> np.ndarray:
-    return np.array(batch.column(name).flatten())
+    def columns(self, c: str) -> list[Column]:
+        if self.bits:
+            doc, place, bits = F.shiftright(c, 2 * self.bits) + F.lit(self.least), F.col(c), self.bits
+        else:
+            doc, place, bits = F.col(f"{c}.doc"), F.col(f"{c}.place"), 32
+        line = (1 << bits) - 1
+        return [doc.alias("doc"), F.shiftright(place, bits).bitwiseAND(line).cast("int").alias("pos"), place.bitwiseAND(line).cast("int").alias("end")]
 
 
-def _seed_rows(table: DataFrame, least: int) -> DataFrame:
+def _seed_rows(table: DataFrame, places: Places, least: int) -> DataFrame:
     def make():
         def step(batch: pa.RecordBatch) -> pa.RecordBatch:
-            units = batch.column("units")
-            at = np.array(units.offsets) - units.offsets[0].as_py()
+            at = _offsets(batch)
             sizes = np.diff(at)
-            name, pos, end = seeds(_flat(batch, "units").view(np.uint64), _flat(batch, "words"), np.repeat(at[1:], sizes), least)
+            name, pos, end = seeds(_flat(batch, "units", np.uint64), _flat(batch, "words", np.int32), np.repeat(at[1:], sizes), least)
             row = np.repeat(np.arange(batch.num_rows), sizes)[pos]
-            place = (pos - at[row]).astype(np.int64) << 32 | (end - at[row]).astype(np.int64)
-            return pa.RecordBatch.from_arrays([pa.array(name.view(np.int64)), pa.array(np.array(batch.column("doc"))[row]), pa.array(place)], ["name", "doc", "place"])
+            return pa.RecordBatch.from_arrays([pa.array(name.view(np.int64)), places.hold(np.array(batch.column("doc"))[row], pos - at[row], end - at[row])], ["name", "place"])
 
         return step
 
-    return common.map_batches(table.select("units", "words", "doc"), make, "name long, doc long, place long", _ROWS)
+    return common.map_batches(table.select("n", "units", "words", "doc"), make, f"name long, place {places.type}", _ROWS)
 
 
-def _with_source(rows: DataFrame) -> DataFrame:
-    """Rows (name, doc, place) of names seen more than once, with their interval's first position and further columns.  The
-    groups are settled first, so that the join with all positions stands alone and a hot name's rows can be split; they grow
-    with the corpus, so a hint keeps them from being broadcast at any size."""
-    groups = rows.groupBy("name").agg(F.count("*").alias("n"), F.min(F.struct("doc", "place")).alias("first")).where("n > 1")
-    groups = common.settle(groups.select("name", F.col("first.doc").alias("fdoc"), _pos("first.place").alias("fpos")), "sources")
-    both, more = rows.join(groups.hint("shuffle_hash"), "name"), [c for c in rows.columns if c not in ("name", "doc", "place")]
-    out = common.settle(both.select("name", "doc", _pos("place").alias("pos"), F.col("place").bitwiseAND(0xFFFFFFFF).cast("int").alias("end"), "fdoc", "fpos", *more), "level")
-    common.discard(groups)
-    return out
+def sources(rows: DataFrame) -> DataFrame:
+    """(name, first) of names seen more than once: an interval's first place."""
+    return rows.groupBy("name").agg(F.count("*").alias("n"), F.min("place").alias("first")).where("n > 1").select("name", "first")
 
 
-def _pos(place: str):
-    return F.shiftright(place, 32).cast("int")
+def _with_source(rows: DataFrame, groups: DataFrame, places: Places) -> DataFrame:
+    """Rows (name, place) of names seen more than once, taken apart, with later, whether their interval begins before, and further
+    columns.  The groups are settled, so that the join with all positions stands alone and a hot name's rows can be split;
+    they grow with the corpus, so a hint keeps them from being broadcast at any size."""
+    more = [c for c in rows.columns if c not in ("name", "place")]
+    return rows.join(groups.hint("shuffle_hash"), "name").select("name", *places.columns("place"), (F.col("place") > F.col("first")).alias("later"), *more)
 
 
 def doubled(row: np.ndarray, pos: np.ndarray, end: np.ndarray, name: np.ndarray, rounds: int | None = None):
@@ -181,34 +224,38 @@ def doubled(row: np.ndarray, pos: np.ndarray, end: np.ndarray, name: np.ndarray,
         yield k, row, pos, end, name
 
 
-def _doubled_rows(level: DataFrame, rounds: int | None) -> DataFrame:
-    held = level.groupBy("doc").agg(F.collect_list(F.struct("pos", "end", "name")).alias("runs"))  # one for each line at most
+def joined(row: np.ndarray, pos: np.ndarray, end: np.ndarray, name: np.ndarray):
+    """(row, pos, end, name, start) of the last run of each segment, and where that begins: runs of a document that touch or
+    overlap.  name: signed."""
+    order = np.lexsort((name, end, pos, row))
+    row, pos, end, name = row[order], pos[order], end[order], name[order]
+    new = np.append(True, (row << 32 | pos)[1:] > np.maximum.accumulate(row << 32 | end)[:-1])[: len(row)]
+    segment = np.cumsum(new)
+    order = np.lexsort((name, pos, end, segment))  # a segment's runs stay where the segment is
+    last = order[np.append(np.flatnonzero(new)[1:], len(row)) - 1] if len(row) else order
+    return row[last], pos[last], end[last], name[last], pos[new]
+
+
+def _joined_and_doubled(level: DataFrame, places: Places, rounds: int | None) -> DataFrame:
+    """(name, place, level, start) of the runs of all rounds beyond level 0, start null; and with start those of segments."""
+    held = level.groupBy("doc").agg(F.collect_list(F.struct("pos", "end", "name", "later")).alias("runs"))  # one for each line at most
 
     def make():
         def step(batch: pa.RecordBatch) -> pa.RecordBatch:
-            runs = batch.column("runs")
+            runs, doc = batch.column("runs"), np.array(batch.column("doc"))
             row = np.repeat(np.arange(batch.num_rows), np.diff(np.array(runs.offsets)))
-            pos, end, name = (np.array(x) for x in runs.flatten().flatten())
-            doc, found = np.array(batch.column("doc")), [(np.zeros(0, np.int64),) * 3 + (np.zeros(0, np.int32),)]
-            for k, r, p, e, n in doubled(row, pos.astype(np.int64), end.astype(np.int64), name.view(np.uint64), rounds):
-                found.append((n.view(np.int64), doc[r], p << 32 | e, np.full(len(r), k, np.int32)))
-            return pa.RecordBatch.from_arrays([pa.array(np.concatenate(x)) for x in zip(*found)], ["name", "doc", "place", "level"])
+            pos, end, name, later = (x.to_numpy(zero_copy_only=False) for x in runs.flatten().flatten())
+            pos, end, later = pos.astype(np.int64), end.astype(np.int64), later.astype(bool)
+            r, p, e, n, start = joined(row[later], pos[later], end[later], name[later])
+            found = [(n, doc[r], p, e, np.full(len(r), -1, np.int32))]
+            for k, r, p, e, n in doubled(row, pos, end, name.view(np.uint64), rounds):
+                found.append((n.view(np.int64), doc[r], p, e, np.full(len(r), k, np.int32)))
+            name, doc, pos, end, depth = (np.concatenate(x) for x in zip(*found))
+            return pa.RecordBatch.from_arrays([pa.array(name), places.hold(doc, pos, end), pa.array(depth), pa.concat_arrays([pa.array(start, pa.int32()), pa.nulls(len(name) - len(start), pa.int32())])], ["name", "place", "level", "start"])
 
         return step
 
-    return common.map_batches(held, make, "name long, doc long, place long, level int", _ROWS)
-
-
-def intervals(table: DataFrame, least_words: int, rounds: int | None = None) -> tuple[DataFrame, DataFrame | None]:
-    """(name, doc, pos, end, fdoc, fpos) of all positions in intervals of at least two suffixes: those of level 0, and with their
-    level those of the rounds beyond."""
-    level = _with_source(_seed_rows(table, least_words))
-    if rounds == 0:
-        return level, None
-    rows = common.settle(_doubled_rows(level, rounds), "doubled")
-    deeper = _with_source(rows)
-    common.discard(rows)
-    return level, deeper
+    return common.map_batches(held, make, f"name long, place {places.type}, level int, start int", _ROWS)
 
 
 def _ranges(steps: np.ndarray, at: np.ndarray) -> tuple[np.ndarray, np.ndarray, np.ndarray]:
@@ -225,9 +272,8 @@ def _answers(table: DataFrame, requests: DataFrame, least_words: int) -> DataFra
 
     def make():
         def step(batch: pa.RecordBatch) -> pa.RecordBatch:
-            units, words, starts = _flat(batch, "units").view(np.uint64), _flat(batch, "words"), _flat(batch, "starts")
-            lists, asked = batch.column("units"), batch.column("asked")
-            first = np.array(lists.offsets) - lists.offsets[0].as_py()
+            units, words, starts = _flat(batch, "units", np.uint64), _flat(batch, "words", np.int32), _flat(batch, "starts", np.int32)
+            asked, first = batch.column("asked"), _offsets(batch)
             row = np.repeat(np.arange(batch.num_rows), np.diff(np.array(asked.offsets)))
             requests = dict(zip([f.name for f in asked.type.value_type], asked.flatten().flatten()))
             stops = np.insert(starts, first[1:], np.array(batch.column("length")))  # one more for each document than lines
@@ -246,7 +292,7 @@ def _answers(table: DataFrame, requests: DataFrame, least_words: int) -> DataFra
 
         return step
 
-    return common.map_batches(table.select("doc", "length", "units", "words", "starts").join(asked, "doc"), make, "doc long, at int, pos int, name long, last boolean, off int, more array<long>, more_end array<int>", _ROWS)
+    return common.map_batches(table.select("doc", "length", "n", "units", "words", "starts").join(asked, "doc"), make, "doc long, at int, pos int, name long, last boolean, off int, more array<long>, more_end array<int>", _ROWS)
 
 
 def repeated_runs(docs: DataFrame, least_words: int = LEAST_WORDS, id_col: str = "doc_id", text_col: str = "text", rounds: int | None = None) -> tuple[DataFrame, DataFrame]:
@@ -256,40 +302,45 @@ def repeated_runs(docs: DataFrame, least_words: int = LEAST_WORDS, id_col: str =
     narrow = lines.select("doc", "whole", "length", "total", "n")
     firsts = narrow.where(F.col("total") >= least_words).groupBy("whole").agg(F.min("doc").alias("fdoc"), F.count("*").alias("copies")).where("copies > 1").select("whole", "fdoc")
     copies = common.settle(narrow.join(firsts, "whole").where("fdoc < doc").select("doc", F.lit(0).alias("start"), F.col("n").alias("end"), F.lit(0).alias("from_char"), F.col("length").alias("to_char"), F.lit(-1).alias("level")), "copies")
-    table = common.settle(lines.select("doc", "length", "units", "words", "starts").join(copies.select("doc").distinct().hint("shuffle_hash"), "doc", "left_anti"), "own-lines")
+    table = common.settle(lines.select("doc", "length", "n", "units", "words", "starts").join(copies.select("doc").distinct().hint("shuffle_hash"), "doc", "left_anti"), "own-lines")
     sizes = common.settle(narrow.select("doc", "n"), "line-counts")
+    places = Places.of(narrow)
     common.discard(lines)
-    level, deeper = intervals(table, least_words, rounds)
-    later = "fdoc < doc or (fdoc = doc and fpos < pos)"
-    earlier = level.where(later)
-    order = Window.partitionBy("doc").orderBy("pos")
-    before = F.max("end").over(order.rowsBetween(Window.unboundedPreceding, -1))
-    marked = earlier.withColumn("new", F.coalesce((F.col("pos") > before).cast("int"), F.lit(1)))
-    parts = marked.withColumn("seg", F.sum("new").over(order.rowsBetween(Window.unboundedPreceding, 0))).groupBy("doc", "seg").agg(F.min("pos").alias("start"), F.max(F.struct("end", "pos", "name")).alias("m"))
-    segments = common.settle(parts.select("doc", "start", "m.end", "m.pos", "m.name"), "segments")
+    rows = _seed_rows(table, places, least_words)
+    groups = common.settle(sources(rows), "sources")
+    level = common.settle(_with_source(rows, groups, places), "level")
+    common.discard(groups)
+    found = common.settle(_joined_and_doubled(level, places, rounds), "doubled")
+    segments = common.settle(found.where("start is not null").select("start", *places.columns("place"), "name"), "segments")
+    deepest = segments.select("doc", F.lit(0).alias("level"))  # each document with a later run has a segment
+    deeper = None
+    if rounds != 0:
+        rows = found.where("start is null").select("name", "place", "level")
+        deeper = common.settle(sources(rows), "sources")
+        deepest = deepest.union(_with_source(rows, deeper, places).where("later").select("doc", "level"))
+    deepest = common.settle(deepest.groupBy("doc").agg(F.max("level").alias("level")), "levels")
+    for used in (found, deeper):
+        if used is not None:
+            common.discard(used)
     # all places of the segments' last runs, longer by a line, by two and so on: a name for each, grouped as before;
     # places that go on alike are one before they are taken apart
     lasts = segments.select("doc", "pos", F.lit(True).alias("last"))
-    places = level.join(segments.select("name").distinct(), "name").join(lasts, ["doc", "pos"], "left")
+    others = level.join(segments.select("name").distinct(), "name").join(lasts, ["doc", "pos"], "left")
     requests = segments.select("doc", F.col("start").alias("at"), F.lit(None).cast("int").alias("pos"), F.lit(None).cast("long").alias("name"), F.lit(False).alias("last")).distinct()
-    requests = requests.union(places.select("doc", F.col("end").alias("at"), "pos", "name", F.coalesce("last", F.lit(False)).alias("last")))
+    requests = requests.union(others.select("doc", F.col("end").alias("at"), "pos", "name", F.coalesce("last", F.lit(False)).alias("last")))
     answers = common.settle(_answers(table, requests, least_words), "answers")
     alike = answers.where("name is not null").groupBy("name", F.xxhash64("more").alias("way")).agg(F.min(F.struct("doc", "pos")).alias("first"), F.first("more").alias("more"))
     firsts = alike.select("name", "first", F.explode("more").alias("x")).groupBy(F.xxhash64("name", "x").alias("longer")).agg(F.min("first").alias("first"))
+    firsts = common.settle(firsts, "firsts")  # so that a hot way's rows can be split in the join
     own = answers.where("last").select("doc", "pos", "name", F.posexplode("more").alias("k", "x")).select("doc", "pos", (F.col("k") + 1).alias("k"), F.xxhash64("name", "x").alias("longer"))
-    reach = own.join(firsts, "longer").where(F.col("first") < F.struct("doc", "pos")).groupBy("doc", "pos").agg(F.max("k").alias("k"))
+    reach = own.join(firsts.hint("shuffle_hash"), "longer").where(F.col("first") < F.struct("doc", "pos")).groupBy("doc", "pos").agg(F.max("k").alias("k"))
     begin = answers.where("name is null").select("doc", F.col("at").alias("start"), F.col("off").alias("from_char"))
     runs = segments.join(reach, ["doc", "pos"], "left").withColumn("k", F.coalesce("k", F.lit(0)))
     runs = runs.join(begin, ["doc", "start"]).join(answers.where("last").select("doc", "pos", "off", "more_end"), ["doc", "pos"])
-    deep = level.where(later).select("doc", F.lit(0).alias("level"))
-    if deeper is not None:
-        deep = deep.union(deeper.where(later).select("doc", "level"))
-    deepest = deep.groupBy("doc").agg(F.max("level").alias("level"))
     runs = runs.select("doc", "start", (F.col("end") + F.col("k")).alias("end"), "from_char", F.when(F.col("k") > 0, F.element_at("more_end", F.greatest("k", F.lit(1)))).otherwise(F.col("off")).alias("to_char")).join(deepest, "doc")
     out = common.settle(runs.union(copies), "runs"), sizes
-    for used in (table, answers, segments, copies, level, deeper):
-        if used is not None:
-            common.discard(used)
+    for used in (table, answers, segments, copies, level, deepest, firsts):
+        common.discard(used)
     return out
 
 
