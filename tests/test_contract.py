@@ -53,6 +53,10 @@ def test_whole_tables(spark, sf, name):
     assert catalog.QUERIES[name](spark, sf).count() == spark.read.parquet(f"{sf}/{WHOLE[name]}.parquet").count()
 
 
+def test_frames_hold_all_joined_rows(spark, sf):
+    assert catalog.QUERIES["baseline_pandas_frame"](spark, sf).first().n == spark.read.parquet(f"{sf}/lineitem.parquet").count()
+
+
 @pytest.mark.parametrize("name", ["boosted_trees", "baseline_numpy_lstsq"])
 def test_learns_on_train(monkeypatch, spark, sf, name):
     from relml import datasets
